@@ -224,10 +224,10 @@ def train(labelled: DataFrame, vocabulary: str | None = None) -> Model:
     return Model(vocabulary, langs).fit([own[k] for k in langs])
 
 
-def identify(df: DataFrame, model: Model, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The kept columns, lang_pred and score of each row."""
+def identify(df: DataFrame, model: Model, text: str = "text", keep: tuple[str, ...] = ("doc_id",), names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """The kept columns, and the prediction and its score under ``names``."""
     own = df.select(*keep, F.col(text).alias("__text"))
-    schema = T.StructType([*own.drop("__text").schema, T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
+    schema = T.StructType([*own.drop("__text").schema, T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())])
     shared = df.sparkSession.sparkContext.broadcast(model)  # bounded by the vocabulary and the labels
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -236,7 +236,7 @@ def identify(df: DataFrame, model: Model, text: str = "text", keep: tuple[str, .
             for lo in range(0, batch.num_rows, 256):
                 part = batch.slice(lo, 256)
                 langs, scores = scorer.texts(as_bytes(part["__text"]))
-                yield pa.RecordBatch.from_arrays([*(part[k] for k in keep), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], [*keep, "lang_pred", "score"])
+                yield pa.RecordBatch.from_arrays([*(part[k] for k in keep), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], [*keep, *names])
 
     return own.mapInArrow(run, schema)
 

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import importlib
 
-_OPS = {"op1_pii": "pii", "op5_langid": "langid", "op6_chat": "chat", "op7_simhash": "simhash"}
+_OPS = {"op1_pii": "pii", "op2_decontaminate": "decontaminate", "op3_embeddings": "embeddings", "op4_packing": "packing", "op5_langid": "langid", "op6_chat": "chat", "op7_simhash": "simhash", "op8_lm_score": "lm", "op9_lines": "lines", "op10_token_files": "huffman"}
 
 QUERIES = {name: (lambda spark, sf_dir, name=name, module=module: getattr(importlib.import_module(f"bitparse.llm.{module}"), name)(spark, sf_dir)) for name, module in _OPS.items()}
 ORACLE_SQL: dict[str, str] = {}

@@ -132,15 +132,31 @@ def near_edges(distinct: DataFrame, n: int, distance: int = 4) -> DataFrame:
     return keyed.repartition(tasks, "key").mapInArrow(lambda batches: _near(batches, distance), "a long, b long")
 
 
-def near_duplicates(df: DataFrame, text: str = "text", key: str = "doc_id", words: int = 4, distance: int = 4) -> DataFrame:
-    """(key, fp, component_id) of every row; the component is named by its smallest key."""
-    own = store(fingerprints(df, text, (key,), words), "fingerprints")
+def _grouped(own: DataFrame, key: Column, distance: int) -> DataFrame:
+    """(fp, least) of stored rows with ``fp``: the smallest key in the component of each fingerprint."""
     nodes = store(own.groupBy("fp").agg(F.min(key).alias("least")), "nodes")
     roots = components(near_edges(nodes, nodes.count(), distance))
     named = nodes.join(roots.withColumnRenamed("id", "fp"), "fp", "left").withColumn("root", F.coalesce("root", "fp"))
-    ids = named.groupBy("root").agg(F.min("least").alias("component_id"))
-    of = named.join(ids, "root").select("fp", "component_id")
-    return own.join(of, "fp").select(key, "fp", "component_id")
+    return named.drop("least").join(named.groupBy("root").agg(F.min("least").alias("least")), "root").select("fp", "least")
+
+
+def near_duplicates(df: DataFrame, text: str = "text", key: str = "doc_id", words: int = 4, distance: int = 4) -> DataFrame:
+    """(key, fp, component_id) of every row; the component is named by its smallest key."""
+    own = store(fingerprints(df, text, (key,), words), "fingerprints")
+    return own.join(_grouped(own, F.col(key), distance), "fp").select(key, "fp", F.col("least").alias("component_id"))
+
+
+def keep_one(docs: DataFrame, words: int = 4, distance: int = 4) -> DataFrame:
+    """One row of each component, that of the smallest doc_id; of rows equal in doc_id and text one."""
+    of = F.xxhash64("doc_id", "text")
+    own = store(fingerprints(docs.select("doc_id", "text", of.alias("__of")), keep=("doc_id", "__of"), words=words), "fingerprints")
+    best = _grouped(own, F.struct("doc_id", "__of"), distance).select(F.col("least.__of").alias("__of")).distinct()
+    kept = docs.withColumn("__of", of).join(best.hint("shuffle_hash"), "__of", "left_semi")
+    repeated = own.groupBy("__of").count().filter("count > 1").select("__of")
+    if repeated.isEmpty():
+        return kept.drop("__of")
+    once = kept.join(repeated, "__of", "left_anti")
+    return once.unionByName(kept.join(repeated, "__of", "left_semi").dropDuplicates(["__of"])).select(*docs.columns)
 
 
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
