@@ -1,0 +1,92 @@
+"""Streams of symbols: the growing dictionary and the windowed optimum by key, and parses of event-time windows."""
+
+from __future__ import annotations
+
+import pickle
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+from bitparse.functions.codes import Code, code
+from bitparse.operators import chunks, parsers
+
+_ORDER = ["ts", "event_id"]
+
+
+def _in_order(parts: Iterator[pd.DataFrame]) -> list[int]:
+    whole = pd.concat(list(parts))
+    return whole.sort_values(_ORDER)["s"].tolist()
+
+
+def lz78(stream: DataFrame) -> DataFrame:
+    """Phrases (key, k, id, sym) as they are completed. stream: key, s, ts, event_id. State: the tree and the open phrase.
+
+    Within a trigger symbols are put in order of (ts, event_id); a phrase that is still open is not given.
+    """
+
+    def step(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        child, node, k = pickle.loads(state.get[0]) if state.exists else ({}, 0, 0)
+        out = []
+        for s in _in_order(parts):
+            if (node, s) in child:
+                node = child[node, s]
+                continue
+            child[node, s] = len(child) + 1
+            k += 1
+            out.append((key[0], k, node, s))
+            node = 0
+        state.update((pickle.dumps((child, node, k)),))
+        yield pd.DataFrame(out, columns=["key", "k", "id", "sym"])
+
+    return stream.groupBy("key").applyInPandasWithState(step, "key long, k long, id long, sym long", "state binary", "append", GroupStateTimeout.NoTimeout)
+
+
+def windowed_optimal(stream: DataFrame, window: int, pending: int, f: Code | str = "gamma", g: Code | str = "gamma") -> DataFrame:
+    """Parts (key, part, n, bits) of ``pending`` symbols, each parsed at best with copies from at most ``window`` back; a cut
+    stands at each end of a part. State: the last ``window`` symbols and those not yet parsed."""
+    names = code(f).name, code(g).name
+
+    def step(key: tuple, rows: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        held, waiting, part = pickle.loads(state.get[0]) if state.exists else ([], [], 0)
+        waiting += _in_order(rows)
+        out = []
+        while len(waiting) >= pending:
+            own, waiting = waiting[:pending], waiting[pending:]
+            bits, _ = chunks.chunk_parse(np.array(held + own, np.int64), len(held), code(names[0]), code(names[1]), window)
+            out.append((key[0], part, pending, bits))
+            held, part = (held + own)[-window:], part + 1
+        state.update((pickle.dumps((held, waiting, part)),))
+        yield pd.DataFrame(out, columns=["key", "part", "n", "bits"])
+
+    return stream.groupBy("key").applyInPandasWithState(step, "key long, part long, n long, bits long", "state binary", "append", GroupStateTimeout.NoTimeout)
+
+
+def window_bits(events: DataFrame, span: Column, f: Code | str = "gamma", g: Code | str = "gamma") -> DataFrame:
+    """(key, begins, ends, n, bits): the optimum of each key's symbols in each window; ``span`` is window(...) or
+    session_window(...) of ts. Works on batches and, with a watermark on ts, on streams."""
+    own = events.groupBy(span.alias("w"), "key").agg(F.array_sort(F.collect_list(F.struct(*_ORDER, "s"))).alias("rows"))
+    # the window's ends go through the parse in the sequence's own columns
+    kind = own.select("key", F.col("w.start").alias("begins"), F.col("w.end").alias("ends"), F.transform("rows", lambda r: r["s"].cast("bigint")).alias("syms"))
+    names = code(f).name, code(g).name
+
+    def kernel(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        c = code(names[0]), code(names[1])
+        for batch in batches:
+            made = [parsers.Sequence(np.array(s, np.int64), *c) for s in batch["syms"]]
+            yield batch[["key", "begins", "ends"]].assign(n=[s.n for s in made], bits=[s.total(s.optimal()) for s in made])
+
+    return kind.mapInPandas(kernel, "key long, begins timestamp, ends timestamp, n long, bits long")
+
+
+def symbols(events: DataFrame, symbol: Column) -> DataFrame:
+    """key, s, ts and event_id of events by user."""
+    return events.select(F.col("user_id").alias("key"), symbol.cast("long").alias("s"), "ts", "event_id")
+
+
+def deduplicated(stream: DataFrame, delay: str = "1 hour") -> DataFrame:
+    """Repeated events go while the watermark still remembers them; later ones are dropped as late."""
+    return stream.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
