@@ -2,12 +2,13 @@
 
 The tokenizer drops white space and never joins text across it, so the ids of a text are the ids
 of its pieces between ASCII white space, in order. Distinct pieces are encoded by the tokenizers
-library, many at a time; longer ones each time they occur. Ids are 16-bit, little-endian.
+library: words of letters many at a time, others alone. Ids are 16-bit, little-endian.
 """
 
 from __future__ import annotations
 
 import os
+import re
 import zlib
 from collections.abc import Iterator
 
@@ -19,8 +20,15 @@ from pyspark.sql import types as T
 
 from bitparse.llm.common import as_bytes
 
-END, KEPT_WORDS, LONGEST = 1, 300_000, 64
-_MARK = "\x01"
+END, KEPT_WORDS, LONGEST = 1, 500_000, 64
+#: Words of letters that stay letters in lower case and in every normal form.
+_LETTERS = re.compile(rb"(?:[A-Za-z]|\xc3[\x80-\x96\x98-\xb6\xb8-\xbf])+")
+#: 1: a letter; 2: the second byte of one; 3: a mark; 4: white space.
+_KIND = np.zeros(256, np.uint8)
+_KIND[[*range(65, 91), *range(97, 123)]] = 1
+_KIND[[k for k in range(0x80, 0xC0) if k not in (0x97, 0xB7)]] = 2
+_KIND[list(b".,;:!?")] = 3
+_KIND[list(b" \t\n\r\x0b\x0c")] = 4
 
 
 def default_path() -> str:
@@ -35,46 +43,77 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        if self.tokenizer.get_vocab_size() > 1 << 16:
+        vocabulary = self.tokenizer.get_vocab()
+        if max(vocabulary.values()) >= 1 << 16:
             raise ValueError("ids are kept in 16 bits; the vocabulary is larger")
-        self.mark = self.tokenizer.encode(_MARK, add_special_tokens=False).ids[0]
+        self.ends = np.zeros(1 << 16, bool)  # ids that end a word
+        self.ends[[k for piece, k in vocabulary.items() if piece.endswith("</w>")]] = True
         self.known: dict[bytes, bytes] = {}
         self.older: dict[bytes, bytes] = {}
 
-    def _encode(self, words: list[bytes]) -> list[bytes]:
-        """The ids of each word: all in one text, with marks between them."""
-        plain = [w.decode("utf-8", "replace") for w in words]
-        ids = np.array(self.tokenizer.encode_batch_fast([f" {_MARK} ".join(plain)], add_special_tokens=False)[0].ids, np.uint16)
-        cut = np.flatnonzero(ids == self.mark).tolist()
-        if len(cut) != len(words) - 1:
-            return [self._alone(w) for w in words]
-        raw = ids.tobytes()
-        return [raw[2 * a : 2 * b] for a, b in zip([0, *(c + 1 for c in cut)], [*cut, len(ids)], strict=True)]
+    def _each(self, words: list[bytes]) -> list[bytes]:
+        return [np.array(e.ids, np.uint16).tobytes() for e in self.tokenizer.encode_batch_fast([w.decode("utf-8", "replace") for w in words], add_special_tokens=False)]
 
-    def _alone(self, word: bytes) -> bytes:
-        return np.array(self.tokenizer.encode_batch_fast([word.decode("utf-8", "replace")], add_special_tokens=False)[0].ids, np.uint16).tobytes()
+    def _together(self, words: list[bytes]) -> list[bytes]:
+        """The ids of words of letters, each of which the tokenizer takes as one word: all in one text, cut where words end."""
+        ids = np.array(self.tokenizer.encode_batch_fast([b" ".join(words).decode()], add_special_tokens=False)[0].ids, np.uint16)
+        cut = (2 * (np.flatnonzero(self.ends[ids]) + 1)).tolist()
+        if len(cut) != len(words):
+            return self._each(words)
+        raw = ids.tobytes()
+        return [raw[a:b] for a, b in zip([0, *cut], cut, strict=False)]
+
+    def _learn(self, missing: set[bytes]) -> dict[bytes, bytes]:
+        """The ids of words that are not in the table; words of letters go there, and others that are not long."""
+        found: dict[bytes, bytes] = {}
+        plain, other = [], []
+        for w in missing:
+            if w in self.older:
+                found[w] = self.older[w]
+            elif len(w) <= LONGEST and (w.isalpha() or _LETTERS.fullmatch(w)):
+                plain.append(w)
+            elif len(w) <= LONGEST:
+                other.append(w)
+            else:
+                self.passing[w] = self._each([w])[0]
+        for lo in range(0, len(plain), 4000):
+            part = plain[lo : lo + 4000]
+            found.update(zip(part, self._together(part), strict=True))
+        found.update(zip(other, self._each(other), strict=True))
+        self.known.update(found)
+        return found
 
     def texts(self, raw: list[bytes | None]) -> list[bytes]:
         """The ids of each text, without an end."""
-        split = [x.split() if x else [] for x in raw]
         if len(self.known) > KEPT_WORDS:
             self.older, self.known = self.known, {}
-        missing = list(set().union(*split).difference(self.known))
-        if self.older and missing:
-            older = [w for w in missing if w in self.older]
-            self.known.update((w, self.older[w]) for w in older)
-            missing = [w for w in missing if w not in self.older]
-        passing = {}
-        for lo in range(0, len(missing), 2000):
-            part = missing[lo : lo + 2000]
-            short = [w for w in part if len(w) <= LONGEST and b"\x01" not in w]
-            if short:
-                self.known.update(zip(short, self._encode(short), strict=True))
-            passing.update((w, self._alone(w)) for w in part if len(w) > LONGEST or b"\x01" in w)
-        if passing:
-            get = lambda w: passing[w] if w in passing else self.known[w]
-            return [b"".join(map(get, own)) for own in split]
-        return [b"".join(map(self.known.__getitem__, own)) for own in split]
+        get, self.passing = self.known.get, {}
+        split = [x.split() for x in spaced(raw)]
+        ids = [list(map(get, own)) for own in split]
+        gaps = [[k for k, x in enumerate(own) if x is None] if None in own else () for own in ids]
+        found = self._learn({own[k] for own, at in zip(split, gaps, strict=True) for k in at})
+        found.update(self.passing)
+        for own, out, at in zip(split, ids, gaps, strict=True):
+            for k in at:
+                out[k] = found[own[k]]
+        return [b"".join(own) for own in ids]
+
+
+def spaced(raw: list[bytes | None]) -> list[bytes]:
+    """The texts in lower-case ASCII, with a space before each single mark that follows a letter and ends a word.
+
+    The tokenizer makes the mark a word of its own, so the ids stay the same, and fewer words differ.
+    Texts that may hold a special token keep their case.
+    """
+    plain = [x.lower() if x and b"<|" not in x else x or b"" for x in raw]
+    a = np.frombuffer(b" ".join([b" ", *plain, b" "]), np.uint8)
+    kind = _KIND[a]
+    letter = (kind[1:-2] == 1) | ((a[:-3] == 0xC3) & (kind[1:-2] == 2))
+    at = np.flatnonzero(letter & (kind[2:-1] == 3) & (kind[3:] == 4)) + 2
+    out = np.insert(a, at, 32).tobytes()
+    ends = np.cumsum([2, *(len(x) + 1 for x in plain)])
+    ends += np.searchsorted(at, ends)
+    return [out[lo:hi] for lo, hi in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
 
 
 _encoders: dict[str, Encoder] = {}

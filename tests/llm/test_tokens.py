@@ -10,7 +10,7 @@ from tokenizers import Tokenizer
 
 from bitparse.llm import huffman, packing, tokens
 
-TEXTS = [None, "", " \n", "Hello, World's 3rd  test!\x1c\x85\xa0x", "é é ́ ΑΣ Σ", "<|endoftext|> a<|startoftext|>b <|endoftext |>", "\x01 a\x01b", "w" * 300 + " " + "don't 12" * 20, "日本語 ​　ok", "ﬁ İ ǅ"]
+TEXTS = [None, "", " \n", "Hello, World's 3rd  test!\x1c\x85\xa0x", "é é ́ ΑΣ Σ", "<|endoftext|> a<|startoftext|>b <|endoftext |>", "\x01 a\x01b", "w" * 300 + " " + "don't 12" * 20, "日本語 ​　ok", "ﬁ İ ǅ", "ÀÉ, ß. ÿ;; Don't It's? é́ x́, µ ª a.b a,b! <|endoftext|>."]
 
 
 def want(text, tokenizer=Tokenizer.from_file(tokens.default_path())):
