@@ -41,8 +41,11 @@ class Encoder:
     def __init__(self, path: str):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
+        from tokenizers.pre_tokenizers import WhitespaceSplit
 
         self.tokenizer = Tokenizer.from_file(path)
+        self.plain = Tokenizer(self.tokenizer.model)  # for words of lower-case ASCII letters, which are their own normal form
+        self.plain.pre_tokenizer = WhitespaceSplit()
         vocabulary = self.tokenizer.get_vocab()
         if max(vocabulary.values()) >= 1 << 16:
             raise ValueError("ids are kept in 16 bits; the vocabulary is larger")
@@ -54,9 +57,9 @@ class Encoder:
     def _each(self, words: list[bytes]) -> list[bytes]:
         return [np.array(e.ids, np.uint16).tobytes() for e in self.tokenizer.encode_batch_fast([w.decode("utf-8", "replace") for w in words], add_special_tokens=False)]
 
-    def _together(self, words: list[bytes]) -> list[bytes]:
+    def _together(self, words: list[bytes], tokenizer) -> list[bytes]:
         """The ids of words of letters, each of which the tokenizer takes as one word: all in one text, cut where words end."""
-        ids = np.array(self.tokenizer.encode_batch_fast([b" ".join(words).decode()], add_special_tokens=False)[0].ids, np.uint16)
+        ids = np.array(tokenizer.encode_batch_fast([b" ".join(words).decode()], add_special_tokens=False)[0].ids, np.uint16)
         cut = (2 * (np.flatnonzero(self.ends[ids]) + 1)).tolist()
         if len(cut) != len(words):
             return self._each(words)
@@ -66,19 +69,23 @@ class Encoder:
     def _learn(self, missing: set[bytes]) -> dict[bytes, bytes]:
         """The ids of words that are not in the table; words of letters go there, and others that are not long."""
         found: dict[bytes, bytes] = {}
-        plain, other = [], []
+        plain, letters, other = [], [], []
+        older = self.older.get
         for w in missing:
-            if w in self.older:
-                found[w] = self.older[w]
-            elif len(w) <= LONGEST and (w.isalpha() or _LETTERS.fullmatch(w)):
+            if (ids := older(w)) is not None:
+                found[w] = ids
+            elif w.isalpha() and w.islower() and len(w) <= LONGEST:
                 plain.append(w)
+            elif len(w) <= LONGEST and _LETTERS.fullmatch(w):
+                letters.append(w)
             elif len(w) <= LONGEST:
                 other.append(w)
             else:
                 self.passing[w] = self._each([w])[0]
-        for lo in range(0, len(plain), 4000):
-            part = plain[lo : lo + 4000]
-            found.update(zip(part, self._together(part), strict=True))
+        for words, tokenizer in ((plain, self.plain), (letters, self.tokenizer)):
+            for lo in range(0, len(words), 4000):
+                part = words[lo : lo + 4000]
+                found.update(zip(part, self._together(part, tokenizer), strict=True))
         found.update(zip(other, self._each(other), strict=True))
         self.known.update(found)
         return found
@@ -130,19 +137,30 @@ def crc(ids: np.ndarray) -> int:
     return zlib.crc32(ids.astype("<u4").tobytes())
 
 
-def tokenize(df: DataFrame, path: str | None = None, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The kept columns, ``ids`` (16-bit, the end id last) and ``n``, their number. A null text counts as empty."""
+def tokenize(df: DataFrame, path: str | None = None, text: str = "text", keep: tuple[str, ...] = ("doc_id",), tally: bool = False) -> DataFrame:
+    """The kept columns, ``ids`` (16-bit, the end id last) and ``n``, their number. A null text counts as empty.
+
+    With ``tally`` there is one row more for each partition, with no ids, n of 0 and the counts of all
+    ids of the partition in a column of that name, which is null elsewhere.
+    """
     path = path or default_path()
     own = df.select(*keep, F.col(text).alias("__text"))
-    schema = T.StructType([*own.drop("__text").schema, T.StructField("ids", T.BinaryType()), T.StructField("n", T.LongType())])
+    kept = own.drop("__text").schema
+    schema = T.StructType([*(T.StructField(f.name, f.dataType) for f in kept), *T.StructType.fromDDL("ids binary, n long" + ", tally binary" * tally)])
     end = np.array([END], np.uint16).tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = encoder(path)
+        own, total, part = encoder(path), np.zeros(1 << 16, np.int64), None
         for batch in batches:
             for lo in range(0, batch.num_rows, 256):
                 part = batch.slice(lo, 256)
                 ids = [x + end for x in own.texts(as_bytes(part["__text"]))]
-                yield pa.RecordBatch.from_arrays([*(part[k] for k in keep), pa.array(ids, pa.binary()), pa.array([len(x) // 2 for x in ids], pa.int64())], [*keep, "ids", "n"])
+                columns = [*(part[k] for k in keep), pa.array(ids, pa.binary()), pa.array([len(x) // 2 for x in ids], pa.int64())]
+                if tally:
+                    columns.append(pa.nulls(part.num_rows, pa.binary()))
+                    total += np.bincount(np.frombuffer(b"".join(ids), np.uint16), minlength=1 << 16)
+                yield pa.RecordBatch.from_arrays(columns, schema.names)
+        if tally and part is not None:
+            yield pa.RecordBatch.from_arrays([*(pa.nulls(1, part[k].type) for k in keep), pa.array([b""]), pa.array([0], pa.int64()), pa.array([total.astype("<i8").tobytes()])], schema.names)
 
     return own.mapInArrow(run, schema)
