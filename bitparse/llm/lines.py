@@ -106,7 +106,8 @@ def later_copies(lines: DataFrame) -> DataFrame:
         at_end = level.select("o", "h", F.col("l").alias("e"), F.col("r").alias("r2"))
         named = own.join(at_start, ["o", "h", "s"]).withColumn("e", F.col("s") + F.col("t") - (1 << k)).join(at_end, ["o", "h", "e"]) if k else own.join(at_start, ["o", "h", "s"]).withColumn("r2", F.col("r1"))
         named = store(named.select("o", "h", "s", "t", "r1", "r2"), "named")
-        first = named.groupBy("t", "r1", "r2").agg(F.min(F.struct("o", "h", "s")).alias("first"), F.count("*").alias("n")).filter("n > 1")
+        # stored, so that the join below deals both sides anew and a run that very many texts share can be split
+        first = store(named.groupBy("t", "r1", "r2").agg(F.min(F.struct("o", "h", "s")).alias("first"), F.count("*").alias("n")).filter("n > 1"), "first")
         out.append(named.join(first, ["t", "r1", "r2"]).filter(F.struct("o", "h", "s") > F.col("first")).select("o", "h", "s", "t"))
         k += 1
         if 1 << k > longest:
