@@ -16,7 +16,7 @@ def bad_strings(spark: SparkSession, most: int, least: int = 2) -> DataFrame:
     own = spark.range(least, most + 1).withColumnRenamed("id", "seq_id")
     l = F.col("seq_id")  # noqa: E741
     tail = F.flatten(F.transform(F.sequence(F.lit(1), l.cast("int")), part))
-    syms = F.concat(part(l), F.array_repeat(F.lit(C), F.shiftleft(F.lit(1), l.cast("int"))), tail)
+    syms = F.concat(part(l), F.array_repeat(F.lit(C), F.call_function("shiftleft", F.lit(1), l.cast("int"))), tail)
     return own.select("seq_id", syms.alias("syms")).select("seq_id", F.size("syms").alias("n"), "syms")
 
 
@@ -27,7 +27,7 @@ def closed_forms(strings: DataFrame, f: Code | str = "gamma", g: Code | str = "g
     l = F.col("seq_id").cast("int")  # noqa: E741
     literal = lambda s: F.lit(f.bits(0) + g.bits(s)).cast("long")
     copy = lambda d, n: f.column(d) + g.column(n)
-    power = F.shiftleft(F.lit(1), l)
+    power = F.call_function("shiftleft", F.lit(1), l)
     add = lambda values: F.aggregate(values, F.lit(0).cast("long"), lambda a, x: a + x)
     head = literal(B) + literal(A) + copy(F.lit(1), l - 1) + literal(C) + copy(F.lit(1), power - 1)
     far = lambda k: copy(l + 1 + power + ((k - 1) * (k + 2) / 2).cast("int"), k + 1)
@@ -42,7 +42,7 @@ def near_copy_parse(strings: DataFrame) -> DataFrame:
     """(seq_id, phrases): start, length and distance of the parser that copies each part from the one just before it."""
     l = F.col("seq_id").cast("int")  # noqa: E741
     step = lambda i, n, d: F.struct(i.cast("int").alias("start"), n.cast("int").alias("len"), d.cast("int").alias("dist"))
-    one, power = F.lit(1), F.shiftleft(F.lit(1), l)
+    one, power = F.lit(1), F.call_function("shiftleft", F.lit(1), l)
     base = l + 2 + power
     at = lambda k: base + ((k - 1) * (k + 2) / 2).cast("int")
     head = F.array(step(one, one, F.lit(0)), step(one + 1, one, F.lit(0)), step(one + 2, l - 1, one), step(l + 2, one, F.lit(0)), step(l + 3, power - 1, one), step(base, one, F.lit(0)), step(base + 1, one, F.lit(0)))

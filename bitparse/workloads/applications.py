@@ -115,17 +115,17 @@ add("stream_lz78_batch", lambda s, d: lz78.run(tables.events(s, d), ("greedy",))
 
 
 def _windowed(span):
-    return lambda s, d: streaming.window_bits(_symbols(s, d), span).withColumns({"begins": F.unix_micros("begins"), "ends": F.unix_micros("ends")})
+    return lambda s, d: streaming.window_bits(_symbols(s, d), span()).withColumns({"begins": F.unix_micros("begins"), "ends": F.unix_micros("ends")})
 
 
-add("tumbling_bits", _windowed(F.window("ts", "7 days")))
-add("sliding_bits", _windowed(F.window("ts", "10 days", "5 days")))
-add("session_bits", _windowed(F.session_window("ts", "12 hours")))
+add("tumbling_bits", _windowed(lambda: F.window("ts", "7 days")))
+add("sliding_bits", _windowed(lambda: F.window("ts", "10 days", "5 days")))
+add("session_bits", _windowed(lambda: F.session_window("ts", "12 hours")))
 add(
-    "tumbling_counts", lambda s, d: _windowed(F.window("ts", "7 days"))(s, d).groupBy("begins").agg(F.count("*").alias("keys"), F.sum("n").alias("n")),
+    "tumbling_counts", lambda s, d: _windowed(lambda: F.window("ts", "7 days"))(s, d).groupBy("begins").agg(F.count("*").alias("keys"), F.sum("n").alias("n")),
     "with w as (select user_id, (epoch_us(ts) // 604800000000) * 604800000000 as begins, count(*) as n from events group by all) select begins::bigint as begins, count(*) as keys, sum(n)::bigint as n from w group by begins",
 )
 add(
-    "session_counts", lambda s, d: _windowed(F.session_window("ts", "12 hours"))(s, d).groupBy("key").agg(F.count("*").alias("sessions"), F.sum("n").alias("n")),
+    "session_counts", lambda s, d: _windowed(lambda: F.session_window("ts", "12 hours"))(s, d).groupBy("key").agg(F.count("*").alias("sessions"), F.sum("n").alias("n")),
     "with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 12 hours then 0 else 1 end as new from events) select user_id as key, sum(new)::bigint as sessions, count(*) as n from g group by user_id",
 )

@@ -193,7 +193,7 @@ def _grown(name):
 _GROWN = """with recursive sym as materialized ({sym}), seq as materialized (select seq_id, list(s order by i) as syms, count(*)::int as n from sym group by seq_id),
 walk as (select seq_id, syms, n, 1 as i, 0 as k, 0 as start, 0 as len, 0 as id, null::bigint as next, [[]::bigint[]] as known from seq
 union all select seq_id, syms, n, i + m + 1, k + 1, i, least(m + 1, n - i + 1), list_position(known, syms[i:i + m - 1]) - 1, case when i + m <= n then syms[i + m] end, case when i + m <= n then list_append(known, syms[i:i + m]) else known end
-from (select *, list_max(list_transform(range(0, n - i + 2), l -> case when list_contains(known, syms[i:i + l - 1]) then l else 0 end)) as m from walk where i <= n))
+from (select *, list_max(list_transform(range(0, n - i + 2), lambda l: case when list_contains(known, syms[i:i + l - 1]) then l else 0 end)) as m from walk where i <= n))
 select seq_id, start, len, id::int as id, coalesce(next, -1) as sym from walk where k > 0"""
 for _name in ("events", "orders"):
     add(f"lz78_phrases_{_name}", _grown(_name), _GROWN.replace("{sym}", tables.SYM[_name]))

@@ -49,12 +49,17 @@ add("range_join_bands", "select b::int as band, count(*) as n from lineitem join
 add("union_all", "select l_partkey as k from lineitem union all select p_partkey from part", lambda s, d: read(s, d, "lineitem").select(F.col("l_partkey").alias("k")).unionAll(read(s, d, "part").select("p_partkey")))
 add("intersect_keys", "select o_custkey as k from orders intersect select user_id from events", lambda s, d: read(s, d, "orders").select(F.col("o_custkey").alias("k")).intersect(read(s, d, "events").select("user_id")))
 add("except_keys", "select c_custkey as k from customer except select o_custkey from orders", lambda s, d: read(s, d, "customer").select(F.col("c_custkey").alias("k")).exceptAll(read(s, d, "orders").select("o_custkey").distinct()))
-_W = Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
+
+
+def _dearest():
+    return Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
+
+
 add(
     "ranking_orders", "select o_orderkey, rank() over w as rk, dense_rank() over w as dr, ntile(4) over w as nt, round(percent_rank() over w, 6) as pr, lag(o_orderkey) over w as prev, nth_value(o_orderkey, 2) over (partition by o_custkey order by o_totalprice desc, o_orderkey rows between unbounded preceding and unbounded following) as second from orders window w as (partition by o_custkey order by o_totalprice desc, o_orderkey)",
-    lambda s, d: read(s, d, "orders").select("o_orderkey", F.rank().over(_W).cast("long").alias("rk"), F.dense_rank().over(_W).cast("long").alias("dr"), F.ntile(4).over(_W).cast("long").alias("nt"), F.round(F.percent_rank().over(_W), 6).alias("pr"), F.lag("o_orderkey").over(_W).alias("prev"), F.nth_value("o_orderkey", 2).over(_W.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("second")),
+    lambda s, d: read(s, d, "orders").select("o_orderkey", F.rank().over(_dearest()).cast("long").alias("rk"), F.dense_rank().over(_dearest()).cast("long").alias("dr"), F.ntile(4).over(_dearest()).cast("long").alias("nt"), F.round(F.percent_rank().over(_dearest()), 6).alias("pr"), F.lag("o_orderkey").over(_dearest()).alias("prev"), F.nth_value("o_orderkey", 2).over(_dearest().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("second")),
 )
-add("topk_per_customer", "select o_custkey, o_orderkey from orders qualify row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) <= 3", lambda s, d: read(s, d, "orders").withColumn("r", F.row_number().over(_W)).filter("r <= 3").select("o_custkey", "o_orderkey"))
+add("topk_per_customer", "select o_custkey, o_orderkey from orders qualify row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) <= 3", lambda s, d: read(s, d, "orders").withColumn("r", F.row_number().over(_dearest())).filter("r <= 3").select("o_custkey", "o_orderkey"))
 add("topk_parts", "select p_partkey, p_retailprice from part order by p_retailprice desc, p_partkey limit 10", lambda s, d: read(s, d, "part").select("p_partkey", "p_retailprice").orderBy(F.desc("p_retailprice"), "p_partkey").limit(10))
 add(
     "window_frames", "select event_id, count(*) over (partition by user_id order by ts rows between 4 preceding and current row) as last5, round(sum(value) over (partition by user_id order by ts, event_id rows unbounded preceding), 4) as running from events",

@@ -82,7 +82,7 @@ _SUFFIX = f"sym as ({tables.SYM['orders']}), seq as (select seq_id, list(s order
 add(
     "suffix_ranks", lambda s, d: repeats.suffix_order(tables.orders(s, d)),
     f"""with {_SUFFIX}, placed as (select seq_id, i, syms[i:] as x, row_number() over (partition by seq_id order by syms[i:]) as rank, lag(syms[i:]) over (partition by seq_id order by syms[i:]) as y from start)
-select seq_id, i, rank::int as rank, coalesce(list_max(list_transform(range(0, least(len(x), len(y)) + 1), k -> case when x[1:k] = y[1:k] then k else 0 end)), 0)::bigint as lcp from placed""",
+select seq_id, i, rank::int as rank, coalesce(list_max(list_transform(range(0, least(len(x), len(y)) + 1), lambda k: case when x[1:k] = y[1:k] then k else 0 end)), 0)::bigint as lcp from placed""",
 )
 add("longest_repeat_events", lambda s, d: measures.longest_repeat(tables.events(s, d)).select("seq_id", "longest"), f"with {tables.copies_sql('events')} select seq_id, max(len)::bigint as longest from copies group by seq_id")
 add("longest_repeat_documents", lambda s, d: measures.longest_repeat(tables.documents(s, d)))
@@ -121,7 +121,7 @@ def _max_lcp(s, d):
 
 add(
     "max_lcp_window", _max_lcp,
-    f"with {_SUFFIX}, pairs as (select a.seq_id, a.i, a.i - b.i as dist, a.syms[a.i:] as x, a.syms[b.i:] as y from start a join start b on a.seq_id = b.seq_id and b.i < a.i), l as (select seq_id, i, {_GAMMA.replace('{x}', 'dist')} as plateau, list_max(list_transform(range(0, len(x) + 1), k -> case when x[1:k] = y[1:k] then k else 0 end)) as lcp from pairs) select seq_id, i, plateau::bigint as plateau, max(lcp)::bigint as lcp from l where lcp > 0 group by seq_id, i, plateau",
+    f"with {_SUFFIX}, pairs as (select a.seq_id, a.i, a.i - b.i as dist, a.syms[a.i:] as x, a.syms[b.i:] as y from start a join start b on a.seq_id = b.seq_id and b.i < a.i), l as (select seq_id, i, {_GAMMA.replace('{x}', 'dist')} as plateau, list_max(list_transform(range(0, len(x) + 1), lambda k: case when x[1:k] = y[1:k] then k else 0 end)) as lcp from pairs) select seq_id, i, plateau::bigint as plateau, max(lcp)::bigint as lcp from l where lcp > 0 group by seq_id, i, plateau",
 )
 add("block_star_recall", lambda s, d: measures.star_recall(tables.events(s, d)), f"with {_PRUNE} select seq_id, count(*) filter (df) as d_maximal, count(*) filter (df) as found, 0::bigint as invalid from ahead group by seq_id")
 add("completeness_of_copies", lambda s, d: measures.completeness(repeats.grams(_sym("orders", s, d)).select(F.col("gram").alias("phrase"))), "select 0::bigint as prefix, 0::bigint as suffix")

@@ -119,5 +119,5 @@ def optimum_sql(edges: str = "edges", bits: str = "bits") -> str:
     return f"""back as materialized (select seq_id, j, list({{'i': i, 'bits': {bits}}}) as steps from {edges} group by seq_id, j),
 walk as (
 select distinct seq_id, 1 as j, [0::bigint] as costs from back
-union all select w.seq_id, w.j + 1, list_append(w.costs, list_min(list_transform(b.steps, e -> w.costs[e.i] + e.bits))) from walk w join back b on b.seq_id = w.seq_id and b.j = w.j + 1),
+union all select w.seq_id, w.j + 1, list_append(w.costs, list_min(list_transform(b.steps, lambda e: w.costs[e.i] + e.bits))) from walk w join back b on b.seq_id = w.seq_id and b.j = w.j + 1),
 best as (select seq_id, max_by(costs[-1], j)::bigint as bits from walk group by seq_id)"""
