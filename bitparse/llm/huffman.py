@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from bitparse.llm import tokens
 from bitparse.llm.common import store, table
 
-LIMIT, BLOCK, PER_FILE = 18, 2048, 2_000_000
+LIMIT, BLOCK, PIECE, PER_FILE = 18, 512, 1 << 16, 2_000_000
 _HEAD = struct.Struct("<4sHQI")
 _MAGIC = b"CHUF"
 
@@ -77,19 +77,29 @@ class Code:
             code += 1
 
     def encode(self, ids: np.ndarray) -> bytes:
-        n = len(ids)
+        """Pieces of whole blocks, small enough for the processor's cache, each from a word of 32 bits on."""
+        n, at, offsets, words = len(ids), 0, [], []
+        for lo in range(0, n, PIECE):
+            start, own = self._piece(ids[lo : lo + PIECE])
+            offsets.append(start[::BLOCK] + 32 * at)
+            words.append(own)
+            at += len(own)
+        words.append(np.zeros(1, np.uint32))  # so that every look ahead stays inside
+        starts = np.concatenate([*offsets, np.zeros(0, np.int64)]).astype("<u8")
+        return _HEAD.pack(_MAGIC, 1, n, len(starts)) + starts.tobytes() + np.concatenate(words).astype(">u4").tobytes()
+
+    def _piece(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The bit where each id begins, and the words."""
         size = self.length[ids].astype(np.int64)
         end = np.cumsum(size)
         start = end - size
-        blocks = -(-n // BLOCK)
-        word, room = start >> 5, (64 - (start & 31) - size).astype(np.uint64)
-        wide = self.code[ids] << room
-        out = np.zeros((int(end[-1]) >> 5) + 3 if n else 1, np.uint64)
-        if n:
-            first = np.flatnonzero(np.concatenate(([True], word[1:] != word[:-1])))
-            out[word[first]] += np.add.reduceat(wide >> np.uint64(32), first)
-            out[word[first] + 1] += np.add.reduceat(wide & np.uint64(0xFFFFFFFF), first)
-        return _HEAD.pack(_MAGIC, 1, n, blocks) + start[::BLOCK].astype("<u8").tobytes() + out.astype(">u4").tobytes()
+        word = start >> 5
+        wide = self.code[ids] << (64 - (start & 31) - size).astype(np.uint64)
+        out = np.zeros((int(end[-1]) >> 5) + 2, np.uint64)
+        first = np.flatnonzero(np.concatenate(([True], word[1:] != word[:-1])))
+        out[word[first]] += np.add.reduceat(wide >> np.uint64(32), first)
+        out[word[first] + 1] += np.add.reduceat(wide & np.uint64(0xFFFFFFFF), first)
+        return start, out.astype(np.uint32)
 
     def decode(self, payload: bytes) -> np.ndarray:
         magic, version, n, blocks = _HEAD.unpack_from(payload)
@@ -97,7 +107,7 @@ class Code:
             raise ValueError("not a token file of this format")
         at = np.frombuffer(payload, "<u8", blocks, _HEAD.size).astype(np.int64)
         bits = np.frombuffer(payload, ">u4", -1, _HEAD.size + 8 * blocks).astype(np.uint64)
-        pairs = (bits[:-1] << np.uint64(32)) | bits[1:] if len(bits) > 1 else bits
+        pairs = (bits[:-1] << np.uint64(32)) | bits[1:]
         out = np.zeros((BLOCK, blocks), np.uint16)
         shift, mask = np.uint64(64 - self.width), np.uint64((1 << self.width) - 1)
         full, last = blocks, n - (blocks - 1) * BLOCK if blocks else 0
@@ -111,23 +121,21 @@ class Code:
 
 
 def count_ids(ids: DataFrame) -> DataFrame:
-    """(id, count) over all rows' ids."""
+    """(id, count) over all rows, from the tallies of the partitions."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(1 << 16, np.int64)
         for batch in batches:
-            for x in batch["ids"].to_pylist():
-                total += np.bincount(np.frombuffer(x, np.uint16), minlength=1 << 16) if len(x) > 1 << 17 else 0
-            short = b"".join(x for x in batch["ids"].to_pylist() if len(x) <= 1 << 17)
-            total += np.bincount(np.frombuffer(short, np.uint16), minlength=1 << 16)
+            for x in batch["tally"].to_pylist():
+                total += np.frombuffer(x, "<i8")
         own = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(own), pa.array(total[own])], ["id", "n"])
 
-    return ids.select("ids").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("count"))
+    return ids.select("tally").filter("tally is not null").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("count"))
 
 
 def write(ids: DataFrame, key: str = "doc_id") -> tuple[DataFrame, dict[int, int]]:
-    """Writes rows of key, ids and n as files in key order. Gives the container and the code lengths."""
+    """Writes stored rows of key, ids, n and tally as files in key order. Gives the container and the code lengths."""
     lengths = code_lengths({r["id"]: r["count"] for r in count_ids(ids).collect()})  # bounded by the vocabulary
     total = ids.agg(F.sum("n")).first()[0] or 0
     parts = max(1, -(-total // PER_FILE), min(int(ids.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // 100_000)))
@@ -152,13 +160,13 @@ def write(ids: DataFrame, key: str = "doc_id") -> tuple[DataFrame, dict[int, int
         if held:
             yield flush()
 
-    ordered = ids.select(F.col(key).cast("long").alias("k"), "ids").repartitionByRange(parts, "k").sortWithinPartitions("k")
+    ordered = ids.filter("tally is null").select(F.col(key).cast("long").alias("k"), "ids").repartitionByRange(parts, "k").sortWithinPartitions("k")
     shards = ordered.mapInArrow(run, "file long, keys array<long>, counts array<long>, n_ids long, payload binary")
     return store(shards.withColumn("shard", F.spark_partition_id().cast("long")), "token-files"), lengths
 
 
-def read(files: DataFrame, lengths: dict[int, int]) -> DataFrame:
-    """(key, start, n_tokens, ids_crc32, ids) of each document, from the files alone."""
+def read(files: DataFrame, lengths: dict[int, int], with_ids: bool = True) -> DataFrame:
+    """(key, start, n_tokens, ids_crc32 and, unless left out, ids) of each document, from the files alone."""
     # one row a file of millions of ids; the window sorts rows of a few numbers
     before = F.sum("n_ids").over(Window.orderBy("shard", "file").rowsBetween(Window.unboundedPreceding, -1))
     starts = files.select("shard", "file", "n_ids").select("shard", "file", F.coalesce(before, F.lit(0)).alias("before"))
@@ -173,13 +181,18 @@ def read(files: DataFrame, lengths: dict[int, int]) -> DataFrame:
                 cut = list(zip((ends - counts).tolist(), ends.tolist(), strict=True))
                 start = batch["before"][k].as_py() + ends - counts
                 crcs = pa.array([tokens.crc(ids[a:b]) for a, b in cut], pa.int64())
-                yield pa.RecordBatch.from_arrays([batch["keys"].slice(k, 1).flatten(), pa.array(start), pa.array(counts), crcs, pa.array([ids[a:b].tobytes() for a, b in cut], pa.binary())], ["key", "start", "n_tokens", "ids_crc32", "ids"])
+                columns = [batch["keys"].slice(k, 1).flatten(), pa.array(start), pa.array(counts), crcs]
+                if with_ids:
+                    columns.append(pa.array([ids[a:b].tobytes() for a, b in cut], pa.binary()))
+                yield pa.RecordBatch.from_arrays(columns, names)
 
+    schema = "key long, start long, n_tokens long, ids_crc32 long" + ", ids binary" * with_ids
+    names = ["key", "start", "n_tokens", "ids_crc32"] + ["ids"] * with_ids
     located = files.join(starts, ["shard", "file"])
-    return located.select("keys", "counts", "payload", "before").mapInArrow(run, "key long, start long, n_tokens long, ids_crc32 long, ids binary")
+    return located.select("keys", "counts", "payload", "before").mapInArrow(run, schema)
 
 
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
-    ids = store(tokens.tokenize(table(spark, sf_dir, "documents").select("doc_id", "text")), "ids")
+    ids = store(tokens.tokenize(table(spark, sf_dir, "documents").select("doc_id", "text"), tally=True), "ids")
     files, lengths = write(ids)
-    return read(files, lengths).select(F.col("key").alias("doc_id"), "start", "n_tokens", "ids_crc32")
+    return read(files, lengths, with_ids=False).select(F.col("key").alias("doc_id"), "start", "n_tokens", "ids_crc32")

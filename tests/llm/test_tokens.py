@@ -52,7 +52,7 @@ def test_codes(n):
     tight = huffman.code_lengths({k: 2**min(k, 40) for k in range(n)}, 10)
     assert max(tight.values()) <= 10 and sum(2.0**-x for x in tight.values()) <= 1
     code = huffman.Code(tight)
-    for size in (0, 1, 5, 2047, 2048, 2049, 9000):
+    for size in (0, 1, 5, 511, 512, 513, 65536, 65537, 140_000):
         ids = np.random.default_rng(size).integers(0, n, size).astype(np.uint16)
         assert (code.decode(code.encode(ids)) == ids).all()
 
@@ -70,12 +70,12 @@ def test_token_files(spark, sf):
 def test_token_files_odd_rows(spark):
     rows = [(k // 2 if k < 9 else None, t) for k, t in enumerate(TEXTS)]
     df = spark.createDataFrame([(*r, "x") for r in rows], "doc_id long, text string, ids string")
-    ids = huffman.store(tokens.tokenize(df), "ids")
+    ids = huffman.store(tokens.tokenize(df, tally=True), "ids")
     got = huffman.read(*huffman.write(ids)).collect()
     assert sorted((r.key is None, r.key or 0, r.ids_crc32) for r in got) == sorted((k is None, k or 0, crc(want(t))) for k, t in rows)
     ends = sorted((r.start, r.n_tokens) for r in got)
     assert all(a + n == b for (a, n), (b, _) in zip(ends, ends[1:], strict=False)) and ends[0][0] == 0
-    empty = huffman.store(tokens.tokenize(df.limit(0)), "ids")
+    empty = huffman.store(tokens.tokenize(df.limit(0), tally=True), "ids")
     assert huffman.read(*huffman.write(empty)).count() == 0
 
 
