@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from bitparse.llm import tokens
 from bitparse.llm.common import store, table
 
-LIMIT, BLOCK, PIECE, PER_FILE = 18, 512, 1 << 16, 2_000_000
+LIMIT, BLOCK, PIECE, PER_FILE, MOST_RUNS = 18, 512, 1 << 16, 2_000_000, 64
 _HEAD = struct.Struct("<4sHQI")
 _MAGIC = b"CHUF"
 
@@ -134,11 +134,40 @@ def count_ids(ids: DataFrame) -> DataFrame:
     return ids.select("tally").filter("tally is not null").mapInArrow(run, "id long, n long").groupBy("id").agg(F.sum("n").alias("count"))
 
 
+def in_order(ids: DataFrame, key: str) -> bool:
+    """Whether the stored rows, as scans deal them out, are runs of ascending keys that do not overlap."""
+
+    def runs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out: list[list] = []
+        for batch in batches:
+            for k in batch["k"].to_pylist():
+                if k is None:
+                    out += [[0, 1 << 62]] * (MOST_RUNS + 1)  # nulls have no place in a run
+                elif out and out[-1][1] <= k:
+                    out[-1][1] = k
+                else:
+                    out.append([k, k])
+                if len(out) > MOST_RUNS:  # not in order: two rows that overlap say so
+                    out = [[-(1 << 62), 1 << 62]] * 2
+                    break
+        yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in out], pa.int64()), pa.array([r[1] for r in out], pa.int64())], ["first", "last"])
+
+    found = ids.filter("tally is null").select(F.col(key).cast("long").alias("k")).mapInArrow(runs, "first long, last long")
+    return _apart(found)
+
+
+def _apart(found: DataFrame) -> bool:
+    before = F.lag("last").over(Window.orderBy("first", "last"))  # a few rows a partition
+    return found.select("first", "last").withColumn("before", before).filter("before > first or first is null").isEmpty()
+
+
 def write(ids: DataFrame, key: str = "doc_id") -> tuple[DataFrame, dict[int, int]]:
-    """Writes stored rows of key, ids, n and tally as files in key order. Gives the container and the code lengths."""
+    """Writes stored rows of key, ids, n and tally as files in key order. Gives the container and the code lengths.
+
+    Rows that already stand in order, as in a table written in order, are encoded where they stand;
+    others are dealt out by ranges of keys and sorted first.
+    """
     lengths = code_lengths({r["id"]: r["count"] for r in count_ids(ids).collect()})  # bounded by the vocabulary
-    total = ids.agg(F.sum("n")).first()[0] or 0
-    parts = max(1, -(-total // PER_FILE), min(int(ids.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // 100_000)))
     code = ids.sparkSession.sparkContext.broadcast(Code(lengths))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -146,30 +175,44 @@ def write(ids: DataFrame, key: str = "doc_id") -> tuple[DataFrame, dict[int, int
 
         def flush():
             whole = np.frombuffer(b"".join(held), np.uint16)
-            counts = np.array([len(x) // 2 for x in held], "<i8")
-            return pa.RecordBatch.from_arrays([pa.array([number], pa.int64()), pa.array([keys], pa.list_(pa.int64())), pa.array([counts.tolist()], pa.list_(pa.int64())), pa.array([len(whole)], pa.int64()), pa.array([code.value.encode(whole)], pa.binary())], ["file", "keys", "counts", "n_ids", "payload"])
+            counts = [len(x) // 2 for x in held]
+            known = [k for k in keys if k is not None]
+            return pa.RecordBatch.from_arrays(
+                [pa.array([number], pa.int64()), pa.array([min(known, default=None)], pa.int64()), pa.array([max(known, default=None)], pa.int64()), pa.array([keys], pa.list_(pa.int64())), pa.array([counts], pa.list_(pa.int64())), pa.array([len(whole)], pa.int64()), pa.array([code.value.encode(whole)], pa.binary())],
+                ["file", "first", "last", "keys", "counts", "n_ids", "payload"],
+            )
 
         for batch in batches:
             for k, x in zip(batch["k"].to_pylist(), batch["ids"].to_pylist(), strict=True):
+                if held and (size >= PER_FILE or (k is None) != (keys[-1] is None) or k is not None and k < keys[-1]):
+                    yield flush()
+                    keys, held, size, number = [], [], 0, number + 1
                 keys.append(k)
                 held.append(x)
                 size += len(x) // 2
-                if size >= PER_FILE:
-                    yield flush()
-                    keys, held, size, number = [], [], 0, number + 1
         if held:
             yield flush()
 
-    ordered = ids.filter("tally is null").select(F.col(key).cast("long").alias("k"), "ids").repartitionByRange(parts, "k").sortWithinPartitions("k")
-    shards = ordered.mapInArrow(run, "file long, keys array<long>, counts array<long>, n_ids long, payload binary")
-    return store(shards.withColumn("shard", F.spark_partition_id().cast("long")), "token-files"), lengths
+    rows = ids.filter("tally is null").select(F.col(key).cast("long").alias("k"), "ids")
+
+    def files(dealt: DataFrame) -> DataFrame:
+        made = dealt.mapInArrow(run, "file long, first long, last long, keys array<long>, counts array<long>, n_ids long, payload binary")
+        return store(made.withColumn("shard", F.spark_partition_id().cast("long")), "token-files")
+
+    if in_order(ids, key):
+        made = files(rows)
+        if _apart(made):
+            return made, lengths
+    total = ids.agg(F.sum("n")).first()[0] or 0
+    parts = max(1, -(-total // PER_FILE), min(int(ids.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // 100_000)))
+    return files(rows.repartitionByRange(parts, "k").sortWithinPartitions("k")), lengths
 
 
 def read(files: DataFrame, lengths: dict[int, int], with_ids: bool = True) -> DataFrame:
     """(key, start, n_tokens, ids_crc32 and, unless left out, ids) of each document, from the files alone."""
     # one row a file of millions of ids; the window sorts rows of a few numbers
-    before = F.sum("n_ids").over(Window.orderBy("shard", "file").rowsBetween(Window.unboundedPreceding, -1))
-    starts = files.select("shard", "file", "n_ids").select("shard", "file", F.coalesce(before, F.lit(0)).alias("before"))
+    before = F.sum("n_ids").over(Window.orderBy("first", "last", "shard", "file").rowsBetween(Window.unboundedPreceding, -1))
+    starts = files.select("shard", "file", "first", "last", "n_ids").select("shard", "file", F.coalesce(before, F.lit(0)).alias("before"))
     code = files.sparkSession.sparkContext.broadcast(Code(lengths))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

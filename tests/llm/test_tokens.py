@@ -79,6 +79,25 @@ def test_token_files_odd_rows(spark):
     assert huffman.read(*huffman.write(empty)).count() == 0
 
 
+def test_token_files_of_rows_in_any_order(spark, monkeypatch):
+    monkeypatch.setattr(huffman, "PER_FILE", 40)
+    rows = [(k, f"text {k} " * (k % 7)) for k in range(60)] + [(30, "again"), (59, "last")]
+    want_rows = None
+    for order in (sorted(rows), list(reversed(rows)), random.Random(1).sample(rows, len(rows))):
+        df = spark.createDataFrame(order, "doc_id long, text string").repartition(1) if order == sorted(rows) else spark.createDataFrame(order, "doc_id long, text string")
+        ids = huffman.store(tokens.tokenize(df, tally=True), "ids")
+        got = sorted((r.key, r.n_tokens, r.ids_crc32) for r in huffman.read(*huffman.write(ids), with_ids=False).collect())
+        assert want_rows is None or got == want_rows
+        want_rows = got
+        at = 0
+        for r in huffman.read(*huffman.write(ids), with_ids=False).orderBy("start").collect():
+            assert r.start == at
+            at += r.n_tokens
+    assert want_rows == sorted((k, len(want(t)), crc(want(t))) for k, t in rows)
+    keys = huffman.read(*huffman.write(ids), with_ids=False).orderBy("start").collect()
+    assert [r.key for r in keys] == sorted(r.key for r in keys)
+
+
 def check_pieces(pieces, docs, window=2048):
     by_doc, by_sequence = {}, {}
     for p in pieces:
