@@ -15,9 +15,8 @@ def code_points(text: Column) -> Column:
 
 
 def utf8_bytes(text: Column) -> Column:
-    digits = F.hex(F.encode(text, "UTF-8"))
-    place = F.sequence(F.lit(1), F.greatest(F.length(digits), F.lit(2)), F.lit(2))
-    return F.when(F.length(digits) > 0, F.transform(place, lambda k: F.conv(F.substr(digits, k, F.lit(2)), 16, 10).cast("int"))).otherwise(F.array().cast("array<int>"))
+    digits = F.regexp_extract_all(F.hex(F.encode(text, "UTF-8")), F.lit("(..)"), F.lit(1))
+    return F.transform(digits, lambda d: F.conv(d, 16, 10).cast("int"))
 
 
 def from_text(df: DataFrame, key: str, text: str, unit: str = "codepoint") -> DataFrame:

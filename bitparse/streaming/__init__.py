@@ -84,7 +84,7 @@ def window_bits(events: DataFrame, span: Column, f: Code | str = "gamma", g: Cod
 
 def symbols(events: DataFrame, symbol: Column) -> DataFrame:
     """key, s, ts and event_id of events by user."""
-    return events.select(F.col("user_id").alias("key"), symbol.cast("long").alias("s"), "ts", "event_id")
+    return events.select(F.col("user_id").alias("key"), symbol.cast("long").alias("s"), F.col("ts").cast("timestamp").alias("ts"), "event_id")
 
 
 def deduplicated(stream: DataFrame, delay: str = "1 hour") -> DataFrame:

@@ -235,7 +235,7 @@ add("bwt_reference", lambda s, d: measures.bwt_runs(tables.benchmark(s, d)))
 
 def _roundtrip(name, table, key, text, unit):
     def query(s, d):
-        parse = parsers.optimal(sequences.from_text(tables.read(s, d, table), key, text, unit), "delta", "delta")
+        parse = parsers.optimal(sequences.from_text(tables.spread(tables.read(s, d, table).select(key, text)), key, text, unit), "delta", "delta")
         back = sequences.to_text(bits.decode(bits.encode(parse)))
         return back.select("seq_id", F.md5(F.col("text").cast("binary")).alias("digest"))
 

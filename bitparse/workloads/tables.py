@@ -12,6 +12,12 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """df over all cores, where its files give too few tasks for kernels that cost far more than moving the rows."""
+    n = 4 * df.sparkSession.sparkContext.defaultParallelism
+    return df if df.rdd.getNumPartitions() >= n else df.repartition(n)
+
+
 def ranked(df: DataFrame, symbol: Column) -> DataFrame:
     """df with ``sym``, the rank of a column of few values (statuses, flags) among them."""
     named = df.withColumn("__v", symbol)
@@ -20,11 +26,11 @@ def ranked(df: DataFrame, symbol: Column) -> DataFrame:
 
 
 def documents(spark, sf_dir):
-    return sequences.from_text(read(spark, sf_dir, "documents"), "doc_id", "text")
+    return sequences.from_text(spread(read(spark, sf_dir, "documents").select("doc_id", "text")), "doc_id", "text")
 
 
 def pages(spark, sf_dir):
-    return sequences.from_text(read(spark, sf_dir, "pages"), "page_id", "html")
+    return sequences.from_text(spread(read(spark, sf_dir, "pages").select("page_id", "html")), "page_id", "html")
 
 
 def benchmark(spark, sf_dir):

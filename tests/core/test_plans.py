@@ -42,7 +42,7 @@ def test_copies_are_parsed_once(spark):
 
 
 def test_scans_read_two_columns_and_parsing_does_not_shuffle(spark):
-    text = plan(parsers.optimal(tables.documents(spark, SMALL)))
+    text = plan(parsers.optimal(sequences.from_text(tables.read(spark, SMALL, "documents"), "doc_id", "text")))
     assert "Exchange" not in text and "ReadSchema: struct<doc_id:bigint,text:string>" in text
     filtered = plan(parsers.optimal(sequences.from_text(tables.read(spark, SMALL, "documents").filter("lang = 'en'"), "doc_id", "text")))
     assert "EqualTo(lang,en)" in filtered

@@ -22,7 +22,7 @@ def _run(stream, name, spark):
 
 @pytest.fixture(scope="module")
 def stream_of(spark, tmp_path_factory):
-    folder = str(tmp_path_factory.mktemp("events"))
+    folder = str(tmp_path_factory.mktemp("events") / "in")
     events = tables.ranked(tables.read(spark, SMALL, "events"), F.col("event_type"))
     streaming.symbols(events, F.col("sym")).orderBy("ts").repartitionByRange(4, "ts").write.parquet(folder)
     schema = spark.read.parquet(folder).schema
