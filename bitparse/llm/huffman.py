@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 from bitparse.llm import tokens
 from bitparse.llm.common import store, table
 
-LIMIT, BLOCK, PIECE, PER_FILE, MOST_RUNS = 18, 512, 1 << 16, 2_000_000, 64
+LIMIT, BLOCK, PIECE, PER_FILE, MOST_RUNS, MOST_FILES = 18, 512, 1 << 16, 2_000_000, 64, 500_000
 _HEAD = struct.Struct("<4sHQI")
 _MAGIC = b"CHUF"
 
@@ -231,7 +231,8 @@ def read(files: DataFrame, lengths: dict[int, int], with_ids: bool = True) -> Da
 
     schema = "key long, start long, n_tokens long, ids_crc32 long" + ", ids binary" * with_ids
     names = ["key", "start", "n_tokens", "ids_crc32"] + ["ids"] * with_ids
-    located = files.join(starts, ["shard", "file"])
+    small = files.select("file").limit(MOST_FILES + 1).count() <= MOST_FILES
+    located = files.join(F.broadcast(starts) if small else starts, ["shard", "file"])
     return located.select("keys", "counts", "payload", "before").mapInArrow(run, schema)
 
 
