@@ -6,9 +6,10 @@ over classes and one over the words of the class. A text's score is the sum of t
 log-probabilities of all its words.
 
 The vocabulary is the most frequent words of all texts, counted over all of them; other words share
-BUCKETS places by their hash. Training reads all texts: each partition trains on every EVERY-th
-word of its texts from the same start, and the partitions' parameters are averaged with the number
-of those words as weights, summed in two steps so that no task holds more than one set of sums.
+BUCKETS places by their hash. Training takes every word of every text as a target once: each
+partition trains on all words of its texts from the same start, and the partitions' parameters are
+averaged with the number of words as weights, summed in two steps so that no task holds more than
+one set of sums.
 
 Defined results: null texts and texts without a word have n_words 0 and score 0; every row gives a
 row; with no texts at all there are no rows. Words are those of decontamination: lower-case ASCII
@@ -28,7 +29,7 @@ from pyspark.sql import types as T
 from bitparse.llm.common import as_bytes, chunks, table
 from bitparse.llm.decontaminate import Words
 
-CLASSES, PER_CLASS, BUCKETS, WIDTH, SIDE, EVERY, BATCH, RATE, CHUNK, SUMS = 32, 32, 64, 24, 2, 8, 4096, 0.1, 1 << 20, 2048
+CLASSES, PER_CLASS, BUCKETS, WIDTH, SIDE, BATCH, RATE, CHUNK, SUMS = 32, 32, 64, 24, 2, 4096, 0.1, 1 << 20, 2048
 
 
 class Vocabulary:
@@ -122,7 +123,8 @@ class Net:
             self.g["bias"] += dz.sum(axis=0)
             for k in range(around.shape[1]):
                 self.g["place"][k] += (dz * self.p["vectors"][around[:, k]]).sum(axis=0)
-                np.add.at(self.g["vectors"], around[:, k], dz * self.p["place"][k])
+                to = (around[:, k, None].astype(np.int64) * WIDTH + np.arange(WIDTH)).ravel()
+                self.g["vectors"] += np.bincount(to, (dz * self.p["place"][k]).ravel(), self.g["vectors"].size).reshape(self.g["vectors"].shape)
         return out
 
     def step(self, n: int, rate: float = RATE) -> None:
@@ -177,8 +179,7 @@ def train(texts: DataFrame, words_of: Vocabulary) -> Net:
         net, places, n = Net(), shared.value, 0
         for _, words in _word_chunks(batches):
             x = places(words.hash)
-            own = np.flatnonzero((words.hash >> np.uint64(7)) % np.uint64(EVERY) == (np.arange(len(x)) % EVERY).astype(np.uint64))
-            own = np.random.default_rng(len(x)).permutation(own)
+            own = np.random.default_rng(len(x)).permutation(len(x))
             for lo in range(0, len(own), BATCH):
                 at = own[lo : lo + BATCH]
                 net.log_probability(neighbours(x, words.text, at, places.pad), x[at], learn=True)

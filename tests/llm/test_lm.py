@@ -56,3 +56,11 @@ def test_odd_rows(spark):
     assert all(r.log_likelihood == 0 if r.n_words == 0 else r.log_likelihood < 0 for r in got)
     none = texts.limit(0)
     assert lm.score(df.limit(0), lm.vocabulary(none), lm.train(none, lm.vocabulary(none))).count() == 0
+
+
+def test_every_word_is_a_target(spark):
+    """One word a class, each once: the biases of a class move only if its word is a target."""
+    text = " ".join(f"word{k}" for k in range(lm.CLASSES))
+    texts = spark.createDataFrame([(text,)], "__text string")
+    moved = lm.train(texts, lm.vocabulary(texts)).p["word_bias"] != lm.Net().p["word_bias"]
+    assert moved.any(axis=1).all()
