@@ -11,7 +11,8 @@ from pyspark.sql import functions as F
 
 from bitparse import streaming
 from bitparse.functions.codes import code
-from bitparse.operators import lz78, parsers
+from bitparse.operators import lz78, parsers, shortest, stars
+from bitparse.sources import sequences
 from bitparse.workloads import parsing, tables
 
 QUERIES, ORACLE_SQL = {}, {}
@@ -63,15 +64,57 @@ def _ncd_near(s, d):
 add("ncd_near_copies", _ncd_near)
 
 
+#: Words of a phrase; an item of fewer words is one phrase.
+PHRASE = 5
+
+
+def _phrases(df, key, text, widths=None):
+    """(key, phrase): the distinct runs of PHRASE words of each text, or of each of these numbers of words."""
+    words = F.filter(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), r"[^\p{L}\p{N}]+"), lambda w: w != "")
+    own = df.select(key, words.alias("w")).filter(F.size("w") > 0)
+    width = F.array(F.least(F.size("w"), F.lit(PHRASE))) if widths is None else F.filter(F.lit(widths), lambda q: q <= F.size("w"))
+    each = own.select(key, "w", F.explode(width).alias("q"))
+    runs = F.transform(F.sequence(F.lit(1), F.size("w") - F.col("q") + 1), lambda k: F.array_join(F.slice("w", k, F.col("q")), " "))
+    return each.select(key, F.explode(F.array_distinct(runs)).alias("phrase"))
+
+
+def bits_after(held: np.ndarray, syms: np.ndarray) -> int:
+    """Bits of the optimum of syms where copies may also start in, and run on from, the held symbols before them."""
+    c, n = code("gamma"), len(held)
+    own = parsers.Sequence(np.concatenate([held, syms]), c, c)
+    star = own.star("auto")
+    inside = star.i >= n
+    star = stars.Star(star.i[inside] - n, star.length[inside], star.dist[inside])
+    return int(shortest.relax(len(syms), own.literal[n:], star, own.f(star.dist) + own.g(star.length))[0][len(syms)])
+
+
 def _leak(s, d):
-    """For each benchmark item: bits alone, and with the conversation-free text of the same item as a history that holds it;
-    and with the item before it, which does not."""
-    items = tables.benchmark(s, d)
-    before = Window.orderBy("seq_id")  # a table of benchmark items
-    pairs = items.select(F.col("seq_id").alias("a"), F.coalesce(F.lag("seq_id").over(before), F.col("seq_id")).alias("b"), F.coalesce(F.lag("syms").over(before), F.col("syms")).alias("x"), F.col("syms").alias("y"))
-    return ncd(pairs).select(F.col("a").alias("item_id"), F.col("cy").alias("alone"), (F.col("cxy") - F.col("cx")).alias("after_other")).join(
-        ncd(items.select(F.col("seq_id").alias("a"), F.col("seq_id").alias("b"), F.col("syms").alias("x"), F.col("syms").alias("y"))).select(F.col("a").alias("item_id"), (F.col("cxy") - F.col("cx")).alias("after_itself")), "item_id"
-    )
+    """Bits of each document alone and with an item as the history before it, for all items it shares a phrase with."""
+    items, docs = tables.read(s, d, "benchmark"), tables.read(s, d, "documents")
+    own = _phrases(items, "item_id", "text")
+    # numbers of words of short items: at most PHRASE of them
+    widths = sorted(r["q"] for r in own.select(F.size(F.split("phrase", " ")).alias("q")).distinct().collect()) or [PHRASE]
+    pairs = own.join(_phrases(tables.spread(docs), "doc_id", "text", widths), "phrase").select("doc_id", "item_id").distinct()
+    # texts are joined, and made into symbols only where they are priced
+    texts = pairs.join(items.select("item_id", F.col("text").alias("held")), "item_id").join(docs.select("doc_id", "text"), "doc_id")
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, bits = None, 0
+        for batch in batches:
+            alone, after = [], []
+            for k in range(batch.num_rows):
+                x, y = np.array(batch["held"][k].as_py(), np.int64), np.array(batch["text"][k].as_py(), np.int64)
+                if last is None or not np.array_equal(last, y):
+                    last, bits = y, bits_after(y[:0], y)
+                alone.append(bits)
+                after.append(bits_after(x, y))
+            yield pa.RecordBatch.from_arrays([batch["item_id"], batch["doc_id"], pa.array(alone, pa.int64()), pa.array(after, pa.int64())], ["item_id", "doc_id", "alone", "after_item"])
+
+    symbols = lambda text: sequences.code_points(F.col(text)).cast("array<bigint>").alias(text)
+    parts = max(4 * s.sparkContext.defaultParallelism, int(s.conf.get("spark.sql.shuffle.partitions")))
+    own = texts.repartition(parts).select(F.col("item_id").cast("long"), F.col("doc_id").cast("long"), symbols("held"), symbols("text"))
+    found = own.mapInArrow(kernel, "item_id long, doc_id long, alone long, after_item long")
+    return found.withColumn("saved", F.col("alone") - F.col("after_item"))
 
 
 add("benchmark_leak_bits", _leak)
