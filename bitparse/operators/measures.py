@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from bitparse.functions.codes import Code, code, n_plateaus
+from bitparse.functions.codes import Code, code, n_plateaus, plateaus
 from bitparse.operators import bits as bits_of
 from bitparse.operators import parsers, repeats, stars
 from bitparse.sources import sequences
@@ -38,10 +38,19 @@ def family_gap(gaps: DataFrame) -> DataFrame:
 
 def degree(priced: DataFrame, f: Code | str, g: Code | str) -> DataFrame:
     """(seq_id, n_edges, max_degree, bound): edges, the largest forward star, and Q(f, n) + Q(g, n)."""
-    q = lambda c: F.element_at(F.lit([n_plateaus(c, k) for k in range(1, 129)]), F.col("n").cast("int"))
+    names = code(f).name, code(g).name
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n = batch["n"].to_numpy(zero_copy_only=False).astype(np.int64)
+            most = int(n.max(initial=0))
+            bound = sum(np.searchsorted(np.array([p[0] for p in plateaus(c, most, 1)], np.int64), n, "right") for c in names)
+            yield pa.RecordBatch.from_arrays([batch["seq_id"], batch["n_edges"], batch["max_degree"], pa.array(bound, pa.int64())], ["seq_id", "n_edges", "max_degree", "bound"])
+
     by_start = priced.groupBy("seq_id", "i").agg(F.count("*").alias("d"))
     own = by_start.groupBy("seq_id").agg(F.sum("d").alias("n_edges"), F.max("d").alias("max_degree"), F.max("i").alias("n"))
-    return own.filter("n <= 128").select("seq_id", "n_edges", "max_degree", (q(f) + q(g)).cast("long").alias("bound"))
+    rows = own.select("seq_id", "n_edges", "max_degree", F.col("n").cast("long").alias("n"))
+    return rows.mapInArrow(kernel, "seq_id long, n_edges long, max_degree long, bound long")
 
 
 def contiguous(priced: DataFrame) -> DataFrame:

@@ -2,10 +2,31 @@
 
 import numpy as np
 
+import pytest
+from pyspark.sql import functions as F
+
 from bitparse import workloads
+from bitparse.functions.codes import n_plateaus
 from bitparse.workloads import applications
 
 
+@pytest.fixture(scope="module")
+def hot(spark, tmp_path_factory):
+    """Events of a user with 300, whose second half repeats the first, and of one with 20."""
+    path = tmp_path_factory.mktemp("hot")
+    half = np.random.default_rng(5).integers(0, 4, 150).tolist()
+    rows = [(7, k, f"e{s}") for k, s in enumerate(half + half)] + [(8, 1000 + k, f"e{k % 3}") for k in range(20)]
+    events = spark.createDataFrame(rows, "user_id long, event_id long, event_type string").withColumn("ts", F.timestamp_seconds("event_id"))
+    events.write.parquet(str(path / "events.parquet"))
+    return str(path)
+
+
+def test_degree_of_long_sequences(spark, hot):
+    got = {r.seq_id: r for r in workloads.QUERIES["max_degree"](spark, hot).collect()}
+    assert {k: r.bound for k, r in got.items()} == {7: 2 * n_plateaus("gamma", 300), 8: 2 * n_plateaus("gamma", 20)}
+    assert all(r.max_degree <= r.bound for r in got.values())
+
+
 def test_bits_after_history():
     """Against all parses, by copies of every length from every earlier place."""
     gamma = lambda x: 2 * (x + 1).bit_length() - 1
