@@ -77,7 +77,7 @@ def exact(seq: DataFrame, chunk: int, window: int, most: int, f: Code | str = "g
         for batch in batches:
             for k in range(batch.num_rows):
                 syms, held, own = np.array(batch["syms"][k].as_py(), np.int64), batch["held"][k].as_py(), batch["own"][k].as_py()
-                price_f, price_g = Pricer(own_f, max(window, 1)), Pricer(own_g, int(max(most, syms.max(initial=0), 1)))
+                price_f, price_g = Pricer(own_f, max(1, min(window, len(syms)))), Pricer(own_g, int(max(min(most, len(syms)), syms.max(initial=0), 1)))
                 star, cost = _star(syms, held, price_f, price_g, window, most, own)
                 literal = price_f(np.zeros(own, np.int64)) + price_g(syms[held : held + own])
                 yield pa.RecordBatch.from_arrays([batch["seq_id"].slice(k, 1), batch["c"].slice(k, 1), pa.array([own], pa.int32()), *(pa.array([x], pa.list_(pa.int64())) for x in (literal, star.i, star.length, cost))], ["seq_id", "c", "own", "lit", "i", "len", "cost"])
@@ -95,8 +95,9 @@ def exact(seq: DataFrame, chunk: int, window: int, most: int, f: Code | str = "g
                     if at is not None:
                         yield row()
                     at, front, n = key, [0], 0
-                costs = front + [1 << 62] * (own + most + 1 - len(front))
                 lit, i, length, cost = (batch[c][k].as_py() for c in ("lit", "i", "len", "cost"))
+                reach = max(map(sum, zip(i, length, strict=True)), default=0)
+                costs = front + [1 << 62] * (max(own, reach) + 1 - len(front))
                 e = 0
                 for p in range(own):
                     here = costs[p]

@@ -256,4 +256,14 @@ def _by_source(s, d):
 
 add("compressed_size_by_source", _by_source)
 add("chunk_seam_penalty", lambda s, d: chunks.seams(tables.documents(s, d), 512, 1024).join(totals("documents", window=1024)(s, d).select("seq_id", F.col("bits").alias("whole")), "seq_id").withColumn("within", F.col("bits") <= F.col("whole") + F.col("allowance")))
-add("chunk_frontier_exact", lambda s, d: chunks.exact(tables.events(s, d), 16, 128, 128).select("seq_id", "bits"), optimum("events")[1])
+
+
+def _frontier(s, d):
+    """The optimum by chunks: copies may reach back over, and be as long as, the longest sequence."""
+    seq = tables.events(s, d)
+    longest = seq.agg(F.max("n")).first()[0] or 1
+    chunk = max(16, -(-longest // 8))  # each chunk holds all before it: few chunks, so that this stays linear
+    return chunks.exact(seq, chunk, longest, longest).select("seq_id", "bits")
+
+
+add("chunk_frontier_exact", _frontier, optimum("events")[1])

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from bitparse import workloads
 from bitparse.functions.codes import n_plateaus
-from bitparse.workloads import applications
+from bitparse.workloads import applications, parsing
 
 
 @pytest.fixture(scope="module")
@@ -53,3 +53,8 @@ def test_leak_reads_documents(spark, tmp_path):
     got = {(r.item_id, r.doc_id): r for r in workloads.QUERIES["benchmark_leak_bits"](spark, str(tmp_path)).collect()}
     assert set(got) == {(10, 1), (11, 3)}
     assert all(r.saved == r.alone - r.after_item > 0 for r in got.values())
+
+
+def test_frontier_of_long_sequences(spark, hot):
+    want = {r.seq_id: r.bits for r in parsing.totals("events")(spark, hot).collect()}
+    assert {r.seq_id: r.bits for r in workloads.QUERIES["chunk_frontier_exact"](spark, hot).collect()} == want
