@@ -36,8 +36,8 @@ from pyspark.sql import types as T
 from bitparse.llm.common import as_bytes, chunks, store, table
 from bitparse.llm.decontaminate import Words
 
-WIDTH, SIDE, BATCH, RATE, CHUNK, SUMS = 24, 2, 4096, 0.1, 1 << 20, 4096
-GROWTH, LENGTHS, SHARE, SHARD, ROUNDS, FIXED = 16, 16, 0.9, 500_000, 4, 1 << 32
+WIDTH, SIDE, BATCH, RATE, CHUNK, SUMS = 24, 2, 16_384, 0.2, 1 << 20, 4096
+GROWTH, LENGTHS, SHARE, SHARD, ROUNDS, FIXED = 16, 16, 0.9, 1_000_000, 4, 1 << 24
 #: Bytes of words as symbols of spellings: 0 is the start, digits, letters, then bytes from 128 on.
 _SYMBOL = np.zeros(256, np.int64)
 _SYMBOL[[*range(48, 58), *range(97, 123), *range(128, 256)]] = np.arange(1, 165)
@@ -67,6 +67,11 @@ class Vocabulary:
     def size(self) -> int:
         return LENGTHS + len(self.keys)
 
+    @property
+    def kind(self) -> str:
+        """How places are stored."""
+        return "<u2" if self.size < 1 << 16 else "<u4"
+
     def __call__(self, words: Words) -> np.ndarray:
         """The place of each word."""
         out = np.minimum(words.ends - words.starts, LENGTHS).astype(np.int32) - 1
@@ -95,6 +100,15 @@ def neighbours(x: np.ndarray, text: np.ndarray, at: np.ndarray, pad: int, side:
     return out
 
 
+def packed(sums: np.ndarray) -> bytes:
+    """Integers byte by byte, the lowest of all first, so that the mostly equal high ones compress."""
+    return sums.astype("<i8").view(np.uint8).reshape(-1, 8).T.tobytes()
+
+
+def unpacked(raw: bytes) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(8, -1).T).view("<i8").ravel()
+
+
 class Net:
     """The network for a vocabulary of ``size`` places; the pad is place ``size``."""
 
@@ -126,24 +140,24 @@ class Net:
         """log p(child | node) of rows sorted by node; with ``dh``, adds the gradients."""
         first = np.flatnonzero(np.concatenate(([True], node[1:] != node[:-1])))
         cuts = list(zip(node[first].tolist(), first.tolist(), [*first[1:].tolist(), len(node)], strict=True))
-        weights, logits = self.p[name], np.empty((len(h), self.k), h.dtype)
+        weights, logits = self.p[name], np.empty((self.k, len(h)), h.dtype)  # a column a row of h, so that sums over children are sums of rows
         for n, lo, hi in cuts:
-            np.matmul(h[lo:hi], weights[n].T, out=logits[lo:hi])
-        logits += self.p[name + "_bias"][node]
-        logits -= logits.max(axis=1, keepdims=True)
+            np.matmul(weights[n], h[lo:hi].T, out=logits[:, lo:hi])
+        logits += self.p[name + "_bias"].T[:, node]
+        logits -= logits.max(axis=0)
         rows = np.arange(len(h))
-        own = logits[rows, child]
+        own = logits[child, rows]
         np.exp(logits, out=logits)
-        total = logits.sum(axis=1)
+        total = logits.sum(axis=0)
         if dh is not None:
-            logits /= total[:, None]
-            logits[rows, child] -= 1
+            logits /= total
+            logits[child, rows] -= 1
             grads, add = self.g[name], np.empty_like(dh)
             for n, lo, hi in cuts:
-                grads[n] += logits[lo:hi].T @ h[lo:hi]
-                np.matmul(logits[lo:hi], weights[n], out=add[lo:hi])
+                grads[n] += logits[:, lo:hi] @ h[lo:hi]
+                np.matmul(logits[:, lo:hi].T, weights[n], out=add[lo:hi])
             dh += add
-            self.g[name + "_bias"][node[first]] += np.add.reduceat(logits, first, axis=0)
+            self.g[name + "_bias"][node[first]] += np.add.reduceat(logits, first, axis=1).T
         return own - np.log(total)
 
     def log_probability(self, around: np.ndarray, target: np.ndarray, learn: bool = False) -> np.ndarray:
@@ -151,7 +165,7 @@ class Net:
         out = np.empty(len(target), self.flat.dtype)
         if not len(target):
             return out
-        order = np.argsort(target, kind="stable")
+        order = np.argsort(target.astype(np.uint16 if self.size < 1 << 16 else np.int64), kind="stable")
         around, target = around[order], target[order].astype(np.int64)
         h = self.hidden(around)
         dh = np.zeros_like(h) if learn else None
@@ -163,11 +177,13 @@ class Net:
         if learn:
             dz = dh * (1 - h * h)
             self.g["bias"] += dz.sum(axis=0)
-            cells = np.arange(WIDTH)
+            kind = np.uint16 if self.size < 1 << 16 else np.int32  # 16 bits sort by digits
             for k in range(around.shape[1]):
-                self.g["place"][k] += (dz * self.p["vectors"][around[:, k]]).sum(axis=0)
-                to = (around[:, k, None].astype(np.int64) * WIDTH + cells).ravel()
-                self.g["vectors"] += np.bincount(to, (dz * self.p["place"][k]).ravel(), self.g["vectors"].size).reshape(self.g["vectors"].shape)
+                self.g["place"][k] += np.einsum("ij,ij->j", dz, self.p["vectors"][around[:, k]])
+                by = np.argsort(around[:, k].astype(kind), kind="stable")
+                at = around[by, k]
+                first = np.flatnonzero(np.concatenate(([True], at[1:] != at[:-1])))
+                self.g["vectors"][at[first]] += np.add.reduceat(dz[by], first, axis=0) * self.p["place"][k]
         return out
 
     def step(self, n: int, rate: float = RATE) -> None:
@@ -178,7 +194,7 @@ class Net:
 
     def learn(self, texts: list[np.ndarray]) -> None:
         """One pass over all words of some texts, in an order that follows from their number."""
-        x = np.concatenate(texts)
+        x = np.concatenate(texts).astype(np.int32)
         text = np.repeat(np.arange(len(texts)), [len(t) for t in texts])
         own, batch = np.random.default_rng(len(x)).permutation(len(x)), BATCH * (1 + self.size // (1 << 14))
         for lo in range(0, len(own), batch):
@@ -245,7 +261,7 @@ def vocabulary(texts: DataFrame, text: str = "text") -> tuple[Vocabulary, DataFr
 
 
 def encode(docs: DataFrame, words_of: Vocabulary, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """Stored rows: the kept columns as ``kept``, row, the hash ``deal``, n_words, ids (32-bit places), and of words outside the vocabulary the hash and the spelling."""
+    """Stored rows: the kept columns as ``kept``, row, the hash ``deal``, n_words, ids (the places), and of words outside the vocabulary the hash and the spelling."""
     own = docs.select(F.struct(*keep).alias("kept"), F.xxhash64(*keep, text).alias("deal"), F.col(text).alias("body"))
     schema = T.StructType([*own.select("kept", "deal").schema, *T.StructType.fromDDL("n_words long, ids binary, rare array<long>, spelled array<float>")])
     shared = docs.sparkSession.sparkContext.broadcast(words_of)  # bounded by the vocabulary
@@ -257,7 +273,7 @@ def encode(docs: DataFrame, words_of: Vocabulary, text: str = "text", keep: tupl
             other = np.flatnonzero(x < LENGTHS)
             spelled = places.spelled(words)[other].astype(np.float32)
             cut = pa.array(np.searchsorted(other, words.bounds).astype(np.int32))
-            ids = [x[a:b].astype("<i4").tobytes() for a, b in zip(words.bounds[:-1], words.bounds[1:], strict=True)]
+            ids = [x[a:b].astype(places.kind).tobytes() for a, b in zip(words.bounds[:-1], words.bounds[1:], strict=True)]
             yield pa.RecordBatch.from_arrays([rows["kept"], rows["deal"], pa.array(np.diff(words.bounds)), pa.array(ids, pa.binary()), pa.ListArray.from_arrays(cut, pa.array(words.hash[other].view(np.int64))), pa.ListArray.from_arrays(cut, pa.array(spelled))], schema.names)
 
     return store(own.mapInArrow(run, schema).withColumn("row", F.monotonically_increasing_id()), "encoded")
@@ -266,7 +282,7 @@ def encode(docs: DataFrame, words_of: Vocabulary, text: str = "text", keep: tupl
 def train(encoded: DataFrame, words_of: Vocabulary) -> Net:
     """A network from all encoded texts."""
     spark = encoded.sparkSession
-    size, net = words_of.size, Net(words_of.size)
+    size, kind_of, net = words_of.size, words_of.kind, Net(words_of.size)
     shards = max(1, round(words_of.words / SHARD))
     rounds = min(ROUNDS, shards)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
@@ -277,8 +293,8 @@ def train(encoded: DataFrame, words_of: Vocabulary) -> Net:
             for k, n, raw in zip(batch["k"].to_pylist(), batch["n"].to_pylist(), batch["sums"].to_pylist(), strict=True):
                 own = total.setdefault(k, [0, 0])
                 own[0] += n
-                own[1] = own[1] + np.frombuffer(raw, np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([v[0] for v in total.values()], pa.int64()), pa.array([v[1].tobytes() for v in total.values()], pa.binary())], ["k", "n", "sums"])
+                own[1] = own[1] + unpacked(raw)
+        yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([v[0] for v in total.values()], pa.int64()), pa.array([packed(v[1]) for v in total.values()], pa.binary())], ["k", "n", "sums"])
 
     dealt = encoded.filter("n_words > 0").select(F.pmod("deal", F.lit(shards)).alias("shard"), F.xxhash64("deal", F.lit(1)).alias("place"), "ids")
     for k in range(rounds):
@@ -290,7 +306,7 @@ def train(encoded: DataFrame, words_of: Vocabulary) -> Net:
             def close():
                 if held:
                     mine.learn(held)
-                return np.rint(np.concatenate([mine.flat, mine.seen]).astype(np.float64) * FIXED).astype(np.int64)
+                return np.rint(np.concatenate([mine.flat, np.sqrt(mine.seen)]).astype(np.float64) * FIXED).astype(np.int64)
 
             for batch in batches:
                 for shard, raw in zip(batch["shard"].to_pylist(), batch["ids"].to_pylist(), strict=True):
@@ -298,14 +314,14 @@ def train(encoded: DataFrame, words_of: Vocabulary) -> Net:
                         if mine is not None:
                             total, n = total + close(), n + 1
                         at, mine, held, size_held = shard, Net(size, *start), [], 0
-                    held.append(np.frombuffer(raw, "<i4"))
+                    held.append(np.frombuffer(raw, kind_of))
                     size_held += len(held[-1])
                     if size_held >= 1 << 16:
                         mine.learn(held)
                         held, size_held = [], 0
             if mine is not None:
                 total, n = total + close(), n + 1
-                pieces = [total[lo : lo + SUMS].tobytes() for lo in range(0, len(total), SUMS)]
+                pieces = [packed(total[lo : lo + SUMS]) for lo in range(0, len(total), SUMS)]
                 yield pa.RecordBatch.from_arrays([pa.array(range(len(pieces)), pa.int32()), pa.array([n] * len(pieces), pa.int64()), pa.array(pieces, pa.binary())], ["k", "n", "sums"])
 
         kind = "k int, n long, sums binary"
@@ -313,14 +329,16 @@ def train(encoded: DataFrame, words_of: Vocabulary) -> Net:
         rows = own.select("shard", "ids").mapInArrow(learn, kind).repartition(parts, "k").mapInArrow(add, kind).collect()  # one set of parameters
         shared.unpersist()
         if rows:
-            mean = np.concatenate([np.frombuffer(r["sums"], np.int64) / (r["n"] * float(FIXED)) for r in sorted(rows, key=lambda r: r["k"])])
-            net = Net(size, *np.split(mean.astype(np.float32), 2))
+            mean = np.concatenate([unpacked(r["sums"]) / (r["n"] * float(FIXED)) for r in sorted(rows, key=lambda r: r["k"])])
+            flat, root = np.split(mean.astype(np.float32), 2)
+            net = Net(size, flat, np.maximum(root * root, 1e-6))
     return net
 
 
-def score(encoded: DataFrame, shares: DataFrame, net: Net) -> DataFrame:
+def score(encoded: DataFrame, shares: DataFrame, words_of: Vocabulary, net: Net) -> DataFrame:
     """Of encoded rows the kept columns, n_words and log_likelihood. shares: (word, share) of the corpus."""
     shared = encoded.sparkSession.sparkContext.broadcast((net.size, net.flat))
+    kind_of = words_of.kind
     schema = T.StructType([*encoded.select("row", "kept", "n_words").schema, T.StructField("net", T.DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -328,8 +346,8 @@ def score(encoded: DataFrame, shares: DataFrame, net: Net) -> DataFrame:
         for batch in batches:
             raw = batch["ids"].to_pylist()
             for lo, hi in chunks([len(x) for x in raw], 1 << 19):
-                own = [np.frombuffer(x, "<i4") for x in raw[lo:hi]]
-                x, sizes = np.concatenate(own), np.array([len(t) for t in own])
+                own = [np.frombuffer(x, kind_of) for x in raw[lo:hi]]
+                x, sizes = np.concatenate(own).astype(np.int32), np.array([len(t) for t in own])
                 text, ends = np.repeat(np.arange(len(own)), sizes), np.cumsum(sizes)
                 log = np.zeros(len(x) + 1)
                 for a in range(0, len(x), 1 << 15):
@@ -344,7 +362,7 @@ def score(encoded: DataFrame, shares: DataFrame, net: Net) -> DataFrame:
     rare = encoded.select("row", F.explode(F.arrays_zip("rare", "spelled")).alias("w")).select("row", F.col("w.rare").alias("word"), F.col("w.spelled").cast("double").alias("spelled"))
     known, guessed = F.log(SHARE * F.col("share")), F.col("spelled") + float(np.log(1 - SHARE))
     both = F.greatest(known, guessed) + F.log1p(F.exp(-F.abs(known - guessed)))
-    looked = rare.join(shares, "word", "left").groupBy("row").agg(F.sum(F.when(known.isNull(), guessed).otherwise(both)).alias("rare"))
+    looked = rare.join(shares.hint("shuffle_hash"), "word", "left").groupBy("row").agg(F.sum(F.when(known.isNull(), guessed).otherwise(both)).alias("rare"))
     found = encoded.select("row", "kept", "n_words", "ids").mapInArrow(run, schema).join(looked, "row", "left")
     return found.select("kept.*", "n_words", (F.col("net") + F.coalesce("rare", F.lit(0.0))).alias("log_likelihood"))
 
@@ -353,5 +371,5 @@ def op8_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     words_of, shares = vocabulary(docs)
     encoded = encode(docs, words_of)
-    found = score(encoded, shares, train(encoded, words_of))
+    found = score(encoded, shares, words_of, train(encoded, words_of))
     return found.withColumn("per_word", F.when(F.col("n_words") > 0, F.col("log_likelihood") / F.col("n_words")))

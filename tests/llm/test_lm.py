@@ -12,7 +12,7 @@ from bitparse.llm.decontaminate import Words, words_of as split
 def scores(train_on, docs):
     words_of, shares = lm.vocabulary(train_on)
     net = lm.train(lm.encode(train_on, words_of), words_of)
-    return lm.score(lm.encode(docs, words_of), shares, net), words_of, net
+    return lm.score(lm.encode(docs, words_of), shares, words_of, net), words_of, net
 
 
 def test_gradient():
@@ -104,7 +104,7 @@ def test_scores(spark):
     rows = docs.limit(100).collect()
     rng = np.random.default_rng(1)
     mixed = [(r.doc_id, " ".join(rng.permutation(r.text.split()))) for r in rows]
-    total = lambda df, own: lm.score(lm.encode(df, words_of), shares, own).agg(F.sum("log_likelihood"), F.sum("n_words")).first()
+    total = lambda df, own: lm.score(lm.encode(df, words_of), shares, words_of, own).agg(F.sum("log_likelihood"), F.sum("n_words")).first()
     real = total(spark.createDataFrame(rows), net)
     shuffled = total(spark.createDataFrame(mixed, "doc_id long, text string"), net)
     untrained = total(spark.createDataFrame(rows), lm.Net(words_of.size))
