@@ -27,11 +27,14 @@ def shared_dir(spark: SparkSession) -> str:
     return "file://" + _own["dir"]
 
 
-def store(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage: write df to the shared folder and read it back. Survives lost executors."""
+def store(df: DataFrame, name: str, dictionary: bool = True) -> DataFrame:
+    """Cut the lineage: write df to the shared folder and read it back. Survives lost executors.
+
+    Without ``dictionary`` no column is tried for repeated values, which costs time for hashes.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.option("parquet.enable.dictionary", str(dictionary).lower()).parquet(path)
     _stored.append(path)
     return spark.read.schema(df.schema).parquet(path)
 

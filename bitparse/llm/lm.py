@@ -36,8 +36,9 @@ from pyspark.sql import types as T
 from bitparse.llm.common import as_bytes, chunks, store, table
 from bitparse.llm.decontaminate import Words
 
-WIDTH, SIDE, BATCH, RATE, CHUNK, SUMS = 24, 2, 16_384, 0.2, 1 << 20, 4096
+WIDTH, SIDE, BATCH, RATE, CHUNK, SUMS = 16, 2, 16_384, 0.2, 1 << 20, 4096
 GROWTH, LENGTHS, SHARE, SHARD, ROUNDS, FIXED = 16, 16, 0.9, 1_000_000, 4, 1 << 24
+MOST = 4.0
 #: Bytes of words as symbols of spellings: 0 is the start, digits, letters, then bytes from 128 on.
 _SYMBOL = np.zeros(256, np.int64)
 _SYMBOL[[*range(48, 58), *range(97, 123), *range(128, 256)]] = np.arange(1, 165)
@@ -117,7 +118,7 @@ class Net:
         while k**3 < size:
             k += 1
         self.k = k
-        shapes = {"vectors": (size + 1, WIDTH), "place": (2 * SIDE, WIDTH), "bias": (WIDTH,), "top": (1, k, WIDTH), "top_bias": (1, k), "middle": (k, k, WIDTH), "middle_bias": (k, k), "leaf": (k * k, k, WIDTH), "leaf_bias": (k * k, k)}
+        shapes = {"vectors": (size + 1, WIDTH), "place": (2 * SIDE, WIDTH), "bias": (WIDTH,), "top": (1, k, WIDTH + 1), "middle": (k, k, WIDTH + 1), "leaf": (k * k, k, WIDTH + 1)}
         total = sum(int(np.prod(s)) for s in shapes.values())
         if flat is None:
             flat = np.random.default_rng(11).normal(0, 0.1, total)
@@ -131,10 +132,13 @@ class Net:
             at += n
 
     def hidden(self, around: np.ndarray) -> np.ndarray:
+        """The hidden layer, and a one behind it for the levels' biases."""
         z = np.broadcast_to(self.p["bias"], (len(around), WIDTH)).copy()
         for k in range(around.shape[1]):
             z += self.p["vectors"][around[:, k]] * self.p["place"][k]
-        return np.tanh(z, out=z)
+        out = np.ones((len(around), WIDTH + 1), z.dtype)
+        np.tanh(z, out=out[:, :-1])
+        return out
 
     def _level(self, name: str, h: np.ndarray, node: np.ndarray, child: np.ndarray, dh: np.ndarray | None) -> np.ndarray:
         """log p(child | node) of rows sorted by node; with ``dh``, adds the gradients."""
@@ -143,8 +147,6 @@ class Net:
         weights, logits = self.p[name], np.empty((self.k, len(h)), h.dtype)  # a column a row of h, so that sums over children are sums of rows
         for n, lo, hi in cuts:
             np.matmul(weights[n], h[lo:hi].T, out=logits[:, lo:hi])
-        logits += self.p[name + "_bias"].T[:, node]
-        logits -= logits.max(axis=0)
         rows = np.arange(len(h))
         own = logits[child, rows]
         np.exp(logits, out=logits)
@@ -157,7 +159,6 @@ class Net:
                 grads[n] += logits[:, lo:hi] @ h[lo:hi]
                 np.matmul(logits[:, lo:hi].T, weights[n], out=add[lo:hi])
             dh += add
-            self.g[name + "_bias"][node[first]] += np.add.reduceat(logits, first, axis=1).T
         return own - np.log(total)
 
     def log_probability(self, around: np.ndarray, target: np.ndarray, learn: bool = False) -> np.ndarray:
@@ -175,6 +176,7 @@ class Net:
         log += self._level("leaf", h, leaf, target % self.k, dh)
         out[order] = log
         if learn:
+            h, dh = h[:, :-1], dh[:, :-1]
             dz = dh * (1 - h * h)
             self.g["bias"] += dz.sum(axis=0)
             kind = np.uint16 if self.size < 1 << 16 else np.int32  # 16 bits sort by digits
@@ -190,6 +192,7 @@ class Net:
         self.grads /= max(1, n)
         self.seen += self.grads * self.grads
         self.flat -= rate * self.grads / np.sqrt(self.seen)
+        np.clip(self.flat, -MOST, MOST, out=self.flat)  # so that no exponential overflows
         self.grads[:] = 0
 
     def learn(self, texts: list[np.ndarray]) -> None:
@@ -276,7 +279,7 @@ def encode(docs: DataFrame, words_of: Vocabulary, text: str = "text", keep: tupl
             ids = [x[a:b].astype(places.kind).tobytes() for a, b in zip(words.bounds[:-1], words.bounds[1:], strict=True)]
             yield pa.RecordBatch.from_arrays([rows["kept"], rows["deal"], pa.array(np.diff(words.bounds)), pa.array(ids, pa.binary()), pa.ListArray.from_arrays(cut, pa.array(words.hash[other].view(np.int64))), pa.ListArray.from_arrays(cut, pa.array(spelled))], schema.names)
 
-    return store(own.mapInArrow(run, schema).withColumn("row", F.monotonically_increasing_id()), "encoded")
+    return store(own.mapInArrow(run, schema).withColumn("row", F.monotonically_increasing_id()), "encoded", dictionary=False)
 
 
 def train(encoded: DataFrame, words_of: Vocabulary) -> Net:
