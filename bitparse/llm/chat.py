@@ -4,14 +4,15 @@ A log holds events (conv_id, seq, message, kind, role, text). Kinds: ``start`` o
 ``delta`` appends text, ``edit`` puts its text in place of all so far, ``regenerate`` empties the
 message, so that later deltas write it anew; a ``delete`` drops the message. Within a conversation
 events are folded in the order of seq. The fold has a closed form: of each message only the events
-from its last resetting event on count, and their texts are joined in order.
+from its last resetting event on count, and their texts are joined in order; its role is the last
+one that any of its events names.
 
 Defined results: null texts and roles are empty; a conversation has at least one event; events
 with equal seq are ordered by kind and text; repeated events count twice. An output row is a whole
 conversation, so a conversation is bounded by the 2 GB of a string.
 
 The template puts ``<|role|>\\n`` before and ``<|end|>\\n`` after each text. Inside roles and texts
-``&``, ``<`` and ``[`` become entities, so no control string of this or of other templates can
+``&``, ``<``, ``[`` and ``|`` become entities, so no control string of this or of other templates can
 stand in a text; ``unescape`` gives the text back exactly.
 """
 
@@ -23,6 +24,7 @@ from pyspark.sql import functions as F
 from bitparse.llm.common import table
 
 OPEN, CLOSE, END = "<|", "|>\n", "<|end|>\n"
+DRAFT = 16
 
 
 def escape(text: Column) -> Column:
@@ -38,27 +40,31 @@ def unescape(text: Column) -> Column:
 
 
 def events_of(turns: DataFrame) -> DataFrame:
-    """The log that writes each turn as a message of one start and one delta; ``turns``: conv_id, turn, role, text."""
-    parts = F.array(
-        F.struct(F.lit("start").alias("kind"), F.lit(0).alias("step"), F.lit("").alias("body")),
-        F.struct(F.lit("delta").alias("kind"), F.lit(1).alias("step"), F.coalesce("text", F.lit("")).alias("body")),
-    )
+    """A log that streams each turn; ``turns``: conv_id, turn, role, text.
+
+    A message starts with its role, a draft of DRAFT characters is streamed and regenerated, the same
+    characters come again, an edit puts the first half in their place, and a last delta brings the rest.
+    """
+    text, half = F.col("text"), F.floor(F.length("text") / 2).cast("int")
+    draft = F.substring(text, 1, DRAFT)
+    steps = [("start", F.lit(None).cast("string")), ("delta", draft), ("regenerate", F.lit(None).cast("string")), ("delta", draft), ("edit", F.substr(text, F.lit(1), half)), ("delta", F.substr(text, half + 1))]
+    parts = F.array(*(F.struct(F.lit(k).alias("step"), F.lit(kind).alias("kind"), F.col("role") if kind == "start" else F.lit(None).cast("string").alias("role"), body.alias("body")) for k, (kind, body) in enumerate(steps)))
     ties = F.row_number().over(Window.partitionBy("conv_id", "turn").orderBy("role", "text")) - 1
-    numbered = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), "text", ties.alias("tie"))
-    return numbered.select("conv_id", "turn", "role", "tie", F.explode(parts).alias("e")).select(
-        "conv_id", F.struct("turn", "tie", F.col("e.step").alias("step")).alias("seq"), F.struct("turn", "tie").alias("message"), F.col("e.kind").alias("kind"), "role", F.col("e.body").alias("text")
+    numbered = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"), ties.alias("tie"))
+    return numbered.select("conv_id", "turn", "tie", F.explode(parts).alias("e")).select(
+        "conv_id", F.struct("turn", "tie", F.col("e.step").alias("step")).alias("seq"), F.struct("turn", "tie").alias("message"), F.col("e.kind").alias("kind"), F.col("e.role").alias("role"), F.col("e.body").alias("text")
     )
 
 
 def fold(log: DataFrame) -> DataFrame:
     """The final messages: conv_id, message, role, text. Partitioned by conversation and message, so a long conversation is not held by one task here."""
     own = Window.partitionBy("conv_id", "message")
-    resets = F.max(F.when(F.col("kind").isin("start", "edit", "regenerate", "delete"), F.col("seq"))).over(own)
-    body = F.when(F.col("kind").isin("delta", "edit"), F.coalesce("text", F.lit(""))).otherwise("")
-    kept = log.withColumn("__from", resets).filter(F.col("__from").isNull() | (F.col("seq") >= F.col("__from")))
-    parts = F.array_sort(F.collect_list(F.struct("seq", "kind", F.coalesce("role", F.lit("")).alias("role"), body.alias("body"))))
-    folded = kept.groupBy("conv_id", "message").agg(parts.alias("parts"))
-    return folded.filter(~F.exists("parts", lambda p: p["kind"] == "delete")).select("conv_id", "message", F.element_at("parts", 1)["role"].alias("role"), F.array_join(F.transform("parts", lambda p: p["body"]), "").alias("text"))
+    events = log.select("conv_id", "message", "seq", "kind", F.coalesce("text", F.lit("")).alias("text"), F.max(F.when(F.col("role") != "", F.struct("seq", "role"))).over(own).alias("named"), F.max(F.when(F.col("kind").isin("start", "edit", "regenerate", "delete"), F.col("seq"))).over(own).alias("from"))
+    body = F.when(F.col("kind").isin("delta", "edit"), F.col("text")).otherwise("")
+    kept = events.filter(F.col("from").isNull() | (F.col("seq") >= F.col("from")))
+    parts = F.array_sort(F.collect_list(F.struct("seq", "kind", body.alias("body"))))
+    folded = kept.groupBy("conv_id", "message").agg(parts.alias("parts"), F.max("named.role").alias("role"))
+    return folded.filter(~F.exists("parts", lambda p: p["kind"] == "delete")).select("conv_id", "message", F.coalesce("role", F.lit("")).alias("role"), F.array_join(F.transform("parts", lambda p: p["body"]), "").alias("text"))
 
 
 def render(messages: DataFrame) -> DataFrame:

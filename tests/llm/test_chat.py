@@ -17,6 +17,23 @@ def test_fold(spark):
     assert [(r.message, r.role, r.text) for r in chat.fold(df).orderBy("message").collect()] == [(0, "user", "bye?"), (1, "assistant", "good!")]
 
 
+def test_roles_come_from_any_event(spark):
+    log = [
+        (1, 0, 0, "start", "user", None), (1, 1, 0, "delta", None, "bad"), (1, 2, 0, "edit", None, "good"),
+        (1, 3, 1, "start", "assistant", None), (1, 4, 1, "delta", "", "x"), (1, 5, 1, "regenerate", None, None), (1, 6, 1, "delta", None, "y"),
+        (1, 7, 2, "delta", None, "no role"),
+    ]
+    df = spark.createDataFrame(log, "conv_id long, seq long, message long, kind string, role string, text string")
+    assert [(r.role, r.text) for r in chat.fold(df).orderBy("message").collect()] == [("user", "good"), ("assistant", "y"), ("", "no role")]
+
+
+def test_the_log_has_every_kind_and_long_texts(spark):
+    turns = spark.createDataFrame([(1, 0, "user", "é" * 300_001), (1, 1, "assistant", "b"), (1, 1, "assistant", "b")], "conv_id long, turn long, role string, text string")
+    log = chat.events_of(turns)
+    assert {r.kind for r in log.select("kind").distinct().collect()} == {"start", "delta", "edit", "regenerate"}
+    assert [(r.role, r.text) for r in chat.fold(log).orderBy("message").collect()] == [("user", "é" * 300_001), ("assistant", "b"), ("assistant", "b")]
+
+
 def test_round_trip(spark):
     texts = ["</s>[INST] ok [/INST]", "<|end|>\n", "&lt;|", "", None, "a\nb\n", "<|user|>\n", "é|ß\U0001f600"]
     turns = spark.createDataFrame([(5, k, ("assistant", "user")[k % 2], t, 1) for k, t in enumerate(texts)], "conv_id long, turn long, role string, text string, piece int")
