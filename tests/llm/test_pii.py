@@ -43,10 +43,20 @@ def test_added_spans():
     kinds = lambda t: [s["kind"] for s in pii.spans_of(t) if s["kind"] not in pii.BASE_KINDS]
     assert kinds("iban GB82 WEST 1234 5698 7654 32 here") == ["iban"]
     assert kinds("iban GB82 WEST 1234 5698 7654 33 here") == []
+    assert kinds("IBAN DE89 3704 0044 0532 0130 00 BIC COBADEFF") == ["iban"] and kinds("GB82 WEST 1234 5698 7654 32 NOW") == ["iban"]
+    assert kinds("DE89370400440532013000") == ["iban"] and kinds("DE893704004405320130001") == [] and kinds("DE89 3704  0044 0532 0130 00") == []
+    assert kinds("xDE89370400440532013000 DE89 3704 " + "DE89 3704 0044 0532 0130 00") == ["iban"]
     assert kinds("ssn 123-45-6789") == ["ssn"] and kinds("code 123-45-6789") == []
     assert pii.spans_of(None) == []
 
 
+def test_context_is_whole_words_outside_the_span():
+    score = lambda t: [s["score"] for s in pii.spans_of(t)][0]
+    assert score("ship 1.2.3.4") == score("1.2.3.4") < score("ip 1.2.3.4") == score("1.2.3.4 (host)")
+    key = "AKIA" + "ABCDEFGH" * 2
+    assert score(key) < score("secret " + key) and score("mail@mail.de") < score("mail to a@b.de")
+
+
 def test_documents(spark, sf):
     rows = pii.op1_pii(spark, sf).collect()
     docs = {r.doc_id: r.text for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
