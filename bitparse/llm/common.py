@@ -11,6 +11,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 _own: dict[str, str] = {}
 _stored: list[str] = []
@@ -39,6 +40,45 @@ def store(df: DataFrame, name: str, dictionary: bool = True) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """``name``, or a longer one where df has a column of that name."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
+def running(df: DataFrame, order: list[str], value: str, name: str, most: bool = False) -> DataFrame:
+    """Stored rows with ``name``: the sum (or with ``most`` the greatest) of ``value`` over all rows that stand before them, null before the first.
+
+    Ranges of the order are totalled side by side; only a row a range comes to the driver.
+    """
+    spark, schema = df.sparkSession, df.schema
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = None
+        for batch in batches:
+            out = []
+            for x in batch[value].to_pylist():
+                out.append(total)
+                total = x if total is None else max(total, x) if most else total + x
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(out, pa.int64())], [*batch.schema.names, "before"])
+
+    kind = T.StructType([*schema, T.StructField("before", T.LongType())])
+    part = fresh(df, "part_")
+    sorted_rows = df.repartitionByRange(parts, *order).sortWithinPartitions(*order)
+    counted = store(sorted_rows.mapInArrow(run, kind).withColumn(part, F.spark_partition_id()), name)
+    ends = counted.groupBy(part).agg((F.max(value) if most else F.sum(value)).alias("n")).collect()  # a row a range
+    at, total = [], None
+    for r in sorted(ends, key=lambda r: r[part]):
+        at.append((r[part], total))
+        total = r["n"] if total is None else max(total, r["n"]) if most else total + r["n"]
+    bases = F.broadcast(spark.createDataFrame(at, f"{part} int, base long"))
+    own = F.greatest("before", "base") if most else F.when(F.col("before").isNull() & F.col("base").isNull(), None).otherwise(F.coalesce("before", F.lit(0)) + F.coalesce("base", F.lit(0)))
+    return counted.join(bases, part).select(*df.columns, own.alias(name))
+
+
 def forget(spark: SparkSession) -> None:
     """Deletes all that ``store`` has written in this session. Results that were not read yet can't be read after that."""
     for path in _stored:

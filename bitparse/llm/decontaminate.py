@@ -26,7 +26,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bitparse.llm.common import as_bytes, chunks, table
+from bitparse.llm.common import as_bytes, chunks, fresh, table
 
 WINDOW, SHINGLE, BLOCK_CHARS, CHUNK = 13, 5, 20_000_000, 1 << 20
 #: Word bytes in lower case, zero for all others; bytes from 128 on belong to word characters.
@@ -169,7 +169,8 @@ def blocks_of(items: DataFrame, window: int, shingle: int, block_chars: int) ->
 def decontaminate(docs: DataFrame, items: DataFrame, keep: tuple[str, ...] = ("doc_id",), window: int = WINDOW, shingle: int = SHINGLE, block_chars: int = BLOCK_CHARS, names: tuple[str, str, str] = ("n_words", "n_hit", "items")) -> DataFrame:
     """The kept columns and, under ``names``, each text's words, hit words and occurring items (sorted). items: item_id, text."""
     context = docs.sparkSession.sparkContext
-    own = docs.select(*keep, F.col("text").alias("__text"))
+    body = fresh(docs, "body")
+    own = docs.select(*keep, F.col("text").alias(body))
     ready = []
     for part in blocks_of(items, window, shingle, block_chars):
         shared = context.broadcast(part)
@@ -178,22 +179,22 @@ def decontaminate(docs: DataFrame, items: DataFrame, keep: tuple[str, ...] = ("d
             mine = shared.value
             total = np.zeros(len(mine.keys), np.int64)
             for batch in batches:
-                raw = as_bytes(batch["__text"])
+                raw = as_bytes(batch[body])
                 for lo, hi in chunks([len(t or b"") for t in raw], CHUNK):
                     total += mine.counted(Words(raw[lo:hi]))
             seen = np.flatnonzero(total)
             yield pa.RecordBatch.from_arrays([pa.array(seen), pa.array(total[seen])], ["k", "n"])
 
         counts = np.zeros(len(part.keys), np.int64)
-        for r in own.select("__text").mapInArrow(count, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")).collect():  # one row a shingle of the block
+        for r in own.select(body).mapInArrow(count, "k long, n long").groupBy("k").agg(F.sum("n").alias("n")).collect():  # one row a shingle of the block
             counts[r["k"]] = r["n"]
         ready.append(context.broadcast(part.file(counts)))
         shared.unpersist()
-    schema = T.StructType([*own.drop("__text").schema, *T.StructType.fromDDL("{} long, {} long, {} array<string>".format(*names))])
+    schema = T.StructType([*own.drop(body).schema, *T.StructType.fromDDL("{} long, {} long, {} array<string>".format(*names))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            raw = as_bytes(batch["__text"])
+            raw = as_bytes(batch[body])
             for lo, hi in chunks([len(t or b"") for t in raw], CHUNK):
                 words = Words(raw[lo:hi])
                 hit, items = np.zeros(len(words.hash), bool), [set() for _ in range(hi - lo)]

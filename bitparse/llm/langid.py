@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bitparse.llm.common import as_bytes, table
+from bitparse.llm.common import as_bytes, fresh, table
 
 DOCS_PER_LANG, CHARS_PER_LANG, ROUNDS, LONGEST, PIECE = 400, 2_000_000, 4, 48, 10
 VOCABULARY = "piece_bpe_32k.model"
@@ -226,8 +226,9 @@ def train(labelled: DataFrame, vocabulary: str | None = None) -> Model:
 
 def identify(df: DataFrame, model: Model, text: str = "text", keep: tuple[str, ...] = ("doc_id",), names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
     """The kept columns, and the prediction and its score under ``names``."""
-    own = df.select(*keep, F.col(text).alias("__text"))
-    schema = T.StructType([*own.drop("__text").schema, T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())])
+    body = fresh(df, "body")
+    own = df.select(*keep, F.col(text).alias(body))
+    schema = T.StructType([*own.drop(body).schema, T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())])
     shared = df.sparkSession.sparkContext.broadcast(model)  # bounded by the vocabulary and the labels
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -235,7 +236,7 @@ def identify(df: DataFrame, model: Model, text: str = "text", keep: tuple[str, .
         for batch in batches:
             for lo in range(0, batch.num_rows, 256):
                 part = batch.slice(lo, 256)
-                langs, scores = scorer.texts(as_bytes(part["__text"]))
+                langs, scores = scorer.texts(as_bytes(part[body]))
                 yield pa.RecordBatch.from_arrays([*(part[k] for k in keep), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], [*keep, *names])
 
     return own.mapInArrow(run, schema)

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bitparse.llm.common import as_bytes, store, table
+from bitparse.llm.common import as_bytes, fresh, store, table
 
 MIN_WORDS = 50
 _LINES = "o long, h long, l int, a long, b long, tf int, tb int"
@@ -127,20 +127,20 @@ def dedup(docs: DataFrame, min_words: int = MIN_WORDS, removed: str = "n_removed
     """The rows with later copies of repeated line runs deleted from text, and under ``removed`` the lines that went."""
     lines = store(line_rows(docs, min_words), "lines")
     spans = later_copies(lines) if not lines.isEmpty() else lines.select("o", "h", F.col("l").alias("s"), F.col("tf").alias("t"))
-    gone = spans.groupBy("o", "h").agg(F.collect_set(F.struct("s", "t")).alias("__gone"))
-    o, h = _key()
-    joined = docs.withColumns({"__o": o, "__h": h}).join(gone.withColumnsRenamed({"o": "__o", "h": "__h"}).hint("shuffle_hash"), ["__o", "__h"], "left").select(*docs.columns, "__gone")
+    o, h, away = fresh(docs, "o"), fresh(docs, "h"), fresh(docs, "gone")
+    gone = spans.groupBy(F.col("o").alias(o), F.col("h").alias(h)).agg(F.collect_set(F.struct("s", "t")).alias(away))
+    joined = docs.withColumns(dict(zip((o, h), _key(), strict=True))).join(gone.hint("shuffle_hash"), [o, h], "left").select(*docs.columns, away)
     schema, columns = T.StructType([*docs.schema, T.StructField(removed, T.LongType())]), docs.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             went = np.zeros(batch.num_rows, np.int64)
-            touched = [k for k, x in enumerate(batch["__gone"].is_valid().to_pylist()) if x]
+            touched = [k for k, x in enumerate(batch[away].is_valid().to_pylist()) if x]
             texts = batch["text"]
             if touched:
                 raw = as_bytes(texts)
                 for k in touched:
-                    raw[k], went[k] = without(raw[k], [(x["s"], x["t"]) for x in batch["__gone"][k].as_py()])
+                    raw[k], went[k] = without(raw[k], [(x["s"], x["t"]) for x in batch[away][k].as_py()])
                 texts = pa.array(raw, pa.binary()).cast(texts.type)
             yield pa.RecordBatch.from_arrays([*(texts if c == "text" else batch[c] for c in columns), pa.array(went)], schema.names)
 

@@ -37,7 +37,7 @@ from bitparse.llm.common import as_bytes, chunks, store, table
 from bitparse.llm.decontaminate import Words
 
 WIDTH, SIDE, BATCH, RATE, CHUNK, SUMS = 16, 2, 16_384, 0.2, 1 << 20, 4096
-GROWTH, LENGTHS, SHARE, SHARD, ROUNDS, FIXED = 16, 16, 0.9, 1_000_000, 4, 1 << 24
+GROWTH, LENGTHS, SHARE, SHARD, ROUNDS, FIXED = 16, 16, 0.9, 2_000_000, 4, 1 << 24
 MOST = 4.0
 #: Bytes of words as symbols of spellings: 0 is the start, digits, letters, then bytes from 128 on.
 _SYMBOL = np.zeros(256, np.int64)

@@ -1,11 +1,12 @@
 """SimHash near-duplicates by a segment-popcount embedding.
 
 A fingerprint maps to the bit counts of its 32 two-bit segments. The Manhattan distance of two such
-vectors never exceeds the Hamming distance of the fingerprints. The segments are cut into g groups;
+vectors never exceeds the Hamming distance of the fingerprints. Counts are kept as 0, 01 and 11, so
+that the Manhattan distance of two vectors is the number of their differing bits. The segments are cut into g groups;
 of vectors within distance 4 at least g - 4 groups are equal, so a grid of unit cells over every
 choice of g - 4 groups brings each such pair together (for g of 5, five cells a fingerprint). In a
-cell, fingerprints are ordered by their whole bit count and only those within 4 of each other meet,
-and their exact Hamming distance decides. g grows with the number of fingerprints; every g is exact.
+cell, vectors are ordered by their sum and joined over the range of sums within 4; of these pairs
+those within 4 by Manhattan distance are kept, and the exact Hamming distance decides. g grows with the number of fingerprints; every g is exact.
 
 Equal fingerprints are one node from the start, cells over BLOCK members are dealt as pairs of
 blocks, and a task gives at most one edge for each of its members, so neither copies nor dense
@@ -28,7 +29,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bitparse.llm.common import as_bytes, store, table
+from bitparse.llm.common import as_bytes, fresh, store, table
 from bitparse.llm.components import components, forest
 
 BITS, SEED, BLOCK = 64, 42, 20_000
@@ -56,22 +57,29 @@ def fingerprint(raw: bytes | None, words: int = 4) -> int:
 
 def fingerprints(df: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), words: int = 4) -> DataFrame:
     """The kept columns and ``fp``, the fingerprint as a signed 64-bit integer."""
-    own = df.select(*keep, F.col(text).alias("__text"))
-    schema = T.StructType([*own.drop("__text").schema, T.StructField("fp", T.LongType())])
+    body = fresh(df, "body")
+    own = df.select(*keep, F.col(text).alias(body))
+    schema = T.StructType([*own.drop(body).schema, T.StructField("fp", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            fps = np.array([fingerprint(x, words) for x in as_bytes(batch["__text"])], np.uint64).view(np.int64)
+            fps = np.array([fingerprint(x, words) for x in as_bytes(batch[body])], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([*(batch[k] for k in keep), pa.array(fps)], [*keep, "fp"])
 
     return own.mapInArrow(run, schema)
 
 
 def segment_counts(fp: Column) -> Column:
-    """The bit counts of the 32 two-bit segments, each in its own two bits."""
+    """The bit counts of the 32 two-bit segments, each in its own two bits as 0, 01 or 11."""
     even = F.lit(_EVEN)
     low, high = fp.bitwiseAND(even), F.shiftrightunsigned(fp, 1).bitwiseAND(even)
-    return low.bitwiseXOR(high).bitwiseOR(F.shiftleft(low.bitwiseAND(high), 1))  # low + high, which can't carry on
+    return low.bitwiseOR(high).bitwiseOR(F.shiftleft(low.bitwiseAND(high), 1))
+
+
+def embedded(fp: np.ndarray) -> np.ndarray:
+    """The same for arrays."""
+    low, high = fp & np.uint64(_EVEN), (fp >> np.uint64(1)) & np.uint64(_EVEN)
+    return low | high | ((low & high) << np.uint64(1))
 
 
 def grid(n: int, distance: int = 4) -> list[int]:
@@ -97,6 +105,7 @@ def _near(batches: Iterator[pa.RecordBatch], distance: int) -> Iterator[pa.Recor
     ones = np.bitwise_count(fp).astype(np.int8)
     order = np.lexsort((fp, ones, key))
     key, fp, ones = key[order], fp[order], ones[order]
+    vector = embedded(fp)
     at, step, found, kept = np.arange(len(fp)), 1, [], 0
     label = np.arange(len(fp))
     while True:
@@ -104,7 +113,8 @@ def _near(batches: Iterator[pa.RecordBatch], distance: int) -> Iterator[pa.Recor
         at = at[(key[at] == key[at + step]) & (ones[at + step] - ones[at] <= distance)]
         if not len(at):
             break
-        near = at[np.bitwise_count(fp[at] ^ fp[at + step]) <= distance]
+        near = at[np.bitwise_count(vector[at] ^ vector[at + step]) <= distance]  # Manhattan
+        near = near[np.bitwise_count(fp[near] ^ fp[near + step]) <= distance]
         found.append((near, near + step))
         kept += len(near)
         if kept > 1_000_000:
@@ -148,15 +158,15 @@ def near_duplicates(df: DataFrame, text: str = "text", key: str = "doc_id", word
 
 def keep_one(docs: DataFrame, words: int = 4, distance: int = 4) -> DataFrame:
     """One row of each component, that of the smallest doc_id; of rows equal in doc_id and text one."""
-    of = F.xxhash64("doc_id", "text")
-    own = store(fingerprints(docs.select("doc_id", "text", of.alias("__of")), keep=("doc_id", "__of"), words=words), "fingerprints")
-    best = _grouped(own, F.struct("doc_id", "__of"), distance).select(F.col("least.__of").alias("__of")).distinct()
-    kept = docs.withColumn("__of", of).join(best.hint("shuffle_hash"), "__of", "left_semi")
-    repeated = own.groupBy("__of").count().filter("count > 1").select("__of")
+    of, mark = F.xxhash64("doc_id", "text"), fresh(docs, "of")
+    own = store(fingerprints(docs.select("doc_id", "text", of.alias("of")), keep=("doc_id", "of"), words=words), "fingerprints")
+    best = _grouped(own, F.struct("doc_id", "of"), distance).select(F.col("least.of").alias("of")).distinct()
+    kept = docs.withColumn(mark, of).join(best.withColumnRenamed("of", mark).hint("shuffle_hash"), mark, "left_semi")
+    repeated = own.groupBy("of").agg(F.count("*").alias("n")).filter("n > 1").select(F.col("of").alias(mark))
     if repeated.isEmpty():
-        return kept.drop("__of")
-    once = kept.join(repeated, "__of", "left_anti")
-    return once.unionByName(kept.join(repeated, "__of", "left_semi").dropDuplicates(["__of"])).select(*docs.columns)
+        return kept.drop(mark)
+    once = kept.join(repeated, mark, "left_anti")
+    return once.unionByName(kept.join(repeated, mark, "left_semi").dropDuplicates([mark])).select(*docs.columns)
 
 
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

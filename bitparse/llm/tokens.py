@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bitparse.llm.common import as_bytes
+from bitparse.llm.common import as_bytes, fresh
 
 END, KEPT_WORDS, LONGEST = 1, 500_000, 64
 #: Words of letters that stay letters in lower case and in every normal form.
@@ -144,8 +144,9 @@ def tokenize(df: DataFrame, path: str | None = None, text: str = "text", keep: t
     ids of the partition in a column of that name, which is null elsewhere.
     """
     path = path or default_path()
-    own = df.select(*keep, F.col(text).alias("__text"))
-    kept = own.drop("__text").schema
+    body = fresh(df, "body")
+    own = df.select(*keep, F.col(text).alias(body))
+    kept = own.drop(body).schema
     schema = T.StructType([*(T.StructField(f.name, f.dataType) for f in kept), *T.StructType.fromDDL("ids binary, n long" + ", tally binary" * tally)])
     end = np.array([END], np.uint16).tobytes()
 
@@ -154,7 +155,7 @@ def tokenize(df: DataFrame, path: str | None = None, text: str = "text", keep: t
         for batch in batches:
             for lo in range(0, batch.num_rows, 256):
                 part = batch.slice(lo, 256)
-                ids = [x + end for x in own.texts(as_bytes(part["__text"]))]
+                ids = [x + end for x in own.texts(as_bytes(part[body]))]
                 columns = [*(part[k] for k in keep), pa.array(ids, pa.binary()), pa.array([len(x) // 2 for x in ids], pa.int64())]
                 if tally:
                     columns.append(pa.nulls(part.num_rows, pa.binary()))

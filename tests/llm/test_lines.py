@@ -43,6 +43,13 @@ def test_documents(spark, sf):
     assert [got[k] for k, _ in docs] == brute(docs, lines.MIN_WORDS)
 
 
+def test_clashing_names_and_a_long_text(spark):
+    long = "\n".join(f"line {k} of a long text" for k in range(30_000))
+    df = spark.createDataFrame([(1, long, 1, 2, 3, 4, 5), (2, long + "\nlast", 1, 2, 3, 4, 5)], "doc_id long, text string, gone int, __gone int, o int, h int, __o int")
+    got = {r.doc_id: r for r in lines.dedup(df).collect()}
+    assert got[1].text == long and got[2].text == "last" and got[2].n_removed == 30_000 and (got[2].gone, got[2].o, got[2].h, got[2]["__gone"]) == (1, 3, 4, 2)
+
+
 def test_odd_rows(spark):
     long = " ".join(["word"] * 60)
     rows = [(1, None), (2, ""), (3, "\n\n"), (4, long), (5, f" {long}\r\n\nown line\n"), (5, f" {long}\r\n\nown line\n"), (None, "x\n" + long), (7, f"{long}\n{long}"), (8, "word")]

@@ -41,6 +41,23 @@ def test_documents(spark, sf):
     assert {k: r.component_id for k, r in got.items()} == want
 
 
+def test_manhattan_is_a_lower_bound():
+    fps = np.random.default_rng(2).integers(0, 1 << 63, 500, dtype=np.uint64) * np.uint64(2)
+    counts = np.array([[int(f) >> 2 * s & 1 for s in range(32)] for f in fps]) + [[int(f) >> 2 * s + 1 & 1 for s in range(32)] for f in fps]
+    vector = simhash.embedded(fps)
+    for k in range(1, 500):
+        manhattan = int(np.abs(counts[k] - counts[k - 1]).sum())
+        assert manhattan == int(vector[k] ^ vector[k - 1]).bit_count() <= int(fps[k] ^ fps[k - 1]).bit_count()
+
+
+def test_keep_one_and_clashing_names(spark):
+    text = "a b c d e f g h i j k l m n o p q r s t"
+    rows = [(1, text, 1, 1, 1), (2, text, 2, 2, 2), (3, "quite another text of its own words", 3, 3, 3), (3, "quite another text of its own words", 4, 4, 4)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, of long, n long, __of long")
+    got = simhash.keep_one(df).collect()
+    assert sorted(r.doc_id for r in got) == [1, 3] and got[0].__fields__ == df.columns
+
+
 @pytest.mark.parametrize("groups", [5, 6, 7])
 def test_grid_finds_all(spark, monkeypatch, groups):
     rng = random.Random(7)
