@@ -26,21 +26,21 @@ from pyspark.sql import types as T
 
 from bitparse.llm.common import as_bytes, fresh, table
 
-DOCS_PER_LANG, CHARS_PER_LANG, ROUNDS, LONGEST, PIECE = 400, 2_000_000, 4, 48, 10
+DOCS_PER_LANG, CHARS_PER_LANG, ROUNDS, LONGEST, PLAIN_RANGE = 400, 2_000_000, 4, 48, 24
 VOCABULARY = "piece_bpe_32k.model"
 UNKNOWN, KEPT_WORDS = 1e-7, 400_000
-_PRIME = np.uint64(0x9E3779B97F4A7C15)
+_PRIME, _NONE = np.uint64(0x9E3779B97F4A7C15), np.zeros(0, np.uint64)
 #: ASCII letters in lower case, bytes of other letters as they are, and a space for all else.
 _PLAIN = bytes(c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 
 
 def pieces(path: str) -> list[str]:
-    """The vocabulary: pieces of a public model in lower case, at most PIECE letters long, with the word mark as it stands there."""
+    """The vocabulary: pieces of letters of a public model in lower case, with the word mark as it stands there."""
     import sentencepiece
 
     model = sentencepiece.SentencePieceProcessor(model_file=path)
     own = {model.id_to_piece(k).lower() for k in range(model.get_piece_size())}
-    return sorted(p for p in own if len(p) <= PIECE and all(c.isalpha() or c == "▁" for c in p) and p.strip("▁"))
+    return sorted(p for p in own if all(c.isalpha() or c == "▁" for c in p) and p.strip("▁"))
 
 
 def letters(word: str) -> list[str]:
@@ -72,11 +72,14 @@ class Model:
         by_length: dict[int, list[str]] = {}
         for p in vocabulary:
             by_length.setdefault(len(p), []).append(p)
-        hashed = np.concatenate([_hashes(np.frombuffer("".join(ps).encode("utf-32-le"), np.uint32).reshape(-1, n).astype(np.uint64))[0][:, -1] for n, ps in sorted(by_length.items())]) if vocabulary else np.zeros(0, np.uint64)
-        self.longest = max(by_length, default=1)
-        self.keys = np.unique(hashed)
+        self.longest, total = max(by_length, default=1), 0
+        self.keys: dict[int, tuple[np.ndarray, int]] = {}  # of each length the sorted hashes, and the row of the first
+        for n, ps in sorted(by_length.items()):
+            own = np.unique(_hashes(np.frombuffer("".join(ps).encode("utf-32-le"), np.uint32).reshape(-1, n).astype(np.uint64))[0][:, -1])
+            self.keys[n] = own, total
+            total += len(own)
         self.langs = langs
-        self.table = np.full((len(self.keys) + 1, len(langs)), 1 / (len(self.keys) + 1))
+        self.table = np.full((total + 1, len(langs)), 1 / (total + 1))
 
     def lattice(self, words: list[str]) -> list[tuple[int, int, np.ndarray, np.ndarray]]:
         """For words of one length: start, end, the words that have a piece there, and its row."""
@@ -85,15 +88,19 @@ class Model:
         everyone = np.arange(len(words))
         for end in range(1, n + 1):
             for start in range(max(0, end - self.longest), end):
+                if end - start > 1 and end - start not in self.keys:
+                    continue
                 with np.errstate(over="ignore"):
                     h = prefix[:, end] - prefix[:, start] * power[end - start]
-                at = np.minimum(np.searchsorted(self.keys, h), len(self.keys) - 1) if len(self.keys) else np.zeros(len(h), np.int64)
-                here = (self.keys[at] == h) if len(self.keys) else np.zeros(len(h), bool)
+                keys, first = self.keys.get(end - start, (_NONE, 0))
+                at = np.searchsorted(keys, h)
+                at[at == len(keys)] = 0
+                here = keys[at] == h if len(keys) else np.zeros(len(h), bool)
                 if end - start == 1:
-                    out.append((start, end, everyone, np.where(here, at, len(self.keys))))
+                    out.append((start, end, everyone, np.where(here, at + first, len(self.table) - 1)))
                 elif here.any():
                     own = np.flatnonzero(here)
-                    out.append((start, end, own, at[own]))
+                    out.append((start, end, own, at[own] + first))
         return out
 
     def forward(self, words: list[str], edges: list) -> tuple[np.ndarray, np.ndarray]:
@@ -137,17 +144,15 @@ class Model:
             for own in parts:
                 weight = np.array([[c.get(w, 0) for c in counts] for w in own], float)
                 edges = self.lattice(own)
-                # few letters fit without scaling; longer words are left to prediction
-                if len(own[0]) > 24:
-                    continue
-                alpha = np.zeros((len(own[0]) + 2, len(own), len(self.langs)))
+                # the least product of a long word needs the range of extended precision
+                alpha = np.zeros((len(own[0]) + 2, len(own), len(self.langs)), np.float64 if len(own[0]) <= PLAIN_RANGE else np.longdouble)
                 beta = np.zeros_like(alpha)
                 alpha[0] = beta[-1] = 1
                 for start, end, rows, piece in edges:
                     alpha[end, rows] += alpha[start, rows] * self.table[piece]
                 for start, end, rows, piece in sorted(edges, key=lambda e: -e[0]):
                     beta[start, rows] += beta[end, rows] * self.table[piece]
-                share = weight / np.maximum(alpha[-1], 1e-300)
+                share = weight / np.maximum(alpha[-1], np.finfo(alpha.dtype).tiny)
                 for start, end, rows, piece in edges:
                     np.add.at(expected, piece, alpha[start, rows] * self.table[piece] * beta[end, rows] * share[rows])
             self.table = np.maximum(expected / expected.sum(axis=0), UNKNOWN * 1e-2)

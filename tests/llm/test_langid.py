@@ -15,12 +15,27 @@ def every_cut(word):
             yield [word[:k], *rest]
 
 
+def place(model, piece):
+    keys, first = model.keys[len(piece)]
+    return first + int(np.searchsorted(keys, langid._hashes(np.array([[ord(c) for c in piece]], np.uint64))[0][0, -1]))
+
+
+def test_long_words_and_long_pieces_are_learnt():
+    import public_tokenizers
+
+    word, piece = "donaudampfschifffahrtsgesellschaftskapitaen", "internationally"
+    model = langid.Model(["schiff", "fahrt", piece], ["x", "y"]).fit([{word: 50, piece: 50}, {"a": 1}], rounds=1)
+    assert (model.table[[place(model, p) for p in ("schiff", "fahrt", piece)], 0] > 0.01).all()
+    assert model.log_probability([word])[0, 0] > model.log_probability([word])[0, 1]
+    assert max(map(len, langid.pieces(public_tokenizers.path(langid.VOCABULARY)))) > 10
+
+
 def test_forward_sums_all_segmentations():
     vocabulary = ["a", "b", "ab", "ba", "▁a", "aba", "▁"]
     model = langid.Model([p for p in vocabulary if p != "▁"], ["x", "y"])
     rng = np.random.default_rng(1)
     model.table = rng.random(model.table.shape)
-    row = {p: int(np.searchsorted(model.keys, langid._hashes(np.array([[ord(c) for c in p]], np.uint64))[0][0, -1])) for p in vocabulary if p != "▁"}
+    row = {p: place(model, p) for p in vocabulary if p != "▁"}
     for word in ("a", "abab", "bac", "abcabab"):
         want = np.zeros(2)
         for cut in every_cut("▁" + word):
