@@ -1,12 +1,14 @@
 """Token ids of texts by a public tokenizer, with a bounded table of words already encoded.
 
-The tokenizer drops white space and never joins text across it, so the ids of a text are the ids
-of its pieces between ASCII white space, in order. Distinct pieces are encoded by the tokenizers
-library: words of letters many at a time, others alone. Ids are 16-bit, little-endian.
+A tokenizer that works like the default one (KNOWN) drops white space and never joins text across
+it, so the ids of a text are the ids of its pieces between ASCII white space, in order. Distinct
+pieces are encoded by the tokenizers library: words of letters many at a time, others alone. Any
+other tokenizer gets whole texts. Ids are 16-bit, little-endian; larger vocabularies are refused.
 """
 
 from __future__ import annotations
 
+import json
 import os
 import re
 import zlib
@@ -31,6 +33,13 @@ _KIND[list(b".,;:!?")] = 3
 _KIND[list(b" \t\n\r\x0b\x0c")] = 4
 
 
+#: How a tokenizer must normalise and cut texts for its words to be encoded apart.
+KNOWN = {
+    "normalizer": {"type": "Sequence", "normalizers": [{"type": "NFC"}, {"type": "Replace", "pattern": {"Regex": r"\s+"}, "content": " "}, {"type": "Lowercase"}]},
+    "pre_tokenizer": {"type": "Sequence", "pretokenizers": [{"type": "Split", "pattern": {"Regex": r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"}, "behavior": "Removed", "invert": True}, {"type": "ByteLevel", "add_prefix_space": False, "trim_offsets": True, "use_regex": False}]},
+}
+
+
 def default_path() -> str:
     import public_tokenizers
 
@@ -47,6 +56,8 @@ class Encoder:
         self.plain = Tokenizer(self.tokenizer.model)  # for words of lower-case ASCII letters, which are their own normal form
         self.plain.pre_tokenizer = WhitespaceSplit()
         vocabulary = self.tokenizer.get_vocab()
+        made = json.loads(self.tokenizer.to_str())
+        self.by_word = all(made[k] == v for k, v in KNOWN.items()) and made["model"]["end_of_word_suffix"] == "</w>"
         if max(vocabulary.values()) >= 1 << 16:
             raise ValueError("ids are kept in 16 bits; the vocabulary is larger")
         self.ends = np.zeros(1 << 16, bool)  # ids that end a word
@@ -92,6 +103,8 @@ class Encoder:
 
     def texts(self, raw: list[bytes | None]) -> list[bytes]:
         """The ids of each text, without an end."""
+        if not self.by_word:
+            return self._each([x or b"" for x in raw])
         if len(self.known) > KEPT_WORDS:
             self.older, self.known = self.known, {}
         get, self.passing = self.known.get, {}

@@ -2,7 +2,10 @@
 
 import heapq
 import random
+import subprocess
+import sys
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -54,7 +57,8 @@ def test_codes(n):
     code = huffman.Code(tight)
     for size in (0, 1, 5, 511, 512, 513, 65536, 65537, 140_000):
         ids = np.random.default_rng(size).integers(0, n, size).astype(np.uint16)
-        assert (code.decode(code.encode(ids)) == ids).all()
+        back, keys, counts = huffman.Reader()(huffman.to_file(code, ids, [7, None], [size, 0]))
+        assert (back == ids).all() and keys == [7, None] and counts.tolist() == [size, 0]
 
 
 def test_token_files(spark, sf):
@@ -71,12 +75,12 @@ def test_token_files_odd_rows(spark):
     rows = [(k // 2 if k < 9 else None, t) for k, t in enumerate(TEXTS)]
     df = spark.createDataFrame([(*r, "x") for r in rows], "doc_id long, text string, ids string")
     ids = huffman.store(tokens.tokenize(df, tally=True), "ids")
-    got = huffman.read(*huffman.write(ids)).collect()
+    got = huffman.read(spark, huffman.write(ids)).collect()
     assert sorted((r.key is None, r.key or 0, r.ids_crc32) for r in got) == sorted((k is None, k or 0, crc(want(t))) for k, t in rows)
     ends = sorted((r.start, r.n_tokens) for r in got)
     assert all(a + n == b for (a, n), (b, _) in zip(ends, ends[1:], strict=False)) and ends[0][0] == 0
     empty = huffman.store(tokens.tokenize(df.limit(0), tally=True), "ids")
-    assert huffman.read(*huffman.write(empty)).count() == 0
+    assert huffman.read(spark, huffman.write(empty)).count() == 0
 
 
 def test_token_files_of_rows_in_any_order(spark, monkeypatch):
@@ -86,18 +90,47 @@ def test_token_files_of_rows_in_any_order(spark, monkeypatch):
     for order in (sorted(rows), list(reversed(rows)), random.Random(1).sample(rows, len(rows))):
         df = spark.createDataFrame(order, "doc_id long, text string").repartition(1) if order == sorted(rows) else spark.createDataFrame(order, "doc_id long, text string")
         ids = huffman.store(tokens.tokenize(df, tally=True), "ids")
-        got = sorted((r.key, r.n_tokens, r.ids_crc32) for r in huffman.read(*huffman.write(ids), with_ids=False).collect())
+        got = sorted((r.key, r.n_tokens, r.ids_crc32) for r in huffman.read(spark, huffman.write(ids), with_ids=False).collect())
         assert want_rows is None or got == want_rows
         want_rows = got
         at = 0
-        for r in huffman.read(*huffman.write(ids), with_ids=False).orderBy("start").collect():
+        for r in huffman.read(spark, huffman.write(ids), with_ids=False).orderBy("start").collect():
             assert r.start == at
             at += r.n_tokens
     assert want_rows == sorted((k, len(want(t)), crc(want(t))) for k, t in rows)
-    keys = huffman.read(*huffman.write(ids), with_ids=False).orderBy("start").collect()
+    keys = huffman.read(spark, huffman.write(ids), with_ids=False).orderBy("start").collect()
     assert [r.key for r in keys] == sorted(r.key for r in keys)
 
 
+def test_token_files_need_nothing_but_their_path(spark, tmp_path):
+    """A process that knows the path alone, and no Spark, reads the ids."""
+    rows = [(k, f"some text {k} " * k) for k in range(20)]
+    ids = huffman.store(tokens.tokenize(spark.createDataFrame(rows, "doc_id long, text string"), tally=True), "ids")
+    path = huffman.write(ids, f"file://{tmp_path}/files")
+    code = """
+import sys, pyarrow.parquet as pq
+from bitparse.llm.huffman import Reader
+for payload in pq.read_table(sys.argv[1])["payload"].to_pylist():
+    ids, keys, counts = Reader()(payload)
+    at = 0
+    for k, n in zip(keys, counts):
+        print(k, *ids[at : at + n])
+        at += n
+"""
+    out = subprocess.run([sys.executable, "-c", code, path.removeprefix("file://")], capture_output=True, text=True, check=True, cwd=Path(__file__).parents[2]).stdout
+    got = {int(line.split()[0]): [int(x) for x in line.split()[1:]] for line in out.splitlines()}
+    assert got == {k: want(t) for k, t in rows}
+
+
+def test_other_tokenizers_are_encoded_as_they_are():
+    import public_tokenizers
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    plain, own = Tokenizer.from_file(path), tokens.Encoder(path)
+    for t in [*TEXTS, "Hello, World  x", "x" * 3000]:
+        assert np.frombuffer(own.texts([t.encode() if t is not None else None])[0], np.uint16).tolist() == plain.encode(t or "", add_special_tokens=False).ids
+
+
 def check_pieces(pieces, docs, window=2048):
     by_doc, by_sequence = {}, {}
     for p in pieces:
