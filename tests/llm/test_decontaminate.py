@@ -1,8 +1,10 @@
 """Hits and items against brute force over words, several blocks of items, and odd rows."""
 
 import hashlib
+import random
 import re
 
+import numpy as np
 import pytest
 
 from bitparse.llm import decontaminate as d
@@ -54,6 +56,30 @@ def test_odd_rows(spark, block):
     assert sorted([(r.doc_id, r.n_words, r.n_hit, tuple(r["items"])) for r in got], key=key) == sorted(want, key=key)
 
 
+def test_windows_are_small():
+    """20 million characters of items would make ten blocks; one block of them fits many times over."""
+    import pickle
+    import random
+
+    rng = random.Random(1)
+    items = [(str(k), " ".join(f"w{rng.randrange(50_000)}" for _ in range(300)).encode()) for k in range(1000)]
+    chars = sum(len(t) for _, t in items)
+    made = d.Windows(items)
+    made.file(np.zeros(len(made.keys), np.int64))
+    assert len(pickle.dumps(made)) < 25 * chars
+
+
+def test_many_blocks_of_items(spark, monkeypatch):
+    monkeypatch.setattr(d, "AT_ONCE", 2)
+    rng = random.Random(4)
+    pool = [f"w{k}" for k in range(40)]
+    items = [(k, " ".join(rng.choices(pool, k=rng.randrange(1, 30)))) for k in range(60)]
+    docs = [(k, " ".join([*rng.choices(pool, k=20), rng.choice(items)[1], *rng.choices(pool, k=20), rng.choice(items)[1]])) for k in range(40)]
+    got = d.decontaminate(spark.createDataFrame([(*r, 1, 2, "x") for r in docs], "doc_id long, text string, marks int, __text int, body string"), spark.createDataFrame(items, "item_id long, text string"), keep=("doc_id", "marks", "body"), block_chars=600).collect()
+    assert sorted((r.doc_id, r.n_words, r.n_hit, tuple(r["items"])) for r in got) == brute(docs, items)
+    assert {(r.marks, r.body) for r in got} == {(1, "x")}
+
+
 def test_empty_tables(spark):
     docs = spark.createDataFrame([(1, "a b")], "doc_id long, text string")
     items = spark.createDataFrame([(1, "a b")], "item_id long, text string")
