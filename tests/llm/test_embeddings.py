@@ -29,8 +29,9 @@ def test_tables(spark, name):
 
 
 @pytest.mark.parametrize("exact", [True, False])
-def test_recall_and_blocks(spark, monkeypatch, exact):
-    for name, value in (("BLOCK", 50), ("PER_LIST", 40), ("QUERIES", 16)):
+@pytest.mark.parametrize("coarse", [256, 4])
+def test_recall_and_blocks(spark, monkeypatch, exact, coarse):
+    for name, value in (("BLOCK", 50), ("PER_LIST", 40), ("QUERIES", 16), ("COARSE", coarse)):
         monkeypatch.setattr(embeddings, name, value)
     rng = np.random.default_rng(2)
     base = rng.normal(size=(60, 24))
@@ -45,6 +46,21 @@ def test_recall_and_blocks(spark, monkeypatch, exact):
         assert [got[k].component_id for k in range(len(rows))] == component.tolist()
 
 
+def test_lists_grow_and_few_are_probed():
+    """Correlated vectors of 64 numbers with planted neighbours: recall by either side, and the share of lists probed."""
+    rng = np.random.default_rng(5)
+    base = rng.normal(size=(6000, 8)) @ rng.normal(size=(8, 64)) + 0.7 * rng.normal(size=(6000, 64))
+    rows = np.concatenate([base, base[:3000] + 0.18 * np.linalg.norm(base[:3000], axis=1, keepdims=True) * rng.normal(size=(3000, 64)) / 8])
+    u = embeddings.unit(rows)
+    index = embeddings.Index.fit(rows, 1_000_000)
+    lists, _, _, probes = index.assign(u)
+    assert len(index.coarse) * len(index.fine) >= 1000 and (np.array([own in p for own, p in zip(lists, probes, strict=True)])).all()
+    pairs = [(k, 6000 + k) for k in range(3000) if u[k] @ u[6000 + k] >= embeddings.COSINE]
+    found = sum(lists[b] in probes[a] or lists[a] in probes[b] for a, b in pairs)
+    assert len(pairs) > 2000 and found >= 0.95 * len(pairs)
+    assert np.mean([len(p) for p in probes]) <= 0.1 * len(index.coarse) * len(index.fine)
+
+
 def test_odd_rows(spark):
     one = [1.0, 2.0, 3.0]
     rows = [(1, None), (2, []), (3, [0.0, -0.0, 0.0]), (4, [1.0, None, 2.0]), (5, [float("nan"), 1.0, 1.0]), (6, [float("inf"), 1.0, 1.0]), (7, one), (8, one), (9, [2e200, 4e200, 6e200]), (10, [1.0, 2.0]), (11, [1e-300, 2e-300, 3e-300]), (8, one), (None, [9.0, -9.0, 1.0])]
