@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+RANGE = 20_000
 _own: dict[str, str] = {}
 _stored: list[str] = []
 
@@ -51,10 +52,10 @@ def fresh(df: DataFrame, name: str) -> str:
 def running(df: DataFrame, order: list[str], value: str, name: str, most: bool = False) -> DataFrame:
     """Stored rows with ``name``: the sum (or with ``most`` the greatest) of ``value`` over all rows that stand before them, null before the first.
 
-    Ranges of the order are totalled side by side; only a row a range comes to the driver.
+    Ranges of the order of about RANGE rows are totalled side by side; only a row a range comes to the driver. df is read twice.
     """
     spark, schema = df.sparkSession, df.schema
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    parts = 1 + df.count() // RANGE
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = None

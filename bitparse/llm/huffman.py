@@ -187,7 +187,7 @@ def in_order(ids: DataFrame, key: str) -> bool:
         yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in out], pa.int64()), pa.array([r[1] for r in out], pa.int64())], ["first", "last"])
 
     found = ids.filter("tally is null").select(F.col(key).cast("long").alias("k")).mapInArrow(runs, "first long, last long")
-    return _apart(found)
+    return _apart(store(found, "runs"))
 
 
 def _apart(found: DataFrame) -> bool:

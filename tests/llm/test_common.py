@@ -27,6 +27,20 @@ def test_store_and_forget(spark):
     assert common.store(spark.range(0), "none").count() == 0
 
 
+@pytest.mark.parametrize("size", [7, 20_000])
+def test_running_totals(spark, monkeypatch, size):
+    monkeypatch.setattr(common, "RANGE", size)
+    rows = [(k * 7 % 50, k, "x") for k in range(50)]
+    df = spark.createDataFrame(rows, "k long, n long, part_ string")
+    got = {r.k: (r.sums, r.part_) for r in common.running(df, ["k"], "n", "sums").collect()}
+    tops = {r.k: r.tops for r in common.running(df, ["k"], "n", "tops", most=True).collect()}
+    total, top = None, None
+    for k, n, _ in sorted(rows):
+        assert got[k] == (total, "x") and tops[k] == top
+        total, top = (total or 0) + n, n if top is None else max(top, n)
+    assert common.running(df.limit(0), ["k"], "n", "sums").count() == 0
+
+
 def test_chunks():
     assert list(common.chunks([5, 5, 20, 1, 1], 10)) == [(0, 2), (2, 3), (3, 5)]
     assert list(common.chunks([], 10)) == []
