@@ -47,6 +47,7 @@ class Code:
     word: Callable[[int], str] = field(compare=False)
     read: Callable[[Reader], int] = field(compare=False)
     monotone: bool = True
+    limit: int | None = None  # the largest value that has a codeword, if not all have
 
     def __reduce__(self):
         return by_name, (self.name,)
@@ -165,12 +166,24 @@ def rice(k: int) -> Code:
     return Code(f"rice{k}", lambda x: (x >> k) + 1 + k, lambda x: F.shiftright(x, k).cast("long") + 1 + k, lambda x: f"(({x} >> {k}) + {1 + k})", lambda x: "1" * (x >> k) + "0" + (format(x & ((1 << k) - 1), f"0{k}b") if k else ""), lambda r: r.run("1") << k | r.take(k))
 
 
+def _within(x: Column, lo: int, hi: int, bits: Column, name: str) -> Column:
+    """``bits`` where the value has a codeword, null where it is null, and an error elsewhere."""
+    return F.when(x.isNull(), F.lit(None).cast("long")).when(x.between(lo, hi), bits).otherwise(F.raise_error(F.lit(f"no codeword of {name} for this value")).cast("long"))
+
+
 def fixed(b: int) -> Code:
-    return Code(f"fixed{b}", lambda x: b, lambda x: F.lit(b).cast("long"), lambda x: f"({b})", lambda x: format(x, f"0{b}b"), lambda r: r.take(b))
+    """b digits for every value below 2^b; larger values are refused."""
+
+    def checked(x: int) -> int:
+        if not 0 <= x < 1 << b:
+            raise ValueError(f"fixed{b} has no codeword for {x}")
+        return x
+
+    return Code(f"fixed{b}", lambda x: b if checked(x) >= 0 else 0, lambda x: _within(x, 0, (1 << b) - 1, F.lit(b).cast("long"), f"fixed{b}"), lambda x: f"({b})", lambda x: format(checked(x), f"0{b}b"), lambda r: r.take(b), limit=(1 << b) - 1)
 
 
 def table(plateaus: Iterable[tuple[int, int, int]], name: str | None = None) -> Code:
-    """A code from plateaus (lo, hi, bits) that cover 0..n; codewords are canonical, in order of value."""
+    """A code from plateaus (lo, hi, bits) that cover 0..n; codewords are canonical, in order of value, and values beyond n are refused."""
     rows = tuple(sorted(tuple(map(int, p)) for p in plateaus))
     if sum((hi - lo + 1) * 2.0**-b for lo, hi, b in rows) > 1 + 1e-12:
         raise ValueError("no prefix code has these lengths")
@@ -181,7 +194,10 @@ def table(plateaus: Iterable[tuple[int, int, int]], name: str | None = None) ->
         code += hi - lo + 1
 
     def row(x: int) -> tuple[int, int, int]:
-        return next(p for p in rows if p[0] <= x <= p[1])
+        for p in rows:
+            if p[0] <= x <= p[1]:
+                return p
+        raise ValueError(f"the table has no codeword for {x}")
 
     def read(r: Reader) -> int:
         for lo, (first, hi, b) in sorted(starts.items(), key=lambda s: s[1][2]):
@@ -195,11 +211,19 @@ def table(plateaus: Iterable[tuple[int, int, int]], name: str | None = None) ->
         out = F.lit(None).cast("long")
         for lo, hi, b in reversed(rows):
             out = F.when(x.between(lo, hi), F.lit(b).cast("long")).otherwise(out)
-        return out
+        return _within(x, rows[0][0], rows[-1][1], out, "the table") if rows else out
 
     monotone = all(a[2] <= b[2] for a, b in zip(rows, rows[1:], strict=False))
     sql = lambda x: "(case " + " ".join(f"when {x} between {lo} and {hi} then {b}" for lo, hi, b in rows) + " end)"
-    return Code(name or "table" + repr(rows), lambda x: row(x)[2], column, sql, lambda x: format(starts[row(x)[0]][0] + x - row(x)[0], f"0{row(x)[2]}b"), read, monotone)
+    return Code(name or "table" + repr(rows), lambda x: row(x)[2], column, sql, lambda x: format(starts[row(x)[0]][0] + x - row(x)[0], f"0{row(x)[2]}b"), read, monotone, rows[-1][1] if rows else -1)
+
+
+def table_of(plateaus_of: DataFrame) -> Code:
+    """The same from rows (lo, hi, bits), of which there may be MOST_PLATEAUS."""
+    rows = plateaus_of.select("lo", "hi", "bits").limit(MOST_PLATEAUS + 1).collect()
+    if len(rows) > MOST_PLATEAUS:
+        raise ValueError(f"over {MOST_PLATEAUS} plateaus")
+    return table([tuple(r) for r in rows])
 
 
 def deflate_like(classes: int = 30) -> Code:
@@ -275,6 +299,7 @@ def code(named: Code | str) -> Code:
     return named if isinstance(named, Code) else by_name(named)
 
 
+MOST_PLATEAUS = 10_000
 STANDARD = ("gamma", "delta", "omega", "fibonacci", "varbyte", "nibble", "rice2", "unary", "fixed13")
 
 
@@ -283,6 +308,7 @@ def plateaus(named: Code | str, n: int, lo: int = 0) -> list[tuple[int, int, int
     own, out = code(named), []
     if not own.monotone:
         raise NotMonotone(own.name)
+    n = n if own.limit is None else min(n, own.limit)
     while lo <= n:
         bits, hi, step = own.bits(lo), lo, 1
         while hi + step <= n and own.bits(hi + step) == bits:

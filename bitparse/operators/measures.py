@@ -13,7 +13,6 @@ from pyspark.sql import functions as F
 from bitparse.functions.codes import Code, code, n_plateaus, plateaus
 from bitparse.operators import bits as bits_of
 from bitparse.operators import parsers, repeats, stars
-from bitparse.sources import sequences
 
 
 def totals(parse: DataFrame) -> DataFrame:
@@ -121,13 +120,29 @@ def longest_repeat(seq: DataFrame, g: Code | str = "gamma") -> DataFrame:
 
 
 def entropy(seq: DataFrame, k: int) -> DataFrame:
-    """(seq_id, n, h, bits): the empirical entropy of order k, and n - k times it."""
-    sym = sequences.explode(seq)
-    context = F.collect_list("s").over(Window.partitionBy("seq_id").orderBy("i").rowsBetween(-k, -1)) if k else F.array().cast("array<int>")
-    pairs = sym.select("seq_id", "i", "s", context.alias("c")).filter(F.col("i") > k)
-    each = pairs.groupBy("seq_id", "c", "s").agg(F.count("*").alias("m"))
-    bits = each.withColumn("of", F.sum("m").over(Window.partitionBy("seq_id", "c")))
-    return bits.groupBy("seq_id").agg(F.sum("m").alias("n"), F.sum(-F.col("m") * F.log2(F.col("m") / F.col("of"))).alias("bits")).select("seq_id", "n", (F.col("bits") / F.col("n")).alias("h"), "bits")
+    """(seq_id, n, h, bits): the empirical entropy of order k, and n - k times it; n counts the symbols with a whole context.
+
+    Contexts are counted where the sequence stands, so nothing is shuffled; sequences of at most k symbols have no row.
+    """
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for key, x in zip(batch["seq_id"].to_pylist(), batch["syms"], strict=True):
+                syms = x.values.to_numpy(zero_copy_only=False) if x.is_valid else np.zeros(0, np.int64)
+                m = len(syms) - k
+                if m <= 0:
+                    continue
+                own = np.unique(syms, return_inverse=True)[1].astype(np.int64)
+                context, sigma = np.zeros(m, np.int64), int(own.max()) + 1
+                for j in range(k):
+                    context = np.unique(context * sigma + own[j : j + m], return_inverse=True)[1].astype(np.int64)
+                pairs, count = np.unique(context * sigma + own[k:], return_counts=True)
+                bits = float(-(count * np.log2(count / np.bincount(context)[pairs // sigma])).sum())
+                rows.append((key, m, abs(bits) / m, abs(bits)))
+            yield pa.RecordBatch.from_arrays([pa.array([r[c] for r in rows], kind) for c, kind in enumerate((pa.int64(), pa.int64(), pa.float64(), pa.float64()))], ["seq_id", "n", "h", "bits"])
+
+    return seq.select(F.col("seq_id").cast("long").alias("seq_id"), "syms").mapInArrow(kernel, "seq_id long, n long, h double, bits double")
 
 
 def redundancy(parse: DataFrame, seq: DataFrame, k: int = 0) -> DataFrame:

@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from bitparse.functions.codes import Code, NotMonotone, code, static_entropy
-from bitparse.operators import repeats, shortest, stars
+from bitparse.operators import blocks, shortest, stars
 from bitparse.operators.stars import Pricer, Star
 
 PHRASE = "struct<start:int,len:int,kind:string,dist:int,sym:int,next:int,bits:bigint>"
@@ -23,6 +23,8 @@ PARSE = f"seq_id long, n int, parser string, f string, g string, bits long, phra
 _PHRASE = pa.struct([("start", pa.int32()), ("len", pa.int32()), ("kind", pa.string()), ("dist", pa.int32()), ("sym", pa.int32()), ("next", pa.int32()), ("bits", pa.int64())])
 #: Edges of the full graph per position, times the plateaus, up to which they are enumerated by length.
 LEVEL_FACTOR = 4
+#: Symbols of parses that are given back together.
+BATCH = 1 << 18
 
 Phrase = tuple[int, int, str, int, int, int | None]  # start from 0, length, kind, distance, symbol, next symbol
 
@@ -47,10 +49,7 @@ class Sequence:
             return star if strategy == "full" else stars.prune(star, self.f, self.g)
         if strategy != "block":
             allowed = None if strategy in ("pruned", "levels") else LEVEL_FACTOR * self.n * (len(self.f.lo) + len(self.g.lo))
-            try:
-                return stars.prune(stars.full(self.syms, self.window, allowed), self.f, self.g)
-            except OverflowError:
-                pass
+            return stars.prune(stars.full(self.syms, self.window, allowed), self.f, self.g)
         return stars.split_lengths(stars.block(self.syms, self.f, self.window), self.f, self.g)
 
     def path(self, star: Star, literal: np.ndarray, cost: np.ndarray) -> list[Phrase]:
@@ -62,53 +61,97 @@ class Sequence:
         """The fewest bits over all parses."""
         if self.f.code.name.startswith("fixed") and self.g.code.name.startswith("fixed"):
             return self.greedy("copy")  # of equal lengths, as many symbols a phrase as can be
-        star = self.star(strategy, one_copies)
+        try:
+            star = self.star(strategy, one_copies) if strategy != "block" else None
+        except OverflowError:  # auto: too many steps to list
+            star = None
+        if star is None:
+            return self._by_blocks()
         self.counters = {"edges": len(star.i) + self.n, **star.counters}
         return self.path(star, self.literal, self.f(star.dist) + self.g(star.length))
 
+    def _by_blocks(self) -> list[Phrase]:
+        """The same by steps that are made block by block and dropped when the path has passed them."""
+        if not (self.f.code.monotone and self.g.code.monotone):
+            raise NotMonotone(f"{self.f.code.name}, {self.g.code.name}: only the full graph is optimal for such codes")
+        path, self.counters, edges = shortest.Path(self.n, self.literal), {}, self.n
+        for a, b, i, length, dist in blocks.stream(self.syms, self.f.code, self.window, self.counters):
+            star = stars.split_lengths(Star(i, length, dist), self.f, self.g)
+            order = np.argsort(star.i, kind="stable")
+            star = Star(star.i[order], star.length[order], star.dist[order])
+            path.add(a, b, star, self.f(star.dist) + self.g(star.length))
+            edges += len(star.i)
+        self.counters = {"edges": edges, **self.counters}
+        own = self.syms.tolist()
+        return [(i, n, "copy", d, -1, None) if d else (i, 1, "literal", 0, own[i], None) for i, n, d in path.steps()]
+
+    def _longest(self):
+        """Lengths of the longest earlier matches, and a way to their nearest sources."""
+        if self.n < 2:
+            return [0] * self.n, lambda at, length: []
+        own = blocks.Suffixes(self.syms)
+        if self.window is None or self.window >= self.n:
+            return own.longest().tolist(), own.nearest
+        length = np.zeros(self.n, np.int64)
+        for a in range(0, self.n, max(self.window, blocks.SPAN)):
+            every = np.arange(a, min(self.n, a + max(self.window, blocks.SPAN)))
+            every = every[every > 0]
+            length[every] = blocks.one_pass(own, 1, self.window, a, int(every[-1]) + 1, every)[0] if len(every) else 0
+        return length.tolist(), own.nearest  # the right-most source is in the window if any is
+
+    def _walk(self, take, triple: bool = False) -> list[Phrase]:
+        """A parse from left to right: ``take`` gives the length to copy at a position, 0 for a literal."""
+        length, nearest = self._longest()
+        own, steps, i = self.syms.tolist(), [], 0
+        while i < self.n:
+            n = min(length[i], self.n - 1 - i) if triple else take(length, i)
+            steps.append((i, n))
+            i += n + 1 if triple else max(1, n)
+        copies = [(i, n) for i, n in steps if n]
+        dist = dict(zip((i for i, _ in copies), nearest(*zip(*copies, strict=True)) if copies else (), strict=True))
+        if triple:
+            return [(i, n + 1, "triple", dist.get(i, 0), -1, own[i + n]) for i, n in steps]
+        return [(i, n, "copy", dist[i], -1, None) if n else (i, 1, "literal", 0, own[i], None) for i, n in steps]
+
     def fewest(self) -> list[Phrase]:
-        """The fewest phrases: unit weights over the full graph."""
-        star = self.star("full")
-        return self.path(star, np.ones(self.n, np.int64), np.ones(len(star.i), np.int64))
+        """The fewest phrases: copies may end anywhere, so the longest match at each step, also of one symbol."""
+        return self.greedy("copy")
 
     def length_only(self) -> list[Phrase]:
-        """The path that is best if only the lengths' codewords counted."""
-        star = self.star("full")
-        return self.path(star, self.g(self.syms), self.g(star.length))
+        """The path that is best if only the lengths' codewords counted: the longest match, and its cuts at the ends of plateaus."""
+        length, nearest = self._longest()
+        none = np.zeros(0, np.int64)
+        at = np.flatnonzero(np.array(length, np.int64))
+        whole = Star(at, np.array(length, np.int64)[at], np.ones(len(at), np.int64)) if len(at) else Star(none, none, none)
+        star = stars.split_lengths(whole, self.f, self.g) if self.g.lo is not None else self.star("full")
+        order = np.lexsort((star.length, star.i))
+        star = Star(star.i[order], star.length[order], star.dist[order])
+        made = self.path(star, self.g(self.syms), self.g(star.length))
+        copies = [(p[0], p[1]) for p in made if p[2] == "copy"]
+        dist = dict(zip((i for i, _ in copies), nearest(*zip(*copies, strict=True)) if copies else (), strict=True))
+        return [(i, n, kind, dist[i] if kind == "copy" else d, s, c) for i, n, kind, d, s, c in made]
 
     def greedy(self, one: str = "literal") -> list[Phrase]:
         """The longest match at each step, else a literal; a match of one symbol is a literal unless ``one`` is copy."""
-        length, dist = (x.tolist() for x in repeats.longest_prev(self.syms, self.window))
-        own, out, i, least = self.syms.tolist(), [], 0, 1 if one == "copy" else 2
-        while i < self.n:
-            out.append((i, length[i], "copy", dist[i], -1, None) if length[i] >= least else (i, 1, "literal", 0, own[i], None))
-            i += out[-1][1]
-        return out
+        least = 1 if one == "copy" else 2
+        return self._walk(lambda length, i: length[i] if length[i] >= least else 0)
 
     def greedy_triple(self) -> list[Phrase]:
         """The longest match and the symbol after it; the last match is shortened so that a symbol is left."""
-        length, dist = (x.tolist() for x in repeats.longest_prev(self.syms, self.window))
-        own, out, i = self.syms.tolist(), [], 0
-        while i < self.n:
-            n = min(length[i], self.n - 1 - i)
-            # distances of a shortened match may be longer than needed, but they are of a real source
-            out.append((i, n + 1, "triple", dist[i] if n else 0, -1, own[i + n]))
-            i += n + 1
-        return out
+        return self._walk(None, triple=True)
 
     def lazy(self) -> list[Phrase]:
         """Greedy, but a literal first where the next position has a longer match."""
-        length, dist = (x.tolist() for x in repeats.longest_prev(self.syms, self.window))
-        own, out, i = self.syms.tolist(), [], 0
-        while i < self.n:
-            take = length[i] >= 2 and not (i + 1 < self.n and length[i + 1] > length[i])
-            out.append((i, length[i], "copy", dist[i], -1, None) if take else (i, 1, "literal", 0, own[i], None))
-            i += out[-1][1]
-        return out
+        return self._walk(lambda length, i: length[i] if length[i] >= 2 and not (i + 1 < self.n and length[i + 1] > length[i]) else 0)
 
     def ratio_greedy(self) -> list[Phrase]:
         """At each step the edge of the fewest bits a symbol; of equal ones the longer."""
-        star = self.star("levels")
+        try:
+            star = self.star("auto")
+        except OverflowError:
+            star = self.star("block")
+            order = np.lexsort((star.length, star.i))
+            star = Star(star.i[order], star.length[order], star.dist[order])
         cost = (self.f(star.dist) + self.g(star.length)).tolist()
         ptr = np.searchsorted(star.i, np.arange(self.n + 1)).tolist()
         length, dist, own, lits, out, i = star.length.tolist(), star.dist.tolist(), self.syms.tolist(), self.literal.tolist(), [], 0
@@ -145,18 +188,22 @@ class Sequence:
         i, n, k = np.array(at, np.int64).reshape(-1, 3).T
         return [(a, b, "entry" if c == "copy" else c, d, s, x) for a, b, c, d, s, x in self.path(Star(i, n, k), self.literal, Pricer(self.f.code, int(k.max(initial=1)))(k))]
 
-    def price(self, p: Phrase) -> int:
-        _, n, kind, d, s, c = p
-        if kind == "literal":
-            return self.f.code.bits(0) + self.g.code.bits(s)
-        if kind == "entry":
-            return self.f.code.bits(d)
-        if kind == "triple":
-            return self.f.code.bits(d) + self.g.code.bits(n - 1) + self.g.code.bits(c)
-        return self.f.code.bits(d) + self.g.code.bits(n)
+    def prices(self, parse: list[Phrase]) -> np.ndarray:
+        """The bits of each phrase."""
+        if not parse:
+            return np.zeros(0, np.int64)
+        _, n, kind, d, s, c = zip(*parse, strict=True)
+        n, d = np.array(n, np.int64), np.array(d, np.int64)
+        if "entry" in kind:
+            entry = np.array([k == "entry" for k in kind])
+            out = Pricer(self.f.code, int(d.max(initial=1)))(np.where(entry, d, 0))
+            return out + np.where(entry, 0, self.g(np.maximum(np.array(s, np.int64), 0)))
+        if "triple" in kind:
+            return self.f(d) + self.g(n - 1) + self.g(np.array(c, np.int64))
+        return self.f(d) + self.g(np.where(d > 0, n, np.array(s, np.int64)))
 
     def total(self, parse: list[Phrase]) -> int:
-        return sum(map(self.price, parse))
+        return int(self.prices(parse).sum())
 
 
 PARSERS: dict[str, Callable[[Sequence], list[Phrase]]] = {
@@ -187,26 +234,44 @@ def run(seq: DataFrame, parsers: tuple[str, ...], f: Code | str = "gamma", g: Co
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own_f, own_g = code(f), code(g)
         for batch in batches:
-            values = batch["syms"]
-            for lo in range(batch.num_rows):
-                syms = values[lo].values.to_numpy(zero_copy_only=False) if values[lo].is_valid else np.zeros(0, np.int64)
-                s, rows = Sequence(syms, own_f, own_g, window), []
+            out = _Rows(f, g)
+            for key, syms in zip(batch["seq_id"].to_pylist(), batch["syms"], strict=True):
+                syms = syms.values.to_numpy(zero_copy_only=False).astype(np.int64) if syms.is_valid else np.zeros(0, np.int64)
+                s = Sequence(syms, own_f, own_g, window)
                 for name in parsers:
                     s.counters = {}
                     parse = s.static(known, longest) if name == "static" else PARSERS[name](s)
-                    bits = [s.price(p) for p in parse]
-                    detail = [{"start": p[0] + 1, "len": p[1], "kind": p[2], "dist": p[3], "sym": p[4] if p[4] >= 0 else None, "next": p[5], "bits": b} for p, b in zip(parse, bits, strict=True)] if phrases else []
-                    rows.append((name, sum(bits), detail, {**s.counters, "phrases": len(parse)}))
-                k = len(rows)
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array([batch["seq_id"][lo].as_py()] * k, pa.int64()), pa.array([len(syms)] * k, pa.int32()), pa.array([r[0] for r in rows]), pa.array([f] * k), pa.array([g] * k), pa.array([r[1] for r in rows], pa.int64()),
-                        pa.array([r[2] for r in rows], pa.list_(_PHRASE)), pa.array([list(r[3].items()) for r in rows], pa.map_(pa.string(), pa.int64())),
-                    ],
-                    ["seq_id", "n", "parser", "f", "g", "bits", "phrases", "counters"],
-                )
-
-    return seq.select(F.col("seq_id").cast("long").alias("seq_id"), F.col("syms").cast("array<bigint>").alias("syms")).mapInArrow(kernel, PARSE)
+                    out.add(key, len(syms), name, parse, s.prices(parse), s.counters, phrases)
+                if out.size >= BATCH:
+                    yield out.batch()
+                    out = _Rows(f, g)
+            yield out.batch()
+
+    return seq.select(F.col("seq_id").cast("long").alias("seq_id"), "syms").mapInArrow(kernel, PARSE)
+
+
+class _Rows:
+    """Parses gathered into columns."""
+
+    def __init__(self, f: str, g: str):
+        self.names, self.size, self.rows, self.ends, self.parts, self.bits = (f, g), 0, [], [0], [], []
+
+    def add(self, key, n: int, name: str, parse: list[Phrase], bits: np.ndarray, counters: dict, phrases: bool) -> None:
+        self.rows.append((key, n, name, int(bits.sum()), [*counters.items(), ("phrases", len(parse))]))
+        if phrases:
+            self.parts += parse
+            self.bits.append(bits)
+        self.ends.append(len(self.parts))
+        self.size += 64 + n
+
+    def batch(self) -> pa.RecordBatch:
+        key, n, name, bits, counters = zip(*self.rows, strict=True) if self.rows else [()] * 5
+        start, size, kind, dist, sym, after = zip(*self.parts, strict=True) if self.parts else [()] * 6
+        sym = np.array(sym, np.int64)
+        flat = [pa.array(np.array(start, np.int32) + np.int32(1)), pa.array(size, pa.int32()), pa.array(kind, pa.string()), pa.array(dist, pa.int32()), pa.array(sym.astype(np.int32), mask=sym < 0), pa.array(after, pa.int32()), pa.array(np.concatenate([*self.bits, np.zeros(0, np.int64)]))]
+        lists = pa.ListArray.from_arrays(pa.array(self.ends, pa.int32()), pa.StructArray.from_arrays(flat, fields=list(_PHRASE)))
+        k = len(self.rows)
+        return pa.RecordBatch.from_arrays([pa.array(key, pa.int64()), pa.array(n, pa.int32()), pa.array(name, pa.string()), *(pa.array([x] * k, pa.string()) for x in self.names), pa.array(bits, pa.int64()), lists, pa.array(counters, pa.map_(pa.string(), pa.int64()))], ["seq_id", "n", "parser", "f", "g", "bits", "phrases", "counters"])
 
 
 def optimal(seq: DataFrame, f: Code | str = "gamma", g: Code | str = "gamma", one_copies: bool = True, window: int | None = None, stars: str = "auto") -> DataFrame:

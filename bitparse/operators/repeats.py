@@ -71,14 +71,6 @@ def levels(syms: np.ndarray, most_edges: int | None = None, window: int | None =
         length += 1
 
 
-def longest_prev(syms: np.ndarray, window: int | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """Of each position the length of its longest earlier match and the distance to the right-most source of it."""
-    length, dist = np.zeros(len(syms), np.int64), np.zeros(len(syms), np.int64)
-    for n, at, gap in levels(syms, window=window):
-        length[at], dist[at] = n, gap
-    return length, dist
-
-
 def longest_repeat(syms: np.ndarray) -> int:
     return int(max(lcp(syms, suffix_ranks(syms)), default=0))
 

@@ -35,6 +35,42 @@ def relax(n: int, literal: np.ndarray, star: Star, cost: np.ndarray) -> tuple[li
     return best, start, edge
 
 
+class Path:
+    """The same for steps that come range by range and are not kept: costs, and of each position the step that reaches it."""
+
+    def __init__(self, n: int, literal: np.ndarray):
+        self.best, self.start, self.dist = [1 << 62] * (n + 1), [0] * (n + 1), [0] * (n + 1)
+        self.best[0] = 0
+        self.literal = literal.tolist()
+
+    def add(self, a: int, b: int, star: Star, cost: np.ndarray) -> None:
+        """The copies that start at a..b-1, in order of start."""
+        best, begin, far, lits = self.best, self.start, self.dist, self.literal
+        ptr = np.searchsorted(star.i, np.arange(a, b + 1)).tolist()
+        ends, costs, dists = (star.i + star.length).tolist(), cost.tolist(), star.dist.tolist()
+        at = 0
+        for i in range(a, b):
+            here = best[i]
+            c = here + lits[i]
+            if c < best[i + 1]:
+                best[i + 1], begin[i + 1], far[i + 1] = c, i, 0
+            stop = ptr[i - a + 1]
+            while at < stop:
+                j = ends[at]
+                c = here + costs[at]
+                if c < best[j]:
+                    best[j], begin[j], far[j] = c, i, dists[at]
+                at += 1
+
+    def steps(self) -> list[tuple[int, int, int]]:
+        """(start, length, distance) of the steps of the best path, in order; distance 0 for a literal."""
+        out, j = [], len(self.best) - 1
+        while j:
+            out.append((self.start[j], j - self.start[j], self.dist[j]))
+            j = self.start[j]
+        return out[::-1]
+
+
 def backtrace(n: int, start: list[int], edge: list[int]) -> list[tuple[int, int, int]]:
     """(start, end, edge) of the steps of the best path, in order."""
     out, j = [], n

@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from bitparse.functions.codes import Code, code, plateaus
-from bitparse.operators import repeats
+from bitparse.operators import blocks, repeats
 
 
 class Pricer:
@@ -29,8 +29,11 @@ class Pricer:
         else:
             self.lo = None
             self.every = np.array([self.code.bits(x) for x in range(most + 1)], np.int64)
+        self.limit = self.code.limit
 
     def __call__(self, values: np.ndarray) -> np.ndarray:
+        if self.limit is not None and len(values) and int(values.max()) > self.limit:
+            raise ValueError(f"{self.code.name} has no codeword for {int(values.max())}")
         if self.lo is None:
             return self.every[values]
         return self.bits[np.searchsorted(self.lo, values, "right") - 1]
@@ -70,136 +73,14 @@ def prune(star: Star, f: Pricer, g: Pricer, rule: str = "right") -> Star:
     return Star(star.i[keep], star.length[keep], star.dist[keep], dict(star.counters))
 
 
-def schedule(distances: list[tuple[int, int, int]], n: int) -> list[tuple[int, int, int, int]]:
-    """(plateau, first, last, size) of the blocks of each pass; a block is as long as its plateau is wide."""
-    return [(k, b, min(n, b + hi - lo + 1) - 1, hi - lo + 1) for k, (lo, hi, _) in enumerate(distances) for b in range(0, n, hi - lo + 1)]
-
-
-def windows(lo: int, hi: int, first: int, last: int) -> tuple[int, int, int, int]:
-    """Sources of a block first..last for distances lo..hi: the window of its first position and that of its last."""
-    return max(0, first - hi), first - lo, max(0, last - hi), last - lo
-
-
-def annotate(suffixes: np.ndarray, common: np.ndarray, first: int, last: int, halves: tuple[int, int, int, int]):
-    """Nodes of the tree over some suffixes, children before parents: (depth, a, m1, m2, parent).
-
-    ``suffixes`` stand in suffix order, ``common`` is the common prefix of each with the one before.
-    a: the smallest block position below; m1: the right-most in the first window; m2: the left-most
-    in the last one; -1 or a number beyond the sequence where there is none.
-    """
-    far = 1 << 62
-    nodes, stack = [], []
-
-    def leaf(s: int) -> list:
-        inside = first <= s <= last
-        return [0, s if inside else far, s if halves[0] <= s <= halves[1] else -1, s if halves[2] <= s <= halves[3] else far, []]
-
-    def close(node: list) -> int:
-        nodes.append([node[0], node[1], node[2], node[3], -1])
-        for child in node[4]:
-            nodes[child][4] = len(nodes) - 1
-        return len(nodes) - 1
-
-    def merge(into: list, child: list) -> None:
-        into[1], into[2], into[3] = min(into[1], child[1]), max(into[2], child[2]), min(into[3], child[3])
-        into[4].append(close(child))
-
-    for s, depth in zip(suffixes.tolist(), [*common[1:].tolist(), 0], strict=True):
-        # the new leaf hangs below the node whose depth is the larger of its common prefixes
-        node = leaf(s)
-        node[0] = far
-        held = node
-        while stack and stack[-1][0] > depth:
-            top = stack.pop()
-            merge(top, held)
-            held = top
-        if stack and stack[-1][0] == depth:
-            merge(stack[-1], held)
-        else:
-            parent = [depth, far, -1, far, []]
-            merge(parent, held)
-            stack.append(parent)
-    while stack:
-        top = stack.pop()
-        if stack:
-            merge(stack[-1], top)
-        else:
-            close(top)
-    return nodes
-
-
-def assign(nodes: list[list], lo: int, hi: int) -> dict[int, int]:
-    """A source for every block position that is the smallest below some node: the first candidate in its window on the
-    way up, or else the smallest block position below the next node."""
-    far, found, top = 1 << 62, {}, {}
-    for depth, a, m1, m2, parent in nodes:
-        if a == far:
-            continue
-        if a not in found:
-            if m1 >= 0 and a - hi <= m1 <= a - lo:
-                found[a] = m1
-            elif m2 < far and a - hi <= m2 <= a - lo:
-                found[a] = m2
-        top[a] = parent
-    for a, parent in top.items():
-        if a not in found and parent >= 0 and nodes[parent][1] < a:
-            found[a] = nodes[parent][1]
-    return found
-
-
 def block(syms: np.ndarray, f: Pricer, window: int | None = None) -> Star:
-    """Copies of the longest match in each plateau of distances, by one pass a plateau over blocks of its width.
-
-    Arbitrary sources are validated and priced anew, so every edge is a real copy. Memory besides the
-    suffix order is one block a plateau.
-    """
-    n, none = len(syms), np.zeros(0, np.int64)
-    if n < 2:
-        return Star(none, none, none, {"visits": 0, "live_edges": 0, "emitted": 0})
-    rank = repeats.suffix_ranks(syms)
-    common = repeats.lcp(syms, rank)
-    tables = [common]
-    while 1 << len(tables) <= n - 1:  # range minima of powers of two
-        step = 1 << (len(tables) - 1)
-        tables.append(np.minimum(tables[-1][:-step], tables[-1][step:]))
-    rows = plateaus(f.code, max(1, min(n, window or n)), 1)
-    edges, visits, live = [], 0, 0
-    for lo, hi, _ in rows:
-        hi = min(hi, n)
-        width = hi - lo + 1
-        live += width
-        for first in range(0, n, width):
-            last = min(n, first + width) - 1
-            if last - lo < 0:
-                continue
-            halves = windows(lo, hi, first, last)
-            places = np.unique(np.concatenate([np.arange(first, last + 1), np.arange(max(0, halves[0]), max(0, halves[3] + 1))]))
-            visits += len(places)
-            order = places[np.argsort(rank[places])]
-            ranks = rank[order]
-            a, b = ranks[:-1] + 1, ranks[1:]
-            k = np.array([x.bit_length() - 1 for x in (b - a + 1).tolist()], np.int64)
-            between = np.zeros(len(order), np.int64)
-            for level in np.unique(k):
-                own = k == level
-                between[1:][own] = np.minimum(tables[level][a[own]], tables[level][b[own] - (1 << level) + 1])
-            if not between.any():
-                continue  # no repeat among these suffixes
-            for h, s in assign(annotate(order, between, first, last, halves), lo, hi).items():
-                edges.append((h, s))
-    counters = {"visits": visits, "live_edges": live, "emitted": len(edges)}
-    if not edges:
+    """All copies of the longest match in each plateau of distances, gathered from the passes over blocks."""
+    counters: dict = {}
+    parts = [x[2:] for x in blocks.stream(np.asarray(syms, np.int64), f.code, window, counters)]
+    if not parts:
+        none = np.zeros(0, np.int64)
         return Star(none, none, none, counters)
-    h, s = np.array(edges, np.int64).T
-    a, b = np.minimum(rank[h], rank[s]) + 1, np.maximum(rank[h], rank[s])
-    k = np.array([x.bit_length() - 1 for x in (b - a + 1).tolist()], np.int64)
-    length = np.zeros(len(h), np.int64)
-    for level in np.unique(k):
-        own = k == level
-        length[own] = np.minimum(tables[level][a[own]], tables[level][b[own] - (1 << level) + 1])
-    dist = h - s
-    ok = (length > 0) & (dist > 0) & (dist <= (window or n))
-    return _ordered(h[ok], length[ok], dist[ok], **counters)
+    return _ordered(*(np.concatenate(x) for x in zip(*parts, strict=True)), **counters)
 
 
 def split_lengths(star: Star, f: Pricer, g: Pricer) -> Star:
@@ -212,15 +93,10 @@ def split_lengths(star: Star, f: Pricer, g: Pricer) -> Star:
     cost = f(star.dist)
     order = np.lexsort((star.dist, -star.length, cost, star.i))
     i, length, dist = star.i[order], star.length[order], star.dist[order]
-    rising = np.ones(len(i), bool)
-    most, at = 0, -1
-    before = np.zeros(len(i), np.int64)
-    for k, (p, n) in enumerate(zip(i.tolist(), length.tolist(), strict=True)):
-        if p != at:
-            at, most = p, 0
-        before[k] = most
-        rising[k] = n > most
-        most = max(most, n)
+    wide = int(length.max()) + 1
+    most = np.maximum.accumulate(i * wide + length)
+    before = np.maximum(np.concatenate(([-1], most[:-1])) - i * wide, 0)
+    rising = length > before
     i, length, dist, before = i[rising], length[rising], dist[rising], before[rising]
     ends = np.append(g.lo[1:] - 1, 1 << 62)
     first, last = np.searchsorted(ends, before, "right"), np.searchsorted(ends, length, "left")

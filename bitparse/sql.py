@@ -45,8 +45,9 @@ class Phrases:
 
     def eval(self, text: str, f: str, g: str, parser: str = "optimal") -> Iterator[tuple]:
         own = _sequence(text, f, g)
-        for k, p in enumerate(parsers.PARSERS[parser](own), 1):
-            yield k, p[0] + 1, p[1], p[2], p[3], own.price(p)
+        parse = parsers.PARSERS[parser](own)
+        for k, (p, b) in enumerate(zip(parse, own.prices(parse), strict=True), 1):
+            yield k, p[0] + 1, p[1], p[2], p[3], int(b)
 
 
 class Edges:

@@ -38,6 +38,8 @@ for _key, (_f, _g) in _PAIRS.items():
     add(f"optimal_bits_{_key}", totals("documents", "optimal", _f, _g))
 add("optimal_bits_pages", totals("pages"))
 add("optimal_bits_conversations", totals("conversations"))
+for _name in ("documents", "pages"):  # the same by steps made block by block
+    add(f"optimal_block_{_name}", totals(_name, "optimal_block"))
 add("windowed_optimal_documents", totals("documents", window=1024))
 for _parser in ("greedy", "greedy_triple", "lazy", "fewest", "length_only", "ratio_greedy"):
     add(f"{_parser}_documents", totals("documents", _parser))
@@ -46,6 +48,13 @@ for _key, (_f, _g) in _PAIRS.items():
     add(f"optimal_bits_events_{_key}", *optimum("events", _f, _g))
 for _name in ("event_keys", "orders", "lineitem", "suppliers", "embeddings"):
     add(f"optimal_bits_{_name}", *optimum(_name))
+# Whole texts of moderate length, character by character.
+for _key, (_f, _g) in _PAIRS.items():
+    add(f"optimal_bits_benchmark_{_key}", *optimum("benchmark", _f, _g))
+add("optimal_bits_names", *optimum("names"))
+for _name in ("benchmark", "names"):
+    add(f"optimal_block_{_name}", lambda s, d, n=_name: totals(n, "optimal_block")(s, d).select("seq_id", "bits"), optimum(_name)[1])
+add("windowed_optimal_benchmark", *optimum("benchmark", window=64))
 for _w in (8, 16):
     add(f"windowed_optimal_w{_w}", *optimum("events", window=_w))
 
@@ -90,7 +99,7 @@ step as materialized (select sym.seq_id, sym.i, case when len >= 2 then len else
 walk as (select seq_id, i, len, bits from step where i = 1 union all select s.seq_id, s.i, s.len, s.bits from walk w join step s on s.seq_id = w.seq_id and s.i = w.i + w.len)"""
 
 
-for _name in ("events", "orders", "lineitem"):
+for _name in ("events", "orders", "lineitem", "benchmark", "names"):
     add(f"greedy_bits_{_name}", totals(_name, "greedy"), f"{_walk(_name)} select seq_id, sum(len)::bigint as n, sum(bits)::bigint as bits, count(*)::bigint as phrases from walk group by seq_id")
 add(
     "greedy_phrases", lambda s, d: parsers.explode(parsers.greedy(tables.events(s, d))).select("seq_id", "start", "len", "bits"),
@@ -109,7 +118,8 @@ step as materialized (select sym.seq_id, sym.i, least(coalesce(len, 0), n - sym.
 walk as (select * from step where i = 1 union all select s.* from walk w join step s on s.seq_id = w.seq_id and s.i = w.i + w.len)
 select w.seq_id, w.i as start, w.len::int as len, s::int as next from walk w join sym on sym.seq_id = w.seq_id and sym.i = w.i + w.len - 1""",
 )
-add("fewest_phrases", lambda s, d: totals("events", "fewest")(s, d).select("seq_id", "phrases"), f"with recursive {tables.edges_sql('events', _SQL['gamma'], _SQL['gamma'])}, {tables.optimum_sql(bits='1')} select seq_id, bits as phrases from best")
+for _name, _query in (("events", "fewest_phrases"), ("benchmark", "fewest_phrases_benchmark"), ("names", "fewest_phrases_names")):
+    add(_query, lambda s, d, n=_name: totals(n, "fewest")(s, d).select("seq_id", "phrases"), f"with recursive {tables.edges_sql(_name, _SQL['gamma'], _SQL['gamma'])}, {tables.optimum_sql(bits='1')} select seq_id, bits as phrases from best")
 
 
 def _fixed(s, d):
@@ -146,7 +156,7 @@ def _gap(name):
 
 
 _SELECT_GAP = "select seq_id, n, greedy, optimal, round(greedy / optimal, 6) as ratio, round((2 * length(bin(n + 1)) - 1) * 2 / 2.0, 6)::double as bound, greedy / optimal <= (2 * length(bin(n + 1)) - 1) as within from own"
-for _name in ("events", "orders"):
+for _name in ("events", "orders", "benchmark", "names"):
     add(f"gap_ratio_{_name}", _gap(_name), f"{_gap_sql(_name)} {_SELECT_GAP}")
 add("gap_ratio_documents", _gap("documents"))
 
@@ -220,7 +230,7 @@ edges as materialized (select seq_id, i, i + 1 as j, (1 + {_B('unicode(substr(p_
 )
 
 # Entropies, sizes and round trips.
-for _name in ("events", "documents"):
+for _name in ("events", "documents", "benchmark"):
     for _k in (0, 1, 2):
         _context = f"list(s) over (partition by seq_id order by i rows between {_k} preceding and 1 preceding)" if _k else "[]"
         add(

@@ -26,15 +26,15 @@ add("code_lengths", lambda s, d: _lengths(s), _LENGTHS)
 add("code_plateaus", lambda s, d: codes.plateau_table(_lengths(s)), f"select code, (row_number() over (partition by code order by min(x)))::bigint as k, min(x) as lo, max(x) as hi, bits from ({_LENGTHS}) group by code, bits")
 add("code_monotone", lambda s, d: codes.is_monotone(_lengths(s)), f"select code, bool_and(ok) as monotone from (select code, coalesce(bits >= lag(bits) over (partition by code order by x), true) as ok from ({_LENGTHS})) group by code")
 add("code_log_ratio", lambda s, d: codes.log_ratio(_lengths(s)), f"select code, round(min(bits / log2(x + 1)), 6) as least, round(max(bits / log2(x + 1)), 6) as most from ({_LENGTHS}) where x >= 1 group by code")
-_SIZES = (16, 256, 1024, 4096)
+_SIZES = (16, 256, 1024, 4096, 65_536)
 
 
 def _q_counts(s, d):
     sizes = F.explode(F.array(*map(F.lit, _SIZES)))
-    return _lengths(s).filter("x >= 1").withColumn("n", sizes).filter("x <= n").groupBy("code", "n").agg(F.countDistinct("bits").alias("q"))
+    return codes.lengths(s, _SIZES[-1]).filter("x >= 1").withColumn("n", sizes).filter("x <= n").groupBy("code", "n").agg(F.countDistinct("bits").alias("q"))
 
 
-add("code_q_counts", _q_counts, f"select code, n, count(distinct bits) as q from ({_LENGTHS}), (select unnest({list(_SIZES)}) as n) where x between 1 and n group by code, n")
+add("code_q_counts", _q_counts, f"select code, n, count(distinct bits) as q from ({_LENGTHS.replace(str(MOST + 1), str(_SIZES[-1] + 1))}), (select unnest({list(_SIZES)}) as n) where x between 1 and n group by code, n")
 
 # Sequences: length, alphabet, and a digest of all symbols in order.
 
@@ -98,11 +98,26 @@ add(
     f"with {_G}, x as (select seq_id, bits < lag(bits) over (partition by seq_id, i order by j) as f, bits < lag(bits) over (partition by seq_id, j order by i desc) as b from edges where kind = 'copy') select seq_id, count(*) filter (f) as forward, count(*) filter (b) as backward from x group by seq_id",
 )
 _NEXT = {"d": "df", "l": "dg", "right": "df or dg", "cost": "dc"}
-_PRUNE = f"""{_G}, ahead as (select *, coalesce({_GAMMA.replace('{x}', 'lead(dist) over w')} > {_GAMMA.replace('{x}', 'dist')}, true) as df,
-coalesce({_GAMMA.replace('{x}', 'lead(len) over w')} > {_GAMMA.replace('{x}', 'len')}, true) as dg, coalesce(lead(bits) over w > bits, true) as dc from edges where kind = 'copy' window w as (partition by seq_id, i order by j))"""
+
+
+def _pruned(name):
+    """CTEs up to ahead: the copies, and whether the next longer one costs more in distance, in length, in all."""
+    more = lambda c: f"coalesce({_GAMMA.replace('{x}', 'n' + c)} > {_GAMMA.replace('{x}', c)}, true)"
+    return f"""{tables.edges_sql(name, _GAMMA, _GAMMA)},
+beside as materialized (select *, lead(dist) over w as ndist, lead(len) over w as nlen, lead(bits) over w as nbits from edges where kind = 'copy' window w as (partition by seq_id, i order by j)),
+ahead as materialized (select seq_id, i, j, kind, dist, len, sym, bits, {more('dist')} as df, {more('len')} as dg, coalesce(nbits > bits, true) as dc from beside)"""
+
+
+_PRUNE = _pruned("events")
 for _rule, _keep in _NEXT.items():
-    add(f"maximal_edges_{_rule}", lambda s, d, r=_rule: stars.prune_edges(_edges("events", s, d), "gamma", "gamma", r), f"with {_PRUNE} select seq_id, i, j, kind, dist, len, sym, bits from ahead where {_keep} union all select * from edges where kind = 'literal'")
-_Q = "(select n, count(distinct b) as q from (select unnest(range(1, 129)) as n), (select x, 2 * length(bin(x + 1)) - 1 as b from range(1, 129) t(x)) where x <= n group by n)"
+    for _name in ("orders", "names"):
+        add(f"maximal_edges_{_rule}" + ("" if _name == "orders" else "_names"), lambda s, d, r=_rule, n=_name: stars.prune_edges(_edges(n, s, d), "gamma", "gamma", r), f"with {_pruned(_name)} select seq_id, i, j, kind, dist, len, sym, bits from ahead where {_keep} union all select * from edges where kind = 'literal'")
+add(
+    "maximal_edges_left", lambda s, d: stars.prune_edges(_edges("orders", s, d), "gamma", "gamma", "left"),
+    f"with {tables.edges_sql('orders', _GAMMA, _GAMMA)}, beside as (select *, min(bits) over (partition by seq_id, j order by i rows between unbounded preceding and 1 preceding) as least from edges where kind = 'copy') select seq_id, i, j, kind, dist, len, sym, bits from beside where least is null or bits < least union all select * from edges where kind = 'literal'",
+)
+_LONGEST = "(select max(n) + 1 from seq)"
+_Q = f"(select n, count(distinct b) as q from (select unnest(range(1, {_LONGEST})) as n), (select x, 2 * length(bin(x + 1)) - 1 as b from (select unnest(range(1, {_LONGEST})) as x)) where x <= n group by n)"
 add(
     "max_degree", lambda s, d: measures.degree(stars.prune_edges(_edges("events", s, d), "gamma", "gamma"), "gamma", "gamma"),
     f"with {_PRUNE}, kept as (select seq_id, i from ahead where df or dg union all select seq_id, i from edges where kind = 'literal'), deg as (select seq_id, i, count(*) as k from kept group by seq_id, i), own as (select seq_id, sum(k)::bigint as n_edges, max(k) as max_degree, max(i) as n from deg group by seq_id) select seq_id, n_edges, max_degree, (2 * q)::bigint as bound from own join {_Q} using (n)",

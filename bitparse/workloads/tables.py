@@ -37,6 +37,10 @@ def benchmark(spark, sf_dir):
     return sequences.from_text(read(spark, sf_dir, "benchmark"), "item_id", "text")
 
 
+def names(spark, sf_dir):
+    return sequences.from_text(read(spark, sf_dir, "part"), "p_partkey", "p_name")
+
+
 def conversation_text(spark, sf_dir) -> DataFrame:
     """(conv_id, text): the first letter of each role and the text, by turn."""
     rows = F.array_sort(F.collect_list(F.struct("turn", F.concat(F.substring("role", 1, 1), F.coalesce("text", F.lit(""))).alias("t"))))
@@ -74,7 +78,7 @@ def embeddings(spark, sf_dir):
     return sequences.from_vectors(read(spark, sf_dir, "embeddings"), "vec_id", "embedding")
 
 
-ALL = {f.__name__: f for f in (documents, pages, benchmark, conversations, events, event_keys, orders, lineitem, suppliers, embeddings)}
+ALL = {f.__name__: f for f in (documents, pages, benchmark, names, conversations, events, event_keys, orders, lineitem, suppliers, embeddings)}
 
 
 def _by_key(key: str, order: str, symbol: str, table: str) -> str:
@@ -98,12 +102,24 @@ SYM = {
     "documents": _chars("doc_id", "text", "documents"),
     "pages": _chars("page_id", "html", "pages"),
     "benchmark": _chars("item_id", "text", "benchmark"),
+    "names": _chars("p_partkey", "p_name", "part"),
     "conversations": _chars("conv_id", "text", "(select conv_id, string_agg(substr(role, 1, 1) || coalesce(text, ''), '' order by turn) as text from conversations group by conv_id)"),
 }
 
 
+#: Key, text and table of sequences whose substrings SQL takes from the text.
+TEXTS = {"benchmark": ("item_id", "text", "benchmark"), "names": ("p_partkey", "p_name", "part")}
+
+
 def copies_sql(name: str) -> str:
     """CTEs sym, seq, gram and copies (seq_id, i, len, dist): right-most earlier copies of all substrings."""
+    if name in TEXTS:
+        key, text, source = TEXTS[name]
+        return f"""sym as materialized ({SYM[name]}),
+seq as materialized (select {key}::bigint as seq_id, {text} as syms, length({text})::int as n from {source}),
+start as (select seq_id, syms, n, unnest(range(1, n + 1))::int as i from seq),
+gram as (select seq_id, i, len, substr(syms, i, len) as gram from (select seq_id, syms, i, unnest(range(1, n - i + 2))::int as len from start)),
+copies as materialized (select * from (select seq_id, i, len, i - lag(i) over (partition by seq_id, len, gram order by i) as dist from gram) where dist is not null)"""
     return f"""sym as materialized ({SYM[name]}),
 seq as materialized (select seq_id, list(s order by i) as syms, count(*)::int as n from sym group by seq_id),
 start as (select seq_id, syms, n, unnest(range(1, n + 1))::int as i from seq),

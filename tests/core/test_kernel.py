@@ -5,9 +5,10 @@ import random
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from bitparse.functions import codes
-from bitparse.operators import bits, lz78, repeats, stars
+from bitparse.operators import bits, blocks, lz78, repeats, stars
 from bitparse.operators.parsers import PARSERS, Sequence
 
 NAMES = ("gamma", "delta", "omega", "fibonacci", "varbyte", "nibble", "rice2", "unary", "deflate30")
@@ -35,6 +36,21 @@ def test_codes(name):
     assert all(a[2] < b[2] for a, b in itertools.pairwise(rows))
 
 
+def test_values_without_a_codeword_are_refused(spark):
+    short, own = codes.fixed(3), codes.table([(0, 3, 2)])
+    for c, x in ((short, 8), (own, 4)):
+        for use in (c.bits, c.word):
+            with pytest.raises(ValueError):
+                use(x)
+        with pytest.raises(Exception, match="no codeword"):
+            spark.range(x, x + 1).select(c.column(F.col("id"))).collect()
+    assert spark.range(8).select(short.column(F.col("id")).alias("b")).agg(F.sum("b")).first()[0] == 24
+    with pytest.raises(ValueError):
+        Sequence(np.array([1, 9, 1, 9]), short, short).optimal("pruned")
+    rows = spark.createDataFrame([(0, 3, 3), (4, 11, 4)], "lo long, hi long, bits long")
+    assert [codes.table_of(rows).bits(x) for x in (0, 4, 11)] == [3, 4, 4]
+
+
 def test_known_codewords():
     assert [codes.gamma().word(y - 1) for y in (1, 2, 4)] == ["1", "010", "00100"]
     assert [codes.fibonacci().word(y - 1) for y in (1, 2, 3, 5)] == ["11", "011", "0011", "00011"]
@@ -85,10 +101,11 @@ def test_repeats():
         assert {(i, n): d for i, n, d in zip(star.i.tolist(), star.length.tolist(), star.dist.tolist(), strict=True)} == brute_copies(own)
         copies = brute_copies(own)
         assert repeats.longest_repeat(s) == max([0, *(n for _, n in copies)])
-        length, dist = repeats.longest_prev(s)
-        for i in range(len(own)):
-            n = max([0, *(m for p, m in copies if p == i)])
-            assert length[i] == n and dist[i] == copies.get((i, n), 0)
+        suffixes = blocks.Suffixes(s)
+        length = suffixes.longest().tolist() if len(own) else []
+        assert length == [max([0, *(m for p, m in copies if p == i)]) for i in range(len(own))]
+        at = [i for i in range(len(own)) if length[i]]
+        assert suffixes.nearest(at, [length[i] for i in at]) == [copies[i, length[i]] for i in at]
 
 
 @pytest.mark.parametrize("f", ["gamma", "delta", "fibonacci", "rice2", "varbyte", "unary", "deflate30"])
@@ -121,6 +138,63 @@ def test_blocks_find_every_maximal_edge(f):
         assert all((s[i + x] == s[i + x - d]) for i, n, d in zip(made.i, made.length, made.dist, strict=True) for x in range(n))
 
 
+def repetitive(n):
+    rng = random.Random(n)
+    word = "the cat sat on the mat and saw a rat in the hat "
+    yield np.ones(n, np.int64)
+    yield np.array([1 + (k % 7 == 0) for k in range(n)])
+    yield np.array([rng.randrange(1, 5) for _ in range(n)])
+    yield np.array([ord(c) for c in "".join(rng.choice(word.split()) + " " for _ in range(n // 4))][:n], np.int64)
+    half = [rng.randrange(1, 90) for _ in range(n // 2)]
+    yield np.array(half + half)
+
+
+@pytest.mark.parametrize("span", [16, 64, 1 << 14])
+@pytest.mark.parametrize("f", ["gamma", "fibonacci"])
+def test_blocks_hold_few_steps_and_lose_none(monkeypatch, f, span):
+    """The steps that are held are measured: at most a few times n at any moment, while those made in all are more."""
+    monkeypatch.setattr(blocks, "SPAN", span)
+    for s in repetitive(700):
+        own = Sequence(s, codes.code(f), codes.gamma())
+        assert own.total(own.optimal("block")) == own.total(own.optimal("levels"))
+        assert own.counters is not None
+        made = Sequence(s, codes.code(f), codes.gamma())
+        made.optimal("block")
+        q = codes.n_plateaus(f, len(s))
+        assert made.counters["live_edges"] <= 7 * len(s) + q * min(span, len(s))
+        star = stars.block(s, own.f)
+        want = stars.prune(stars.full(s), own.f, own.g, "d")
+        have = set(zip(star.i.tolist(), star.length.tolist(), own.f(star.dist).tolist(), strict=True))
+        assert set(zip(want.i.tolist(), want.length.tolist(), own.f(want.dist).tolist(), strict=True)) == have
+
+
+def test_long_chains_of_links():
+    values = np.concatenate(([blocks._TOP], np.arange(500)[::-1], [-1]))
+    to = blocks.back(values)
+    assert to[501] == 500 and (to[1:501] == np.arange(500)).all()
+    assert blocks.climb(values, to, np.array([500, 500, 500]), np.array([0, 300, 499])).tolist() == [500, 200, 1]
+    assert blocks.climb(values, to, np.array([500]), np.array([500])).tolist() == [0]
+
+
+def test_greedy_is_fast_on_repetitive_input():
+    import time
+
+    began = time.time()
+    own = Sequence(np.ones(200_000, np.int64), codes.gamma(), codes.gamma())
+    assert [p[:2] for p in own.greedy()] == [(0, 1), (1, 199_999)] and len(own.fewest()) == 2 and len(own.lazy()) <= 3
+    assert time.time() - began < 20
+
+
+@pytest.mark.parametrize("window", [2, 5])
+def test_windowed_greedy(window):
+    for s in strings(40, seed=2):
+        copies = brute_copies(s.tolist(), window)
+        near = Sequence(s, codes.gamma(), codes.gamma(), window)
+        for i, n, kind, d, _, _ in near.greedy("copy"):
+            most = max([0, *(m for p, m in copies if p == i)])
+            assert n == max(1, most) and (kind == "literal" if not most else d == copies[i, most])
+
+
 def test_literal_rule_loses_the_optimum():
     s = np.array([100, 100, 97, 98, 100, 100, 100])
     own = Sequence(s, codes.gamma(), codes.fibonacci())
