@@ -41,6 +41,22 @@ def test_stages_on_planted_cases(spark, tmp_path):
     assert {r.doc_id for r in pieces.select("doc_id").distinct().collect()} == {r.doc_id for r in seen.select("doc_id").collect()}
 
 
+def test_columns_of_any_name_and_odd_rows_pass_every_stage(spark, tmp_path):
+    names = ["said", "score", "removed", "n_words", "n_hit", "items", "body", "marks", "named", "of", "o", "h", "gone", "rid", "ids", "n", "__text", "__of", "__gone", "part", "start", "length"]
+    text = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").first().text
+    rows = [(k, t, "en", *range(len(names))) for k, t in enumerate([text, text, "", None, " \n ", "word " * 200_000, text + "\n" + text])] + [(None, text, None, *range(len(names)))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string, " + ", ".join(f"{c} long" for c in names))
+    spark.read.parquet("/root/testdata/sf0.001/benchmark.parquet").write.parquet(f"{tmp_path}/benchmark.parquet")
+    for seen in (docs, docs.limit(0)):
+        for name, stage in corpus_pipeline.STAGES[:-1]:
+            out = corpus_pipeline.store(stage(spark, seen, str(tmp_path)), name)
+            assert out.columns == docs.columns
+            assert all(tuple(r)[3:] == tuple(range(len(names))) for r in out.collect())
+            seen = out
+        pieces = corpus_pipeline.STAGES[-1][1](spark, seen, str(tmp_path))
+        assert {r.doc_id for r in pieces.collect()} == {r.doc_id for r in seen.collect()}
+
+
 def test_repeated_rows_leave_one(spark):
     df = spark.createDataFrame([(1, "a b c d e"), (1, "a b c d e"), (1, "other words are here now"), (2, "a b c d e"), (None, "a b c d e")], "doc_id long, text string")
     kept = corpus_pipeline.near_dedup(spark, df.withColumn("score", F.lit(1)), "")

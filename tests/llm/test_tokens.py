@@ -32,6 +32,17 @@ def test_ids_are_the_librarys(monkeypatch):
             assert np.frombuffer(own.texts([t.encode() if t is not None else None])[0], np.uint16).tolist() == want(t)[:-1]
 
 
+def test_odd_words_together():
+    """Words of marks, digits, accents and special tokens, many in one text, against each alone."""
+    rng, own = random.Random(6), tokens.Encoder(tokens.default_path())
+    alphabet = ["a", "Z", "7", "é", "e\u0301", "\u0301", "'", "'s", "-", "…", "日", "ﬁ", "İ", "\u200b", "\u00a0", "\u2028", "<|endoftext|>", "<|", "|>", "😀", "ß", "Σ", "\x01", "\x85", "½"]
+    words = ["".join(rng.choices(alphabet, k=rng.randrange(1, 7))).encode() for _ in range(20_000)]
+    words = [w for w in {p for w in words for p in w.split()} if w]
+    for lo in range(0, len(words), 50):
+        text = " ".join(w.decode() for w in words[lo : lo + 50])
+        assert np.frombuffer(own.texts([text.encode()])[0], np.uint16).tolist() == want(text)[:-1]
+
+
 def plain_huffman(counts):
     heap = [(n, k, 0) for k, n in enumerate(counts)]
     heapq.heapify(heap)
