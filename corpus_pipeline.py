@@ -6,21 +6,23 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from bitparse.llm import decontaminate, langid, lines, packing, simhash
-from bitparse.llm.common import store, table
+from bitparse.llm.common import fresh, store, table
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Predicts each document's language; documents without a language (no letter, or no text) go."""
     model = langid.train(docs)
-    found = langid.identify(docs, model, keep=tuple(docs.columns), names=("__lang", "__score"))
-    return found.filter(F.col("__lang") != "und").select(*docs.columns)
+    said, score = fresh(docs, "said"), fresh(docs, "score")
+    found = langid.identify(docs, model, keep=tuple(docs.columns), names=(said, score))
+    return found.filter(F.col(said) != "und").select(*docs.columns)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Deletes later copies of repeated line runs; n_chars follows the text."""
-    found = lines.dedup(docs, removed="__removed")
+    removed = fresh(docs, "removed")
+    found = lines.dedup(docs, removed=removed)
     if "n_chars" in docs.columns:
-        found = found.withColumn("n_chars", F.when(F.col("__removed") > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
+        found = found.withColumn("n_chars", F.when(F.col(removed) > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
     return found.select(*docs.columns)
 
 
@@ -31,8 +33,9 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that are contaminated by benchmark items."""
-    found = decontaminate.decontaminate(docs, table(spark, sf_dir, "benchmark"), keep=tuple(docs.columns), names=("__n_words", "__n_hit", "__items"))
-    return found.filter(~decontaminate.contaminated("__n_words", "__n_hit")).select(*docs.columns)
+    names = tuple(fresh(docs, k) for k in ("n_words", "n_hit", "items"))
+    found = decontaminate.decontaminate(docs, table(spark, sf_dir, "benchmark"), keep=tuple(docs.columns), names=names)
+    return found.filter(~decontaminate.contaminated(*names[:2])).select(*docs.columns)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
