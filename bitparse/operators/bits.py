@@ -59,6 +59,55 @@ def encode(parse: DataFrame) -> DataFrame:
     return parse.select("seq_id", "n", "parser", "f", "g", "phrases").mapInArrow(run, ENCODED)
 
 
+def of_phrases(phrases: DataFrame, f: Code | str = "gamma", g: Code | str = "gamma", per: int = 1 << 16) -> DataFrame:
+    """(seq_id, part, payload): the payloads of phrases that stand in rows (seq_id, start, len, dist, sym), about ``per`` symbols each.
+
+    For sequences that no row can hold: each payload is n of its part and the codewords, so parts are read one after another.
+    """
+    names = code(f).name, code(g).name
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, key, part, held, size = (code(names[0]), code(names[1])), None, 0, [], 0
+
+        def close():
+            head, body = to_bits(size, held, *own)
+            bits = head + body
+            return pa.RecordBatch.from_arrays([pa.array([key], pa.int64()), pa.array([part], pa.int64()), pa.array([int("1" + bits + "0" * (-len(bits) % 8), 2).to_bytes(1 + -(-len(bits) // 8), "big")[1:]], pa.binary())], ["seq_id", "part", "payload"])
+
+        for batch in batches:
+            for r in batch.to_pylist():
+                if held and (r["seq_id"] != key or size >= per):
+                    yield close()
+                    part, held, size = (part + 1 if r["seq_id"] == key else 0), [], 0
+                key = r["seq_id"]
+                held.append({"kind": "copy" if r["dist"] else "literal", **r})
+                size += r["len"]
+        if held:
+            yield close()
+
+    dealt = phrases.select("seq_id", "start", "len", "dist", "sym").repartition("seq_id").sortWithinPartitions("seq_id", "start")
+    return dealt.mapInArrow(run, "seq_id long, part long, payload binary")
+
+
+def to_symbols(payloads: list[bytes], f: Code | str = "gamma", g: Code | str = "gamma") -> list[int]:
+    """The symbols of one sequence from its parts in order; copies may reach back into earlier parts."""
+    out: list[int] = []
+    f, g = code(f), code(g)
+    for raw in payloads:
+        r = Reader(format(int.from_bytes(b"\1" + raw, "big"), "b")[1:])
+        end = delta().read(r) + len(out)
+        while len(out) < end:
+            d, v = f.read(r), g.read(r)
+            if not d:
+                out.append(v)
+            elif v <= d:
+                out += out[len(out) - d : len(out) - d + v]
+            else:
+                own = out[-d:]
+                out += (own * (v // d + 1))[:v]
+    return out
+
+
 def decode(encoded: DataFrame) -> DataFrame:
     """(seq_id, n, syms) from payloads."""
 

@@ -1,7 +1,8 @@
-"""Long sequences in chunks: with forced cuts at the seams (bounded loss), or exact by carrying the frontier."""
+"""Long sequences in chunks: with forced cuts at the seams (bounded loss), exact by carrying the frontier, or on line."""
 
 from __future__ import annotations
 
+import heapq
 from collections.abc import Iterator
 
 import numpy as np
@@ -10,7 +11,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from bitparse.functions.codes import Code, code
-from bitparse.operators import repeats, shortest, stars
+from bitparse.operators import parsers, repeats, shortest, stars
 from bitparse.operators.stars import Pricer, Star
 
 
@@ -48,6 +49,83 @@ def chunk_parse(syms: np.ndarray, held: int, f: Code, g: Code, window: int) -> t
     return best[n], [(i, j - i, int(star.dist[e]) if e >= 0 else 0) for i, j, e in shortest.backtrace(n, start, edge)]
 
 
+class Online:
+    """The optimum with copies from at most ``window`` back and of at most ``most`` symbols, over symbols that come in parts.
+
+    After each part the best paths to all positions are known that a later step may start from: the end, and the starts of
+    copies that reach it. Where these paths meet, what lies before is final and given out; only the ``window``
+    symbols before that place and those after it are kept, about window + most + the part.
+    """
+
+    def __init__(self, window: int, most: int, f: Code | str = "gamma", g: Code | str = "gamma", state: tuple | None = None):
+        self.window, self.most, self.f, self.g = window, most, code(f), code(g)
+        self.held, self.waiting, self.at = state or (np.zeros(0, np.int64), np.zeros(0, np.int64), 0)
+
+    @property
+    def state(self) -> tuple:
+        return self.held, self.waiting, self.at
+
+    def feed(self, syms: np.ndarray, last: bool = False) -> list[tuple[int, int, int, int, int]]:
+        """(start from 0, length, distance, symbol or -1, bits) of the phrases that are final now; all of them with ``last``."""
+        syms = np.asarray(syms, np.int64)
+        own, skip = parsers.Sequence(np.concatenate([self.held, self.waiting, syms]), self.f, self.g, self.window), len(self.held)
+        n = own.n - skip
+        if not n:
+            return []
+        star = own.edges()
+        inside = star.i >= skip
+        star = Star(star.i[inside] - skip, np.minimum(star.length[inside], self.most), star.dist[inside])
+        cost, literal = own.f(star.dist) + own.g(star.length), own.literal[skip:]
+        best, start, edge = shortest.relax(n, literal, star, cost)
+        open_ends = {n}
+        if not last:
+            reach = np.flatnonzero((star.i + star.length == n) & (star.length < self.most))
+            open_ends.update(star.i[reach].tolist())
+        heap = [-v for v in open_ends]
+        heapq.heapify(heap)
+        while len(heap) > 1:  # the paths back from all of them, the farthest first
+            v = start[-heapq.heappop(heap)]
+            if v not in open_ends:
+                open_ends.add(v)
+                heapq.heappush(heap, -v)
+        done = -heap[0]
+        out, j = [], done
+        while j:
+            i, e = start[j], edge[j]
+            out.append((self.at + i, j - i, int(star.dist[e]) if e >= 0 else 0, -1 if e >= 0 else int(own.syms[skip + i]), int(cost[e] if e >= 0 else literal[i])))
+            j = i
+        self.held, self.waiting, self.at = own.syms[max(0, skip + done - self.window) : skip + done], own.syms[skip + done :], self.at + done
+        return out[::-1]
+
+
+def online(parts: DataFrame, window: int, most: int, f: Code | str = "gamma", g: Code | str = "gamma") -> DataFrame:
+    """(seq_id, start from 1, len, kind, dist, sym, bits): the phrases of sequences whose symbols stand in rows (seq_id, c, syms),
+    in order of c. No row or task ever holds a whole sequence; symbols are shuffled once, steps never."""
+    names = code(f).name, code(g).name
+    columns = ["seq_id", "start", "len", "kind", "dist", "sym", "bits"]
+
+    def rows(key: int, found: list) -> pa.RecordBatch:
+        start, size, dist, sym, bits = (np.array(x, np.int64) for x in (zip(*found, strict=True) if found else [()] * 5))
+        kind = np.where(dist > 0, "copy", "literal")
+        return pa.RecordBatch.from_arrays([pa.array([key] * len(found), pa.int64()), pa.array(start + 1), pa.array(size.astype(np.int32)), pa.array(kind.tolist(), pa.string()), pa.array(dist.astype(np.int32)), pa.array(sym.astype(np.int32), mask=sym < 0), pa.array(bits)], columns)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, own = None, None
+        for batch in batches:
+            for k, syms in zip(batch["seq_id"].to_pylist(), batch["syms"], strict=True):
+                if own is None or k != key:
+                    if own is not None:
+                        yield rows(key, own.feed(np.zeros(0, np.int64), last=True))
+                    key, own = k, Online(window, most, *names)
+                if syms.is_valid:
+                    yield rows(key, own.feed(syms.values.to_numpy(zero_copy_only=False)))
+        if own is not None:
+            yield rows(key, own.feed(np.zeros(0, np.int64), last=True))
+
+    dealt = parts.select("seq_id", "c", "syms").repartition("seq_id").sortWithinPartitions("seq_id", "c")
+    return dealt.select("seq_id", "syms").mapInArrow(run, "seq_id long, start long, len int, kind string, dist int, sym int, bits long")
+
+
 def seams(seq: DataFrame, chunk: int, window: int, f: Code | str = "gamma", g: Code | str = "gamma") -> DataFrame:
     """(seq_id, n, bits, seams, allowance): the windowed optimum with a cut at each seam, and by how much it may exceed
     the optimum without: the dearest step for each seam."""

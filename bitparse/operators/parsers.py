@@ -52,6 +52,15 @@ class Sequence:
             return stars.prune(stars.full(self.syms, self.window, allowed), self.f, self.g)
         return stars.split_lengths(stars.block(self.syms, self.f, self.window), self.f, self.g)
 
+    def edges(self) -> Star:
+        """The maximal copies, listed by length while they are few, else by blocks."""
+        try:
+            return self.star("auto")
+        except OverflowError:
+            star = self.star("block")
+            order = np.lexsort((star.length, star.i))
+            return Star(star.i[order], star.length[order], star.dist[order])
+
     def path(self, star: Star, literal: np.ndarray, cost: np.ndarray) -> list[Phrase]:
         _, start, edge = shortest.relax(self.n, literal, star, cost)
         own, dist = self.syms.tolist(), star.dist.tolist()
@@ -146,12 +155,7 @@ class Sequence:
 
     def ratio_greedy(self) -> list[Phrase]:
         """At each step the edge of the fewest bits a symbol; of equal ones the longer."""
-        try:
-            star = self.star("auto")
-        except OverflowError:
-            star = self.star("block")
-            order = np.lexsort((star.length, star.i))
-            star = Star(star.i[order], star.length[order], star.dist[order])
+        star = self.edges()
         cost = (self.f(star.dist) + self.g(star.length)).tolist()
         ptr = np.searchsorted(star.i, np.arange(self.n + 1)).tolist()
         length, dist, own, lits, out, i = star.length.tolist(), star.dist.tolist(), self.syms.tolist(), self.literal.tolist(), [], 0

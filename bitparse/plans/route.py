@@ -37,8 +37,9 @@ def optimal_bits(seq: DataFrame, f: Code | str = "gamma", g: Code | str = "gamma
         folded = shortest.fold_costs(priced).join(short.select("seq_id", F.col("n").cast("long").alias("n")), "seq_id")
         out = out.unionByName(folded.select("seq_id", "n", "bits", F.lit("fold").alias("route")))
     if window:
-        cut = chunks.exact(long, chunk, window, most, f, g)
-        out = out.unionByName(cut.select("seq_id", F.col("n").cast("long").alias("n"), "bits", F.lit("chunks").alias("route")))
+        phrases = chunks.online(chunks.split(long, chunk, 0), window, most, f, g)
+        cut = phrases.groupBy("seq_id").agg(F.sum("len").alias("n"), F.sum("bits").alias("bits"))
+        out = out.unionByName(cut.select("seq_id", "n", "bits", F.lit("chunks").alias("route")))
     elif not long.isEmpty():
         raise ValueError(f"sequences of over {chunked} symbols need a window")
     return out

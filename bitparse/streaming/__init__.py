@@ -17,21 +17,29 @@ from bitparse.operators import chunks, parsers
 _ORDER = ["ts", "event_id"]
 
 
-def _in_order(parts: Iterator[pd.DataFrame]) -> list[int]:
+def _in_order(parts: Iterator[pd.DataFrame]) -> list:
+    """The symbols of a trigger by (ts, event_id); None, which ends a sequence, stands for a null."""
     whole = pd.concat(list(parts))
-    return whole.sort_values(_ORDER)["s"].tolist()
+    return [None if pd.isna(s) else int(s) for s in whole.sort_values(_ORDER)["s"].tolist()]
 
 
 def lz78(stream: DataFrame) -> DataFrame:
     """Phrases (key, k, id, sym) as they are completed. stream: key, s, ts, event_id. State: the tree and the open phrase.
 
-    Within a trigger symbols are put in order of (ts, event_id); a phrase that is still open is not given.
+    Within a trigger symbols are put in order of (ts, event_id); a phrase that is still open is given when a
+    row without a symbol ends the sequence, with which the key starts anew.
     """
 
     def step(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         child, node, k = pickle.loads(state.get[0]) if state.exists else ({}, 0, 0)
         out = []
         for s in _in_order(parts):
+            if s is None:  # the end: the open phrase is a known one, without a symbol of its own
+                if node:
+                    k += 1
+                    out.append((key[0], k, node, None))
+                child, node, k = {}, 0, 0
+                continue
             if (node, s) in child:
                 node = child[node, s]
                 continue
@@ -40,29 +48,43 @@ def lz78(stream: DataFrame) -> DataFrame:
             out.append((key[0], k, node, s))
             node = 0
         state.update((pickle.dumps((child, node, k)),))
-        yield pd.DataFrame(out, columns=["key", "k", "id", "sym"])
+        made = pd.DataFrame(out, columns=["key", "k", "id", "sym"])
+        yield made.astype({"sym": "Int64"})
 
     return stream.groupBy("key").applyInPandasWithState(step, "key long, k long, id long, sym long", "state binary", "append", GroupStateTimeout.NoTimeout)
 
 
-def windowed_optimal(stream: DataFrame, window: int, pending: int, f: Code | str = "gamma", g: Code | str = "gamma") -> DataFrame:
-    """Parts (key, part, n, bits) of ``pending`` symbols, each parsed at best with copies from at most ``window`` back; a cut
-    stands at each end of a part. State: the last ``window`` symbols and those not yet parsed."""
+def windowed_optimal(stream: DataFrame, window: int, most: int, f: Code | str = "gamma", g: Code | str = "gamma", idle: str | None = None) -> DataFrame:
+    """Parts (key, start from 1, n, bits) of the windowed optimum as they become final: together they cover the sequence without a
+    cut, and their bits add up to those of the batch. A row without a symbol ends a sequence; with ``idle`` (milliseconds as
+    text) so does that long a time without rows. State: the last ``window`` symbols and those that are not final."""
     names = code(f).name, code(g).name
 
     def step(key: tuple, rows: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        held, waiting, part = pickle.loads(state.get[0]) if state.exists else ([], [], 0)
-        waiting += _in_order(rows)
+        own = chunks.Online(window, most, *names, pickle.loads(state.get[0]) if state.exists else None)
         out = []
-        while len(waiting) >= pending:
-            own, waiting = waiting[:pending], waiting[pending:]
-            bits, _ = chunks.chunk_parse(np.array(held + own, np.int64), len(held), code(names[0]), code(names[1]), window)
-            out.append((key[0], part, pending, bits))
-            held, part = (held + own)[-window:], part + 1
-        state.update((pickle.dumps((held, waiting, part)),))
-        yield pd.DataFrame(out, columns=["key", "part", "n", "bits"])
-
-    return stream.groupBy("key").applyInPandasWithState(step, "key long, part long, n long, bits long", "state binary", "append", GroupStateTimeout.NoTimeout)
+
+        def give(found: list) -> None:
+            if found:
+                out.append((key[0], found[0][0] + 1, sum(p[1] for p in found), sum(p[4] for p in found)))
+
+        symbols = [None] if state.hasTimedOut else _in_order(rows)
+        while symbols:
+            end = symbols.index(None) if None in symbols else len(symbols)
+            give(own.feed(np.array(symbols[:end], np.int64), last=end < len(symbols)))
+            if end < len(symbols):
+                own = chunks.Online(window, most, *names)
+            symbols = symbols[end + 1 :]
+        if own.at or len(own.waiting):
+            state.update((pickle.dumps(own.state),))
+            if idle:
+                state.setTimeoutDuration(int(idle))
+        elif state.exists:
+            state.remove()
+        yield pd.DataFrame(out, columns=["key", "start", "n", "bits"])
+
+    timeout = GroupStateTimeout.ProcessingTimeTimeout if idle else GroupStateTimeout.NoTimeout
+    return stream.groupBy("key").applyInPandasWithState(step, "key long, start long, n long, bits long", "state binary", "append", timeout)
 
 
 def window_bits(events: DataFrame, span: Column, f: Code | str = "gamma", g: Code | str = "gamma") -> DataFrame:

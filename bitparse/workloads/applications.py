@@ -52,20 +52,25 @@ def ncd(pairs):
 
 
 def _ncd_near(s, d):
-    """Pairs of documents that share their first line, each with its nearest by id in that group; the 20 closest."""
-    docs = tables.documents(s, d)
-    line = tables.read(s, d, "documents").select(F.col("doc_id").alias("seq_id"), F.xxhash64(F.substring_index("text", "\n", 1)).alias("k"))
-    own = docs.join(line, "seq_id")
-    before = Window.partitionBy("k").orderBy("seq_id")
-    pairs = own.select(F.col("seq_id").alias("a"), F.lag("seq_id").over(before).alias("b"), F.col("syms").alias("x"), F.lag("syms").over(before).alias("y")).filter("b is not null")
-    return ncd(pairs).orderBy("distance", "a").limit(20)
-
-
-add("ncd_near_copies", _ncd_near)
+    """Each distinct text with an earlier near copy, and its nearest one by NCD among its candidates.
+
+    Candidates are, for each of HASHES hashes, the smallest id among the texts with the same least hash over all phrases; of a pair
+    with Jaccard similarity j all hashes differ with probability (1 - j)^HASHES. A text has at most HASHES candidates, so
+    groups of copies give no quadratic output.
+    """
+    docs = tables.read(s, d, "documents").select("doc_id", "text")
+    ids = docs.groupBy(F.sha2(F.col("text").cast("binary"), 256).alias("k")).agg(F.min("doc_id").alias("doc_id")).select("doc_id")
+    phrases = _phrases(tables.spread(docs.join(ids, "doc_id", "left_semi")), "doc_id", "text")
+    least = phrases.groupBy("doc_id").agg(*(F.min(F.xxhash64(F.lit(k), "phrase")).alias(f"m{k}") for k in range(HASHES)))
+    keyed = least.select(F.col("doc_id").alias("a"), F.posexplode(F.array(*(f"m{k}" for k in range(HASHES)))).alias("k", "m"))
+    pairs = keyed.join(keyed.groupBy("k", "m").agg(F.min("a").alias("b")), ["k", "m"]).filter("a > b").select("a", "b").distinct()
+    seq = tables.documents(s, d)
+    both = pairs.join(seq.select(F.col("seq_id").alias("a"), F.col("syms").alias("x")), "a").join(seq.select(F.col("seq_id").alias("b"), F.col("syms").alias("y")), "b")
+    return ncd(both).groupBy("a").agg(F.min_by(F.struct("b", "distance"), F.struct("distance", "b")).alias("m")).select("a", "m.b", "m.distance")
 
 
 #: Words of a phrase; an item of fewer words is one phrase.
-PHRASE = 5
+PHRASE, HASHES = 5, 4
 
 
 def _phrases(df, key, text, widths=None):
@@ -78,11 +83,14 @@ def _phrases(df, key, text, widths=None):
     return each.select(key, F.explode(F.array_distinct(runs)).alias("phrase"))
 
 
+add("ncd_near_copies", _ncd_near)
+
+
 def bits_after(held: np.ndarray, syms: np.ndarray) -> int:
     """Bits of the optimum of syms where copies may also start in, and run on from, the held symbols before them."""
     c, n = code("gamma"), len(held)
     own = parsers.Sequence(np.concatenate([held, syms]), c, c)
-    star = own.star("auto")
+    star = own.edges()
     inside = star.i >= n
     star = stars.Star(star.i[inside] - n, star.length[inside], star.dist[inside])
     return int(shortest.relax(len(syms), own.literal[n:], star, own.f(star.dist) + own.g(star.length))[0][len(syms)])

@@ -276,4 +276,6 @@ def _frontier(s, d):
     return chunks.exact(seq, chunk, longest, longest).select("seq_id", "bits")
 
 
+for _w in (16, 64):  # the same in parts of few symbols, on line: what is final is given out after each
+    add(f"online_optimum_w{_w}", lambda s, d, w=_w: chunks.online(chunks.split(tables.events(s, d), 10, 0), w, 1 << 20).groupBy("seq_id").agg(F.sum("bits").alias("bits")), optimum("events", window=_w)[1])
 add("chunk_frontier_exact", _frontier, optimum("events")[1])

@@ -39,14 +39,62 @@ def test_growing_dictionary_stream(spark, stream_of):
         assert sorted(by_key.get(r.seq_id, [])) == [(k, p.id, p.sym) for k, p in enumerate(r.parse, 1) if p.sym is not None]
 
 
-def test_windowed_stream(spark, stream_of):
-    got = {(r.key, r.part): r.bits for r in _run(streaming.windowed_optimal(stream_of(), 16, 10), "near", spark)}
+def test_windowed_stream(spark, tmp_path):
+    """With rows that end the keys the parts cover every symbol once, without a cut: their bits are the batch's."""
+    events = streaming.symbols(tables.ranked(tables.read(spark, SMALL, "events"), F.col("event_type")), F.col("sym"))
+    ends = events.groupBy("key").agg(F.lit(None).cast("long").alias("s"), F.max("ts").alias("ts"), (F.max("event_id") + 1).alias("event_id"))
+    folder = f"{tmp_path}/in"
+    events.unionByName(ends).repartitionByRange(5, "ts", "event_id").write.parquet(folder)
+    stream = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 8).parquet(folder)
+    parts = {}
+    for r in _run(streaming.windowed_optimal(stream, 16, 12), "near", spark):
+        parts.setdefault(r.key, []).append((r.start, r.n, r.bits))
     c = codes.gamma()
     for r in tables.events(spark, SMALL).collect():
-        for part in range(len(r.syms) // 10):
-            first = part * 10
-            held = r.syms[max(0, first - 16) : first]
-            assert got[r.seq_id, part] == chunks.chunk_parse(np.array(held + r.syms[first : first + 10]), len(held), c, c, 16)[0]
+        own = sorted(parts[r.seq_id])
+        assert [s for s, _, _ in own] == [1 + sum(n for _, n, _ in own[:k]) for k in range(len(own))] and sum(n for _, n, _ in own) == len(r.syms)
+        assert sum(b for _, _, b in own) == sum(p[4] for p in chunks.Online(16, 12).feed(np.array(r.syms), last=True))
+        free = parsers.Sequence(np.array(r.syms), c, c, 16)
+        assert sum(p[4] for p in chunks.Online(16, 1000).feed(np.array(r.syms), last=True)) == free.total(free.optimal())
+
+
+def test_online_equals_the_whole():
+    rng = np.random.default_rng(3)
+    c = codes.gamma()
+    for k in range(60):
+        s = rng.integers(1, 4, rng.integers(0, 60))
+        window, most = int(rng.integers(1, 20)), int(rng.integers(1, 12))
+        own, found = chunks.Online(window, most), []
+        cut = np.sort(rng.integers(0, len(s) + 1, 4))
+        for part in np.split(s, cut):
+            found += own.feed(part)
+        found += own.feed(np.zeros(0, np.int64), last=True)
+        best = [0] + [1 << 60] * len(s)
+        for i in range(len(s)):
+            best[i + 1] = min(best[i + 1], best[i] + 1 + c.bits(int(s[i])))
+            for d in range(1, min(i, window) + 1):
+                n = 0
+                while n < most and i + n < len(s) and s[i + n] == s[i + n - d]:
+                    n += 1
+                    best[i + n] = min(best[i + n], best[i] + c.bits(d) + c.bits(n))
+        assert sum(p[4] for p in found) == best[-1] and [p[0] for p in found] == [sum(q[1] for q in found[:j]) for j in range(len(found))]
+        assert len(own.waiting) == 0 and len(own.held) <= window
+
+
+def test_long_sequences_come_and_go_in_parts(spark):
+    """A million symbols in rows of 50,000: parsed, written and read back without a row that holds them."""
+    rng = np.random.default_rng(8)
+    words = [rng.integers(97, 123, rng.integers(2, 9)).tolist() + [32] for _ in range(300)]
+    text = [c for k in rng.integers(0, 300, 165_000) for c in words[k]][:1_000_000]
+    rows = [(7, k, text[at : at + 50_000]) for k, at in enumerate(range(0, len(text), 50_000))] + [(8, 0, [1, 2, 1, 2, 1]), (9, 0, None)]
+    parts = spark.createDataFrame(rows, "seq_id long, c int, syms array<int>").repartition(6)
+    phrases = chunks.online(parts, 4096, 4096).cache()
+    made = {r.seq_id: (r.n, r.bits) for r in phrases.groupBy("seq_id").agg(F.sum("len").alias("n"), F.sum("bits").alias("bits")).collect()}
+    assert made[7][0] == len(text) and made[7][1] < 5 * len(text) and made[8][0] == 5 and 9 not in made
+    payloads = {}
+    for r in bits.of_phrases(phrases).orderBy("seq_id", "part").collect():
+        payloads.setdefault(r.seq_id, []).append(r.payload)
+    assert len(payloads[7]) > 10 and bits.to_symbols(payloads[7]) == text and bits.to_symbols(payloads[8]) == [1, 2, 1, 2, 1]
 
 
 def test_deduplicated_stream(spark, stream_of):

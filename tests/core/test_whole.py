@@ -27,6 +27,16 @@ def test_degree_of_long_sequences(spark, hot):
     assert all(r.max_degree <= r.bound for r in got.values())
 
 
+def test_near_copies_edited_anywhere_are_found(spark, tmp_path):
+    rng = np.random.default_rng(2)
+    word = lambda: "".join(map(chr, rng.integers(97, 123, 6)))
+    base = [word() for _ in range(120)]
+    texts = [" ".join(base), "edited " + " ".join(base[1:]), " ".join(base), " ".join([*base[:60], "other", *base[61:]]), " ".join(word() for _ in range(120))]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.a: (r.b, r.distance) for r in applications.QUERIES["ncd_near_copies"](spark, str(tmp_path)).collect()}
+    assert {a: b for a, (b, _) in got.items()} == {1: 0, 3: 0} and all(d < 0.3 for _, d in got.values())
+
+
 def test_bits_after_history():
     """Against all parses, by copies of every length from every earlier place."""
     gamma = lambda x: 2 * (x + 1).bit_length() - 1
