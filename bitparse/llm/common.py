@@ -51,6 +51,15 @@ def fresh(df: DataFrame, name: str) -> str:
     return name
 
 
+def with_text(df: DataFrame, keep: tuple[str, ...], text: str) -> tuple[DataFrame, str, T.StructType]:
+    """The kept columns and the text, once, under a name that no column has unless it is kept; that name; and the schema of the kept columns."""
+    kept = df.select(*keep)
+    if text in keep:
+        return kept, text, kept.schema
+    body = fresh(kept, "body")
+    return df.select(*keep, F.col(text).alias(body)), body, kept.schema
+
+
 def running(df: DataFrame, order: list[str], value: str, name: str, most: bool = False) -> DataFrame:
     """Stored rows with ``name``: the sum (or with ``most`` the greatest) of ``value`` over all rows that stand before them, null before the first.
 

@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bitparse.llm.common import as_bytes, chunks, fresh, store, table
+from bitparse.llm.common import as_bytes, chunks, fresh, store, table, with_text
 
 WINDOW, SHINGLE, BLOCK_CHARS, AT_ONCE, CHUNK = 13, 5, 2_000_000, 4, 1 << 20
 #: Word bytes in lower case, zero for all others; bytes from 128 on belong to word characters.
@@ -217,9 +217,8 @@ def blocks_of(items: DataFrame, window: int, shingle: int, block_chars: int) ->
 def decontaminate(docs: DataFrame, items: DataFrame, keep: tuple[str, ...] = ("doc_id",), window: int = WINDOW, shingle: int = SHINGLE, block_chars: int = BLOCK_CHARS, names: tuple[str, str, str] = ("n_words", "n_hit", "items")) -> DataFrame:
     """The kept columns and, under ``names``, each text's words, hit words and occurring items (sorted). items: item_id, text."""
     context = docs.sparkSession.sparkContext
-    body, marks = fresh(docs, "body"), fresh(docs, "marks")
-    own = docs.select(*keep, F.col("text").alias(body))
-    kept, found = own.drop(body).schema, T.StructType.fromDDL("{} long, {} long, {} array<string>".format(*names))
+    own, body, kept = with_text(docs, keep, "text")
+    marks, found = fresh(docs, "marks"), T.StructType.fromDDL("{} long, {} long, {} array<string>".format(*names))
     rows = own.withColumns({marks: F.lit(None).cast("binary"), fresh(docs, "named"): F.lit(None).cast("array<string>")})
     between = rows.schema
 
@@ -247,7 +246,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, keep: tuple[str, ...] = ("d
                         yield pa.RecordBatch.from_arrays([*(part[k] for k in keep), pa.array(np.diff(words.bounds)), pa.array(np.diff(total[words.bounds])), listed], [*kept.names, *found.names])
                     else:
                         bits = [np.packbits(hit[a:b]).tobytes() for a, b in zip(bounds, bounds[1:], strict=False)]
-                        yield pa.RecordBatch.from_arrays([*(part[k] for k in keep), part[body], pa.array(bits, pa.binary()), listed], between.names)
+                        yield pa.RecordBatch.from_arrays([*(part[k] for k in own.columns), pa.array(bits, pa.binary()), listed], between.names)
 
         return run
 

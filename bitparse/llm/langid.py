@@ -24,7 +24,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bitparse.llm.common import as_bytes, fresh, table
+from bitparse.llm import tokens
+from bitparse.llm.common import as_bytes, table, with_text
 
 DOCS_PER_LANG, CHARS_PER_LANG, ROUNDS, LONGEST, PLAIN_RANGE = 400, 2_000_000, 4, 48, 24
 VOCABULARY = "piece_bpe_32k.model"
@@ -231,12 +232,12 @@ def train(labelled: DataFrame, vocabulary: str | None = None) -> Model:
 
 def identify(df: DataFrame, model: Model, text: str = "text", keep: tuple[str, ...] = ("doc_id",), names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
     """The kept columns, and the prediction and its score under ``names``."""
-    body = fresh(df, "body")
-    own = df.select(*keep, F.col(text).alias(body))
-    schema = T.StructType([*own.drop(body).schema, T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())])
+    own, body, kept = with_text(df, keep, text)
+    schema = T.StructType([*kept, T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())])
     shared = df.sparkSession.sparkContext.broadcast(model)  # bounded by the vocabulary and the labels
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tokens.release()
         scorer = Scorer(shared.value)
         for batch in batches:
             for lo in range(0, batch.num_rows, 256):

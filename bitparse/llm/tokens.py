@@ -146,6 +146,11 @@ def encoder(path: str) -> Encoder:
     return _encoders[path]
 
 
+def release() -> None:
+    """Gives back the table of words of this worker, for operators that come after and hold tables of their own."""
+    _encoders.clear()
+
+
 def crc(ids: np.ndarray) -> int:
     return zlib.crc32(ids.astype("<u4").tobytes())
 
