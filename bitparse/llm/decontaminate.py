@@ -220,7 +220,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, keep: tuple[str, ...] = ("d
     own, body, kept = with_text(docs, keep, "text")
     marks, found = fresh(docs, "marks"), T.StructType.fromDDL("{} long, {} long, {} array<string>".format(*names))
     rows = own.withColumns({marks: F.lit(None).cast("binary"), fresh(docs, "named"): F.lit(None).cast("array<string>")})
-    between = rows.schema
+    between, columns = rows.schema, own.columns
 
     def meet(ready: list, last: bool):
         """A pass over the texts with some blocks; hits of earlier passes are bits by word."""
@@ -246,7 +246,7 @@ def decontaminate(docs: DataFrame, items: DataFrame, keep: tuple[str, ...] = ("d
                         yield pa.RecordBatch.from_arrays([*(part[k] for k in keep), pa.array(np.diff(words.bounds)), pa.array(np.diff(total[words.bounds])), listed], [*kept.names, *found.names])
                     else:
                         bits = [np.packbits(hit[a:b]).tobytes() for a, b in zip(bounds, bounds[1:], strict=False)]
-                        yield pa.RecordBatch.from_arrays([*(part[k] for k in own.columns), pa.array(bits, pa.binary()), listed], between.names)
+                        yield pa.RecordBatch.from_arrays([*(part[k] for k in columns), pa.array(bits, pa.binary()), listed], between.names)
 
         return run
 
