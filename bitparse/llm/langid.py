@@ -25,11 +25,11 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from bitparse.llm import tokens
-from bitparse.llm.common import as_bytes, table, with_text
+from bitparse.llm.common import as_bytes, chunks, table, with_text
 
 DOCS_PER_LANG, CHARS_PER_LANG, ROUNDS, LONGEST, PLAIN_RANGE = 400, 2_000_000, 4, 48, 24
 VOCABULARY = "piece_bpe_32k.model"
-UNKNOWN, KEPT_WORDS = 1e-7, 400_000
+UNKNOWN, KEPT_WORDS, PART = 1e-7, 400_000, 1 << 20
 _PRIME, _NONE = np.uint64(0x9E3779B97F4A7C15), np.zeros(0, np.uint64)
 #: ASCII letters in lower case, bytes of other letters as they are, and a space for all else.
 _PLAIN = bytes(c + 32 if 65 <= c <= 90 else c if 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
@@ -182,19 +182,40 @@ class Scorer:
         self.known.update(zip(missing, range(len(self.rows), len(self.rows) + len(missing)), strict=True))
         self.rows = np.concatenate([self.rows, new])
 
-    def texts(self, raw: list[bytes | None]) -> tuple[list[str], list[float]]:
-        split = [x.translate(_PLAIN).split() if x else [] for x in raw]
+    def _totals(self, plain: list[bytes]) -> list[np.ndarray]:
+        """Of each piece of text the sum of its words' scores and letters."""
+        split = [x.split() for x in plain]
         missing = set().union(*split).difference(self.known)
         if missing:
             if len(self.known) + len(missing) > KEPT_WORDS:  # all words of these texts have to be known at once
                 missing = set().union(*split)
             self._learn(list(missing))
-        langs, scores = [], []
+        out = []
         for own in split:
             total = np.zeros(self.rows.shape[1])
             for lo in range(0, len(own), 1 << 16):
                 part = own[lo : lo + (1 << 16)]
                 total += self.rows[np.fromiter(map(self.known.__getitem__, part), np.int64, len(part))].sum(axis=0)
+            out.append(total)
+        return out
+
+    def texts(self, raw: list[bytes | None]) -> tuple[list[str], list[float]]:
+        """Predictions and scores. Words are held of about PART bytes of text at a time, of longer texts piece by piece."""
+        totals = []
+        for lo, hi in chunks([len(x or b"") for x in raw], PART):
+            plain = [x.translate(_PLAIN) if x else b"" for x in raw[lo:hi]]
+            if len(plain) > 1 or len(plain[0]) <= PART:
+                totals += self._totals(plain)
+                continue
+            total, at, text = np.zeros(self.rows.shape[1]), 0, plain[0]
+            while at < len(text):
+                end = text.find(b" ", at + PART)
+                end = len(text) if end < 0 else end
+                total = total + self._totals([text[at:end]])[0]
+                at = end
+            totals.append(total)
+        langs, scores = [], []
+        for total in totals:
             if not total[-1] or not self.model.langs:
                 langs.append("und")
                 scores.append(0.0)

@@ -51,6 +51,16 @@ def test_long_words_keep_their_scale():
     assert math.isclose(model.log_probability(["a" * 48])[0, 0], 49 * math.log(1e-9), rel_tol=1e-9)
 
 
+def test_long_texts_go_piece_by_piece(monkeypatch):
+    model = langid.Model(["a", "b", "ab"], ["x", "y"])
+    model.table[:] = np.random.default_rng(2).random(model.table.shape)
+    texts = [b"ab ba " * 400, None, b"", b"a", b"b" * 900, "é ab ".encode() * 300]
+    want = langid.Scorer(model).texts(texts)
+    monkeypatch.setattr(langid, "PART", 64)
+    got = langid.Scorer(model).texts(texts)
+    assert got[0] == want[0] and np.allclose(got[1], want[1])
+
+
 def test_held_out(spark, sf):
     got = {r.doc_id: r for r in langid.op5_langid(spark, sf).collect()}
     docs = spark.read.parquet(f"{sf}/documents.parquet").collect()
