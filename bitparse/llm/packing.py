@@ -176,10 +176,10 @@ def pack(ids: DataFrame, keep: tuple[str, ...] = ("doc_id",), window: int = WIND
     return placed.mapInArrow(run, schema)
 
 
-def pack_documents(docs: DataFrame, path: str | None = None, window: int = WINDOW) -> DataFrame:
+def pack_documents(docs: DataFrame, path: str | None = None, window: int = WINDOW, hold: bool = True) -> DataFrame:
     """Pieces of documents (doc_id, text): doc_id and PIECES."""
     own = docs.select("doc_id", "text", F.monotonically_increasing_id().alias("rid"))
-    return pack(store(tokens.tokenize(own, path, keep=("doc_id", "rid")), "ids"), window=window)
+    return pack(store(tokens.tokenize(own, path, keep=("doc_id", "rid"), hold=hold), "ids"), window=window)
 
 
 def op4_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

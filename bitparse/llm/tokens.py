@@ -149,17 +149,19 @@ def encoder(path: str) -> Encoder:
 def release() -> None:
     """Gives back the table of words of this worker, for operators that come after and hold tables of their own."""
     _encoders.clear()
+    pa.default_memory_pool().release_unused()
 
 
 def crc(ids: np.ndarray) -> int:
     return zlib.crc32(ids.astype("<u4").tobytes())
 
 
-def tokenize(df: DataFrame, path: str | None = None, text: str = "text", keep: tuple[str, ...] = ("doc_id",), tally: bool = False) -> DataFrame:
+def tokenize(df: DataFrame, path: str | None = None, text: str = "text", keep: tuple[str, ...] = ("doc_id",), tally: bool = False, hold: bool = True) -> DataFrame:
     """The kept columns, ``ids`` (16-bit, the end id last) and ``n``, their number. A null text counts as empty.
 
     With ``tally`` there is one row more for each partition, with no ids, n of 0 and the counts of all
-    ids of the partition in a column of that name, which is null elsewhere.
+    ids of the partition in a column of that name, which is null elsewhere. Without ``hold`` workers give
+    back their table of words after each partition, for jobs whose other stages need the memory.
     """
     path = path or default_path()
     body = fresh(df, "body")
@@ -179,6 +181,8 @@ def tokenize(df: DataFrame, path: str | None = None, text: str = "text", keep: t
                     columns.append(pa.nulls(part.num_rows, pa.binary()))
                     total += np.bincount(np.frombuffer(b"".join(ids), np.uint16), minlength=1 << 16)
                 yield pa.RecordBatch.from_arrays(columns, schema.names)
+        if not hold:
+            release()
         if tally and part is not None:
             yield pa.RecordBatch.from_arrays([*(pa.nulls(1, part[k].type) for k in keep), pa.array([b""]), pa.array([0], pa.int64()), pa.array([total.astype("<i8").tobytes()])], schema.names)
 
