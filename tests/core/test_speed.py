@@ -3,7 +3,7 @@
 import numpy as np
 
 from bitparse.functions.codes import code
-from bitparse.operators import blocks, parsers
+from bitparse.operators import blocks, lz78, parsers
 
 GAMMA = code("gamma")
 
@@ -28,3 +28,13 @@ def test_short_sequences_go_through_the_blocks_together(monkeypatch):
     monkeypatch.setattr(blocks, "stream", lambda *a, **k: calls.append(1) or stream(*a, **k))
     assert parsers.block_totals(every, GAMMA, GAMMA) == one
     assert len(calls) == 1
+
+
+def test_steps_down_the_tree_are_found_together(monkeypatch):
+    x = some(500, 3, 2).tolist()
+    scan = lz78.Scan(x)
+    rows = [(i, n, k) for i in range(scan.n) for n, k in scan.entries(i)]
+    monkeypatch.setattr(lz78.Scan, "entries", lambda *a: 1 / 0)  # no walk of one position
+    star = scan.star()
+    assert list(zip(star.i.tolist(), star.length.tolist(), star.dist.tolist(), strict=True)) == rows
+    assert lz78.Scan([]).star().i.size == lz78.Scan([5]).star().i.size == 0
