@@ -3,7 +3,7 @@
 import numpy as np
 
 from bitparse.functions.codes import code
-from bitparse.operators import blocks, lz78, parsers
+from bitparse.operators import blocks, chunks, lz78, parsers, repeats
 
 GAMMA = code("gamma")
 
@@ -38,3 +38,16 @@ def test_steps_down_the_tree_are_found_together(monkeypatch):
     star = scan.star()
     assert list(zip(star.i.tolist(), star.length.tolist(), star.dist.tolist(), strict=True)) == rows
     assert lz78.Scan([]).star().i.size == lz78.Scan([5]).star().i.size == 0
+
+
+def test_cuts_at_seams_share_the_steps_of_the_whole(monkeypatch):
+    x = np.concatenate([some(300, 4, 5), np.ones(300, np.int64)])
+    for given in (x, np.ones(700, np.int64)):  # steps that are listed, and too many to list
+        want = sum(chunks.chunk_parse(given[c - min(c, 100) : c + 64], min(c, 100), GAMMA, GAMMA, 100)[0] for c in range(0, len(given), 64))
+        own = parsers.Sequence(given, GAMMA, GAMMA, 100)
+        own.optimal()
+        with monkeypatch.context() as m:
+            m.setattr(repeats, "levels", lambda *a, **k: 1 / 0)
+            if own.listed is not None:
+                assert chunks.cut_bits(own, 64) == want
+        assert chunks.cut_bits(parsers.Sequence(given, GAMMA, GAMMA, 100), 64) == want
