@@ -1,9 +1,11 @@
 """What keeps queries over whole documents within their time: work that is shared, joined or dealt out, with the same results."""
 
 import numpy as np
+import pyarrow as pa
 
 from bitparse.functions.codes import code
-from bitparse.operators import blocks, chunks, lz78, parsers, repeats
+from bitparse.operators import bits, blocks, chunks, lz78, parsers, repeats
+from bitparse.workloads import applications
 
 GAMMA = code("gamma")
 
@@ -51,3 +53,24 @@ def test_cuts_at_seams_share_the_steps_of_the_whole(monkeypatch):
             if own.listed is not None:
                 assert chunks.cut_bits(own, 64) == want
         assert chunks.cut_bits(parsers.Sequence(given, GAMMA, GAMMA, 100), 64) == want
+
+
+def test_compression_distance_takes_texts(spark):
+    rows = [(2, 1, "abcabcabd", "abcabc"), (3, 1, "", "abcabc"), (4, 1, "ä€😀ä€😀", "abcabc")]
+    points = [(a, b, [ord(c) for c in x], [ord(c) for c in y]) for a, b, x, y in rows]
+    got, want = (sorted(map(tuple, applications.ncd(spark.createDataFrame(r, f"a long, b long, x {k}, y {k}")).collect())) for r, k in ((rows, "string"), (points, "array<int>")))
+    assert got == want
+
+
+def test_codewords_are_made_once_for_each_value(spark):
+    x = np.concatenate([some(200, 5, 8), some(200, 5, 8)])
+    seq = spark.createDataFrame([(1, len(x), x.tolist()), (2, 0, []), (3, 1, [70000])], "seq_id long, n int, syms array<int>")
+    for name in ("optimal", "greedy_triple"):
+        parse = parsers.run(seq, (name,), "delta", "gamma").collect()
+        made = {r.seq_id: r.payload for r in bits.encode(spark.createDataFrame(parse, parsers.PARSE)).collect()}
+        for r in parse:
+            head, body = bits.to_bits(r.n, [p.asDict() for p in r.phrases], code("delta"), GAMMA)
+            assert format(int.from_bytes(b"\1" + made[r.seq_id], "big"), "b")[1:].rstrip("0") == (head + body).rstrip("0")
+            if r.phrases:
+                assert bits._body(pa.array([p.asDict() for p in r.phrases], parsers._PHRASE), code("delta"), GAMMA) == body
+            assert bits.from_bits(head + body, code("delta"), GAMMA, name == "greedy_triple") == {1: x.tolist(), 2: [], 3: [70000]}[r.seq_id]
