@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from bitparse.llm import tokens
-from bitparse.llm.common import as_bytes, chunks, table, with_text
+from bitparse.llm.common import as_bytes, chunks, giving_back, table, with_text
 
 DOCS_PER_LANG, CHARS_PER_LANG, ROUNDS, LONGEST, PLAIN_RANGE = 400, 2_000_000, 4, 48, 24
 VOCABULARY = "piece_bpe_32k.model"
@@ -266,7 +266,7 @@ def identify(df: DataFrame, model: Model, text: str = "text", keep: tuple[str, .
                 langs, scores = scorer.texts(as_bytes(part[body]))
                 yield pa.RecordBatch.from_arrays([*(part[k] for k in keep), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], [*keep, *names])
 
-    return own.mapInArrow(run, schema)
+    return own.mapInArrow(giving_back(run), schema)
 
 
 def remainder(key: str = "doc_id"):

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bitparse.llm.common import as_bytes, fresh, store, table
+from bitparse.llm.common import as_bytes, fresh, giving_back, store, table
 
 MIN_WORDS = 50
 _LINES = "o long, h long, l int, a long, b long, tf int, tb int"
@@ -41,7 +41,7 @@ def line_rows(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
     of the shortest run of min_words words that begins (tf) and ends (tb) there, 0 if there is none."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (whole.slice(lo, 256) for whole in batches for lo in range(0, whole.num_rows, 256)):
             at, out, numbers = [], [], []
             for k, raw in enumerate(as_bytes(batch["text"])):
                 own = [x for x in map(bytes.strip, raw.split(b"\n")) if x]
@@ -62,7 +62,7 @@ def line_rows(docs: DataFrame, min_words: int = MIN_WORDS) -> DataFrame:
                 rows = batch.select(["o", "h"]).take(pa.array(at))
                 yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(n[:, 0]), pa.array(ids[:, 0]), pa.array(ids[:, 1]), pa.array(n[:, 1]), pa.array(n[:, 2])], ["o", "h", "l", "a", "b", "tf", "tb"])
 
-    return docs.filter("text is not null").select(*_key(), "text").mapInArrow(run, _LINES)
+    return docs.filter("text is not null").select(*_key(), "text").mapInArrow(giving_back(run), _LINES)
 
 
 def _key() -> tuple:
@@ -133,7 +133,7 @@ def dedup(docs: DataFrame, min_words: int = MIN_WORDS, removed: str = "n_removed
     schema, columns = T.StructType([*docs.schema, T.StructField(removed, T.LongType())]), docs.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (whole.slice(lo, 256) for whole in batches for lo in range(0, whole.num_rows, 256)):
             went = np.zeros(batch.num_rows, np.int64)
             touched = [k for k, x in enumerate(batch[away].is_valid().to_pylist()) if x]
             texts = batch["text"]
@@ -144,7 +144,7 @@ def dedup(docs: DataFrame, min_words: int = MIN_WORDS, removed: str = "n_removed
                 texts = pa.array(raw, pa.binary()).cast(texts.type)
             yield pa.RecordBatch.from_arrays([*(texts if c == "text" else batch[c] for c in columns), pa.array(went)], schema.names)
 
-    return joined.mapInArrow(run, schema)
+    return joined.mapInArrow(giving_back(run), schema)
 
 
 def without(raw: bytes, spans: list[tuple[int, int]]) -> tuple[bytes, int]:

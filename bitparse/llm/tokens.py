@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from bitparse.llm.common import as_bytes, fresh
+from bitparse.llm.common import as_bytes, fresh, give_back
 
 END, KEPT_WORDS, LONGEST = 1, 500_000, 64
 #: Words of letters that stay letters in lower case and in every normal form.
@@ -149,7 +149,7 @@ def encoder(path: str) -> Encoder:
 def release() -> None:
     """Gives back the table of words of this worker, for operators that come after and hold tables of their own."""
     _encoders.clear()
-    pa.default_memory_pool().release_unused()
+    give_back()
 
 
 def crc(ids: np.ndarray) -> int:

@@ -2,6 +2,8 @@
 
 import random
 
+import pyarrow as pa
+
 from bitparse.llm import lines
 
 
@@ -58,3 +60,18 @@ def test_odd_rows(spark):
     assert got[0] == (None, 0) and got[1] == ("", 0) and got[2] == ("\n\n", 0) and got[8] == ("word", 0)
     assert got[6] == ("x\n" + long, 0) and got[3] == ("", 1) and got[4] == got[5] == ("\nown line\n", 1) and got[7] == ("", 2)
     assert lines.dedup(df.limit(0)).count() == 0
+
+
+def test_workers_give_memory_back_after_each_partition(monkeypatch):
+    from bitparse.llm import common
+
+    given = []
+    monkeypatch.setattr(common, "give_back", lambda: given.append(1))
+    assert list(common.giving_back(lambda batches: (2 * x for x in batches))(iter([1, 2]))) == [2, 4]
+    assert given == [1]
+
+
+def test_rows_of_lines_of_many_texts(spark):
+    docs = spark.range(1000).selectExpr("id as doc_id", "concat('a line\nof ', id) as text").coalesce(1)
+    sizes = lines.line_rows(docs).mapInArrow(lambda batches: (pa.RecordBatch.from_pydict({"n": [b.num_rows]}) for b in batches), "n long")
+    assert sum(r.n for r in sizes.collect()) == 2000
