@@ -40,11 +40,19 @@ WIDTH, SIDE, BATCH, RATE, CHUNK, SUMS = 16, 2, 16_384, 0.2, 1 << 20, 4096
 GROWTH, LENGTHS, SHARE, SHARD, ROUNDS, FIXED = 16, 16, 0.9, 2_000_000, 4, 1 << 24
 MOST = 4.0
 #: Bytes of words as symbols of spellings: 0 is the start, digits, letters, then bytes from 128 on.
-_SYMBOL = np.zeros(256, np.int64)
+_SYMBOL = np.zeros(256, np.uint16)
 _SYMBOL[[*range(48, 58), *range(97, 123), *range(128, 256)]] = np.arange(1, 165)
 SYMBOLS = 165
 
 
+def pairs_of(plain: bytes) -> np.ndarray:
+    """Of each byte the symbol before it, times SYMBOLS, and its own."""
+    sym = _SYMBOL.take(np.frombuffer(plain, np.uint8))
+    out = sym.copy()
+    out[1:] += sym[:-1] * np.uint16(SYMBOLS)
+    return out
+
+
 @dataclass
 class Vocabulary:
     """The places of frequent words, by hash, after those of the lengths of all others; and the spelling of words."""
@@ -83,22 +91,32 @@ class Vocabulary:
 
     def spelled(self, words: Words) -> np.ndarray:
         """log p(bytes | place of the length) of each word."""
-        sym = _SYMBOL[np.frombuffer(words.plain, np.uint8)]
-        total = np.concatenate(([0.0], np.cumsum(self.spelling[np.concatenate(([0], sym[:-1])) * SYMBOLS + sym])))
+        total = np.concatenate(([0.0], np.cumsum(self.spelling.take(pairs_of(words.plain)))))
         size = words.ends - words.starts
         tail = np.where(size >= LENGTHS, (size - LENGTHS) * np.log(self.longer) + np.log1p(-self.longer), 0.0)
         return total[words.ends] - total[words.starts] + tail
 
 
+class Around:
+    """The words around the places of some texts, with pads beyond the ends of each text."""
+
+    def __init__(self, x: np.ndarray, text: np.ndarray, pad: int, side: int = SIDE):
+        number = np.cumsum(np.concatenate(([0], text[1:] != text[:-1])))[: len(x)]
+        self.side, self.at = side, np.arange(len(x)) + side * (number + 1)
+        self.padded = np.full(len(x) + side * (int(number.max(initial=0)) + 2), pad, np.int32)
+        self.padded[self.at] = x
+
+    def __call__(self, at: np.ndarray) -> np.ndarray:
+        """A row a place; in memory a column after the other."""
+        own, out = self.at[at], np.empty((2 * self.side, len(at)), np.int32)
+        for k, step in enumerate([*range(-self.side, 0), *range(1, self.side + 1)]):
+            out[k] = self.padded.take(own + step)
+        return out.T
+
+
 def neighbours(x: np.ndarray, text: np.ndarray, at: np.ndarray, pad: int, side: int = SIDE) -> np.ndarray:
     """The words around each place ``at``, with pads beyond the ends of its text."""
-    out = np.full((len(at), 2 * side), pad, np.int32)
-    for k, step in enumerate([*range(-side, 0), *range(1, side + 1)]):
-        other = at + step
-        inside = (other >= 0) & (other < len(x))
-        inside[inside] = text[other[inside]] == text[at[inside]]
-        out[inside, k] = x[other[inside]]
-    return out
+    return Around(x, text, pad, side)(at)
 
 
 def packed(sums: np.ndarray) -> bytes:
@@ -131,12 +149,13 @@ class Net:
             self.p[name], self.g[name] = self.flat[at : at + n].reshape(shape), self.grads[at : at + n].reshape(shape)
             at += n
 
-    def hidden(self, around: np.ndarray) -> np.ndarray:
-        """The hidden layer, and a one behind it for the levels' biases."""
-        z = np.broadcast_to(self.p["bias"], (len(around), WIDTH)).copy()
-        for k in range(around.shape[1]):
-            z += self.p["vectors"][around[:, k]] * self.p["place"][k]
-        out = np.ones((len(around), WIDTH + 1), z.dtype)
+    def hidden(self, around: list[np.ndarray]) -> np.ndarray:
+        """The hidden layer, and a one behind it for the levels' biases; around: the words of each place of the window."""
+        vectors, n = self.p["vectors"], len(around[0])
+        z = np.broadcast_to(self.p["bias"], (n, WIDTH)).copy()
+        for own, place in zip(around, self.p["place"], strict=True):
+            z += (vectors * place).take(own, axis=0) if n >= len(vectors) else vectors.take(own, axis=0) * place
+        out = np.ones((n, WIDTH + 1), z.dtype)
         np.tanh(z, out=out[:, :-1])
         return out
 
@@ -144,20 +163,24 @@ class Net:
         """log p(child | node) of rows sorted by node; with ``dh``, adds the gradients."""
         first = np.flatnonzero(np.concatenate(([True], node[1:] != node[:-1])))
         cuts = list(zip(node[first].tolist(), first.tolist(), [*first[1:].tolist(), len(node)], strict=True))
-        weights, logits = self.p[name], np.empty((self.k, len(h)), h.dtype)  # a column a row of h, so that sums over children are sums of rows
+        weights, logits = self.p[name], np.empty((len(h), self.k), h.dtype)
+        turned = weights.transpose(0, 2, 1)
+        if len(h) >= turned.shape[0] * self.k:
+            turned = np.ascontiguousarray(turned)  # products of few rows are faster so
         for n, lo, hi in cuts:
-            np.matmul(weights[n], h[lo:hi].T, out=logits[:, lo:hi])
-        rows = np.arange(len(h))
-        own = logits[child, rows]
+            np.dot(h[lo:hi], turned[n], out=logits[lo:hi])
+        flat, at = logits.ravel(), np.arange(len(h)) * self.k + child
+        own = flat.take(at)
         np.exp(logits, out=logits)
-        total = logits.sum(axis=0)
+        total = logits @ np.ones(self.k, h.dtype)
         if dh is not None:
-            logits /= total
-            logits[child, rows] -= 1
-            grads, add = self.g[name], np.empty_like(dh)
+            logits /= total[:, None]
+            flat[at] -= 1
+            grads, sums, add = self.g[name], np.empty(weights.shape[1:], h.dtype), np.empty_like(dh)
             for n, lo, hi in cuts:
-                grads[n] += logits[:, lo:hi] @ h[lo:hi]
-                np.matmul(logits[:, lo:hi].T, weights[n], out=add[lo:hi])
+                part = logits[lo:hi]
+                grads[n] += np.dot(part.T, h[lo:hi], out=sums)
+                np.dot(part, weights[n], out=add[lo:hi])
             dh += add
         return own - np.log(total)
 
@@ -166,8 +189,9 @@ class Net:
         out = np.empty(len(target), self.flat.dtype)
         if not len(target):
             return out
-        order = np.argsort(target.astype(np.uint16 if self.size < 1 << 16 else np.int64), kind="stable")
-        around, target = around[order], target[order].astype(np.int64)
+        kind = np.uint16 if self.size < 1 << 16 else np.int64  # 16 bits sort by digits
+        order = np.argsort(target.astype(kind), kind="stable")
+        around, target = [own.take(order) for own in around.T], target.take(order).astype(np.int64)
         h = self.hidden(around)
         dh = np.zeros_like(h) if learn else None
         leaf, middle = target // self.k, target // self.k**2
@@ -176,16 +200,15 @@ class Net:
         log += self._level("leaf", h, leaf, target % self.k, dh)
         out[order] = log
         if learn:
-            h, dh = h[:, :-1], dh[:, :-1]
-            dz = dh * (1 - h * h)
-            self.g["bias"] += dz.sum(axis=0)
-            kind = np.uint16 if self.size < 1 << 16 else np.int32  # 16 bits sort by digits
-            for k in range(around.shape[1]):
-                self.g["place"][k] += np.einsum("ij,ij->j", dz, self.p["vectors"][around[:, k]])
-                by = np.argsort(around[:, k].astype(kind), kind="stable")
-                at = around[by, k]
+            dz = dh * (1 - h * h)  # its last column, of the ones, is zero
+            self.g["bias"] += dz.sum(axis=0)[:-1]
+            for k, own in enumerate(around):
+                by = np.argsort(own.astype(kind), kind="stable")
+                at = own.take(by)
                 first = np.flatnonzero(np.concatenate(([True], at[1:] != at[:-1])))
-                self.g["vectors"][at[first]] += np.add.reduceat(dz[by], first, axis=0) * self.p["place"][k]
+                word, sums = at[first], np.add.reduceat(dz.take(by, axis=0), first, axis=0)[:, :-1]  # a row a word that occurs there
+                self.g["place"][k] += np.einsum("ij,ij->j", sums, self.p["vectors"][word])
+                self.g["vectors"][word] += sums * self.p["place"][k]
         return out
 
     def step(self, n: int, rate: float = RATE) -> None:
@@ -200,9 +223,10 @@ class Net:
         x = np.concatenate(texts).astype(np.int32)
         text = np.repeat(np.arange(len(texts)), [len(t) for t in texts])
         own, batch = np.random.default_rng(len(x)).permutation(len(x)), BATCH * (1 + self.size // (1 << 14))
+        around = Around(x, text, self.size)
         for lo in range(0, len(own), batch):
             at = own[lo : lo + batch]
-            self.log_probability(neighbours(x, text, at, self.size), x[at], learn=True)
+            self.log_probability(around(at), x[at], learn=True)
             self.step(len(at))
 
 
@@ -229,9 +253,7 @@ def vocabulary(texts: DataFrame, text: str = "text") -> tuple[Vocabulary, DataFr
             return pa.RecordBatch.from_arrays([pa.array(np.full(len(own), kind, np.int8)), pa.array(own.view(np.int64)), pa.array(n), pa.array(size.astype(np.int8))], ["kind", "word", "n", "size"])
 
         for _, words in _word_chunks(batches, text):
-            sym = _SYMBOL[np.frombuffer(words.plain, np.uint8)]
-            inside = np.flatnonzero(sym)
-            pairs += np.bincount(np.where(inside > 0, sym[inside - 1], 0) * SYMBOLS + sym[inside], minlength=SYMBOLS * SYMBOLS)
+            pairs += np.bincount(pairs_of(words.plain), minlength=SYMBOLS * SYMBOLS)
             size = words.ends - words.starts
             lengths += ((size >= LENGTHS).sum(), np.maximum(size - LENGTHS, 0).sum())
             own, first, n = np.unique(words.hash, return_index=True, return_counts=True)
@@ -243,6 +265,7 @@ def vocabulary(texts: DataFrame, text: str = "text") -> tuple[Vocabulary, DataFr
                     held.clear()
         if held:
             yield rows(0, *merged())
+            pairs[::SYMBOLS] = 0  # ends of words
             seen = np.flatnonzero(pairs)
             yield rows(1, seen, pairs[seen], np.zeros(len(seen)))
             yield rows(2, np.arange(2), lengths, np.zeros(2))
@@ -352,10 +375,10 @@ def score(encoded: DataFrame, shares: DataFrame, words_of: Vocabulary, net: Net)
                 own = [np.frombuffer(x, kind_of) for x in raw[lo:hi]]
                 x, sizes = np.concatenate(own).astype(np.int32), np.array([len(t) for t in own])
                 text, ends = np.repeat(np.arange(len(own)), sizes), np.cumsum(sizes)
-                log = np.zeros(len(x) + 1)
+                around, log = Around(x, text, mine.size), np.zeros(len(x) + 1)
                 for a in range(0, len(x), 1 << 15):
                     at = np.arange(a, min(len(x), a + (1 << 15)))
-                    log[at] = mine.log_probability(neighbours(x, text, at, mine.size), x[at])
+                    log[at] = mine.log_probability(around(at), x[at])
                 total = np.add.reduceat(log, ends - sizes) if len(own) else np.zeros(0)
                 total[sizes == 0] = 0
                 part = batch.slice(lo, hi - lo)

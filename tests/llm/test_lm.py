@@ -51,6 +51,20 @@ def test_neighbours_stay_in_their_text():
     assert lm.neighbours(x, text, np.array([1, 2]), 99).tolist() == [[99, 5, 99, 99], [99, 99, 8, 99]]
 
 
+def test_around_and_pairs_equal_plain_python():
+    """Windows made once for all places of some texts, and pairs of neighbouring bytes by symbols."""
+    texts = [[4, 5, 6, 7, 8], [9], [1, 2], [3, 3, 3]]
+    x, text = np.concatenate(texts), np.repeat([0, 1, 3, 4], [len(t) for t in texts])  # number 2 is an empty text
+    want = [[t[i + d] if 0 <= i + d < len(t) else 99 for d in (-2, -1, 1, 2)] for t in texts for i in range(len(t))]
+    around = lm.Around(x, text, 99)
+    assert around(np.arange(len(x))).tolist() == want
+    assert around(np.array([7, 0, 5])).tolist() == [want[7], want[0], want[5]]
+    assert lm.Around(x[:0], text[:0], 99)(np.zeros(0, np.int64)).shape == (0, 4)
+    plain = Words([b"Ab 0z", bytes(range(128, 256))]).plain
+    sym = [int(lm._SYMBOL[c]) for c in plain]
+    assert lm.pairs_of(plain).tolist() == [a * lm.SYMBOLS + b for a, b in zip([0, *sym], sym)]
+
+
 def test_scores_equal_plain_python(spark, monkeypatch):
     """Sums over a text, word by word: the tree of softmaxes, the shares of rare words and their spelling."""
     monkeypatch.setattr(lm, "GROWTH", 1)
