@@ -23,6 +23,20 @@ def test_greedy_takes_its_matches_from_the_steps_of_the_optimum(monkeypatch):
     assert both.greedy() == want
 
 
+def test_gaps_are_priced_together_without_phrases(monkeypatch):
+    """The optimum and greedy bits of many sequences at once equal those of each alone: odd ones, many copies, longer than a pack."""
+    monkeypatch.setattr(parsers, "PACK", 900)
+    monkeypatch.setattr(parsers, "RACK", 2000)
+    every = [np.zeros(0, np.int64), *(some(n, k, n + k) for n in (1, 2, 3, 17, 200, 880) for k in (1, 2, 9)), np.tile(some(30, 9, 1), 29), some(950, 3, 2), np.ones(1200, np.int64), some(70, 60_000, 3)]
+    for f, g in (("gamma", "gamma"), ("delta", "omega"), ("varbyte", "nibble")):
+        f, g = code(f), code(g)
+        each = [parsers.Sequence(x, f, g) for x in every]
+        want = [s.total(s.optimal()) for s in each], [s.total(s.greedy()) for s in each]
+        with monkeypatch.context() as m:
+            m.setattr(parsers.Sequence, "path", lambda *a: 1 / 0)  # no phrases of an optimum
+            assert parsers.gap_totals(every, f, g) == want
+
+
 def test_short_sequences_go_through_the_blocks_together(monkeypatch):
     every = [some(n, 3, n) for n in (0, 1, 40, 90, 400)] + [np.ones(200, np.int64)] * 2
     one = [(s.total(p), len(p)) for s, p in ((s, s.optimal("block")) for s in (parsers.Sequence(x, GAMMA, GAMMA) for x in every))]
