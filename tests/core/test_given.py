@@ -19,3 +19,8 @@ def test_the_rows_follow_the_table(spark, tmp_path, name):
     assert part and (set(part) != set(whole) or name == "code_monotone")  # which is true of every code either way
     if name in ("bad_family", "bad_family_closed_forms", "code_lengths"):
         assert len(part) < len(whole)
+
+
+def test_phrases_of_the_family_are_not_made_for_every_line(spark):
+    plan = workloads.QUERIES["bad_family_near_copy_parse"](spark, SMALL)._jdf.queryExecution().optimizedPlan().toString()
+    assert "l_tax" in plan and "size(" not in plan
