@@ -37,6 +37,27 @@ def test_near_copies_edited_anywhere_are_found(spark, tmp_path):
     assert {a: b for a, (b, _) in got.items()} == {1: 0, 3: 0} and all(d < 0.3 for _, d in got.values())
 
 
+def test_nearest_copy_is_found_among_all_texts_that_share_a_phrase(spark, tmp_path):
+    """The nearest of a large group, which is not its first one, and one that shares a single phrase."""
+    rng = np.random.default_rng(4)
+    word = lambda: "".join(map(chr, rng.integers(97, 123, 6)))
+    text = lambda words: " ".join(words)
+    base = [word() for _ in range(200)]
+    many = [[*base[: 40 + 10 * k], *(word() for _ in range(160 - 10 * k))] for k in range(8)]
+    many.append([*base[:111], *many[6][111:]])  # all eight share its first words; the seventh is the nearest
+    lone = [[word() for _ in range(300)] for _ in range(2)]
+    lone[1][200:205] = lone[0][100:105]
+    texts = list(map(text, [*many, *lone, ["only", "short"], ["only", "short"]])) + ["", None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.a: (r.b, r.distance) for r in applications.QUERIES["ncd_near_copies"](spark, str(tmp_path)).collect()}
+    pairs = [(a, b) for a in range(9) for b in range(a)] + [(10, 9)]
+    every = applications.ncd(spark.createDataFrame([(a, b, texts[a], texts[b]) for a, b in pairs], "a long, b long, x string, y string")).collect()
+    want = {}
+    for r in sorted(every, key=lambda r: (r.distance, r.b)):
+        want.setdefault(r.a, (r.b, r.distance))
+    assert got == want and got[8][0] == 6 and got[10][0] == 9
+
+
 def test_bits_after_history():
     """Against all parses, by copies of every length from every earlier place."""
     gamma = lambda x: 2 * (x + 1).bit_length() - 1
