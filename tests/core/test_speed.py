@@ -76,6 +76,28 @@ def test_compression_distance_takes_texts(spark):
     assert got == want
 
 
+def test_compression_distance_prices_pairs_together(monkeypatch):
+    every = [np.zeros(0, np.int64), *(some(n, k, n + k) for n in (1, 3, 200) for k in (1, 2, 9)), np.tile(some(30, 9, 1), 29)]
+    want = [parsers.Sequence(x, GAMMA, GAMMA).fewest_bits() for x in every]
+    monkeypatch.setattr(parsers.Sequence, "fewest_bits", lambda *a: 1 / 0)  # none of them alone
+    monkeypatch.setattr(parsers.Sequence, "greedy", lambda *a: 1 / 0)
+    assert parsers.fewest_totals(every, GAMMA, GAMMA) == want
+
+
+def test_compression_distance_takes_known_sizes(spark):
+    """The size of a text is found once, not for each of its pairs."""
+    texts = {1: "abcabcabd", 2: "abcabc", 3: None}
+    docs = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    bits = {r.doc_id: r.bits for r in applications.sizes(docs).collect()}
+    pairs = spark.createDataFrame([(2, 1), (3, 1)], "a long, b long")
+    given = applications._with_texts(pairs, applications.sizes(docs), 15)
+    plain = spark.createDataFrame([(a, b, texts[a], texts[b]) for a, b in ((2, 1), (3, 1))], "a long, b long, x string, y string")
+    got = sorted(map(tuple, applications.ncd(given).collect()))
+    assert got == sorted(map(tuple, applications.ncd(plain).collect())) and [r[2:4] for r in got] == [(bits[2], bits[1]), (bits[3], bits[1])]
+    marked = given.withColumn("cx", given.cx * 0 + 7)
+    assert {r.cx for r in applications.ncd(marked).collect()} == {7}
+
+
 def test_codewords_are_made_once_for_each_value(spark):
     x = np.concatenate([some(200, 5, 8), some(200, 5, 8)])
     seq = spark.createDataFrame([(1, len(x), x.tolist()), (2, 0, []), (3, 1, [70000])], "seq_id long, n int, syms array<int>")
