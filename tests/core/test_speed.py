@@ -46,6 +46,39 @@ def test_short_sequences_go_through_the_blocks_together(monkeypatch):
     assert len(calls) == 1
 
 
+def test_paths_of_many_blocks_go_on_together(monkeypatch):
+    """Bits and phrases as of each alone, ties too; only a sequence longer than a block has a path of its own."""
+    monkeypatch.setattr(blocks, "SPAN", 600)
+    monkeypatch.setattr(parsers, "RACK", 1500)
+    every = [some(n, k, n + k) for n in (0, 1, 2, 40, 90, 400, 599) for k in (1, 2, 3, 30)] + [np.tile(some(30, 9, 1), 15), some(2000, 3, 7), some(70, 60_000, 3)]
+    for f, g, window in (("gamma", "gamma", None), ("delta", "omega", 50), ("varbyte", "nibble", None), ("fibonacci", "gamma", None)):
+        f, g = code(f), code(g)
+        want = [(s.total(p), len(p)) for s, p in ((s, s.optimal("block")) for s in (parsers.Sequence(x, f, g, window) for x in every))]
+        made, start = [], parsers.shortest.Path.__init__
+        with monkeypatch.context() as m:
+            m.setattr(parsers.shortest.Path, "__init__", lambda self, n, literal, made=made: made.append(n) or start(self, n, literal))
+            assert parsers.block_totals(every, f, g, window) == want
+        assert made == [2000]
+
+
+def test_passes_that_follow_one_another_need_no_links_in_second_windows(monkeypatch):
+    """Of each position what is longer than all nearer copies, as by passes that look at nothing but their plateau."""
+    for x in (some(900, 2, 1), some(900, 4, 2), np.tile(some(37, 5, 3), 20), np.ones(300, np.int64)):
+        own, calls, back = blocks.Suffixes(x), [], blocks.back
+        monkeypatch.setattr(blocks, "back", lambda v, calls=calls: calls.append(1) or back(v))
+        best = np.zeros(len(x), np.int64)
+        for lo, hi in ((1, 2), (3, 6), (7, 14), (15, 30), (31, 62), (63, 126), (127, 254), (255, 299)):
+            queries = np.arange(lo, len(x))
+            want, at, visits = blocks.one_pass(own, lo, hi, 0, len(x), queries)
+            calls.clear()
+            got, source, same = blocks.rising_pass(own, lo, hi, 0, len(x), queries)
+            news = want > best[queries]
+            assert len(calls) <= 2 and same == visits
+            assert np.array_equal(got > best[queries], news) and np.array_equal(got[news], want[news]) and np.array_equal(source[news], at[news])
+            best[queries] = np.maximum(best[queries], want)
+        monkeypatch.undo()
+
+
 def test_steps_down_the_tree_are_found_together(monkeypatch):
     x = some(500, 3, 2).tolist()
     scan = lz78.Scan(x)
